@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
-from . import langid, sharding
+from . import bpe, langid, sharding, token_store
 
 QUERIES = {
+    "op1_bpe_roundtrip": bpe.op1,
     "op6_ring_sharding": sharding.op6,
     "op9_language_id": langid.op9,
+    "op10_token_store": token_store.op10,
 }
 
 ORACLE: dict[str, str] = {}
