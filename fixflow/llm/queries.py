@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from . import bpe, langid, sharding, token_store
+from . import bpe, jaccard, langid, sharding, token_store
 
 QUERIES = {
     "op1_bpe_roundtrip": bpe.op1,
     "op6_ring_sharding": sharding.op6,
+    "op7_ngram_jaccard": jaccard.op7,
     "op9_language_id": langid.op9,
     "op10_token_store": token_store.op10,
 }
