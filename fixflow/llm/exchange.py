@@ -2,8 +2,8 @@
 
 ``annotate`` hashes every document into a sequence of 64-bit values (shingles, windows, phrases), deals the values of the
 whole corpus out by value, lets a function look at all values of a bucket together and brings one byte for each value back
-to its document. Values travel as packed arrays: 4 bytes each (the bucket has the other bits), without row overhead. Both
-directions carry everything that's needed in the rows themselves, so a lost task can be run again anywhere.
+to its document. Values travel as packed arrays: 4 bytes each (the bucket has the other bits), or 12 with a second hash, without
+row overhead. Both directions carry everything that's needed in the rows themselves, so a lost task can be run again anywhere.
 
 The number of buckets is the session's shuffle width, so a bucket has a bounded share of the values at every size. A value
 that fills a bucket (a passage in a third of all documents) adds 4 bytes for each place, never pairs.
@@ -23,6 +23,9 @@ from . import flat
 from .common import width
 
 CHUNK = 1 << 19  # values that travel together
+NARROW, WIDE = np.dtype([("low", "<u4")]), np.dtype([("low", "<u4"), ("more", "<u8")])
+RANK = np.dtype([("rep", "<i8"), ("tie", "<u8")])
+LAST = 2**63 - 1  # rank of a document without an id
 
 
 def distinct_texts(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
@@ -32,98 +35,133 @@ def distinct_texts(docs: DataFrame, doc_id: str = "doc_id", text: str = "text")
     """
     return (
         docs.where(F.col(text).isNotNull())
-        .select(F.unhex(F.md5(F.col(text).cast("binary"))).alias("key"), F.col(doc_id).cast("long").alias("rep"), F.col(text).alias("text"))
+        .select(text_key(text).alias("key"), F.col(doc_id).cast("long").alias("rep"), F.col(text).alias("text"))
         .groupBy("key")
         .agg(F.min("rep").alias("rep"), F.count("*").alias("copies"), F.first("text").alias("text"))
+        .where("key is not null")  # as a join on key adds: both readers of this plan then share one shuffle
     )
 
 
+def text_key(text: str):
+    return F.unhex(F.md5(F.col(text).cast("binary")))
+
+
 def bucket_of(h: np.ndarray, n: int) -> np.ndarray:
     return (((h >> np.uint64(32)) * np.uint64(n)) >> np.uint64(32)).astype(np.uint16 if n <= 1 << 16 else np.uint32)
 
 
+class Values:
+    """The values of some texts: h in document order, count of each text, and optionally a second hash and a 0/1 flag."""
+
+    def __init__(self, h: np.ndarray, count: np.ndarray, more: np.ndarray | None = None, flag: np.ndarray | None = None):
+        self.h, self.count, self.more, self.flag = h, count, more, flag
+
+
+def _pack(vs: list[Values], keys: list[bytes], ranks: np.ndarray | None, n: int, chunk: int) -> pa.RecordBatch:
+    """Rows for the buckets of one chunk of documents; the row of bucket 0 also has the documents' keys."""
+    h, c = np.concatenate([v.h for v in vs]), np.concatenate([v.count for v in vs])
+    b = bucket_of(h, n)
+    order = np.argsort(b, kind="stable")
+    b = b[order]
+    doc = np.repeat(np.arange(len(c), dtype=np.int64), c)[order]
+    value = np.empty(len(h), NARROW if vs[0].more is None else WIDE)
+    value["low"] = h[order].astype(np.uint32)
+    if vs[0].more is not None:
+        value["more"] = np.concatenate([v.more for v in vs])[order]
+    flag = None if vs[0].flag is None else np.concatenate([v.flag for v in vs])[order]
+    cut = np.flatnonzero(np.diff(b.astype(np.int64), prepend=-1)).tolist()
+    parts = [(int(b[i]), i, j) for i, j in zip(cut, [*cut[1:], len(b)])]
+    if not parts or parts[0][0]:
+        parts.insert(0, (0, 0, 0))
+    out: dict[str, list] = {x: [] for x in ("bucket", "chunk", "value", "doc", "flag", "rank", "keys")}
+    for name, i, j in parts:
+        step = np.diff(doc[i:j], prepend=0)
+        out["bucket"].append(name)
+        out["chunk"].append(chunk)
+        out["value"].append(value[i:j].tobytes())
+        out["doc"].append(step.astype(np.uint32 if len(c) > 65535 else np.uint16).tobytes())
+        out["flag"].append(None if flag is None else np.packbits(flag[i:j]).tobytes())
+        if ranks is not None:
+            step[:1] = 1
+            out["rank"].append(ranks[doc[i:j][step > 0]].tobytes())
+        else:
+            out["rank"].append(None)
+        out["keys"].append(b"".join(keys) if name == 0 else None)
+    kinds = [("bucket", pa.int32()), ("chunk", pa.int64()), *[(x, pa.binary()) for x in ("value", "doc", "flag", "rank", "keys")]]
+    return pa.RecordBatch.from_pydict(out, pa.schema(kinds))
+
+
 def annotate(
     texts: DataFrame,
-    hasher: Callable[[list[bytes]], tuple[np.ndarray, np.ndarray, np.ndarray | None]],
-    judge: Callable[[np.ndarray, np.ndarray | None], np.ndarray],
+    hasher: Callable[..., Values],
+    judge: Callable[..., np.ndarray],
+    ranked: bool = False,
+    wide: bool = False,
+    extra: str | None = None,
 ) -> DataFrame:
-    """texts (key, rep, copies, text) with `notes` binary: judge's byte for each of the document's values.
+    """texts (key, rep, text, ...) with `notes` binary: judge's byte for each of the document's values.
 
-    hasher: texts -> values in document order, number of values of each text, optional 0/1 flag of each value.
-    judge: (values' low 32 bits of one bucket, flags) -> uint8 for each. Notes are in the order of ``deal``.
+    hasher(texts, extras) -> Values (with a second hash if ``wide``). judge(values, flags, ranks) -> uint8 for each value of a bucket; with ``ranked``
+    ranks has the id (and a tie-breaker) of each value's document. Notes are in the order that ``deal`` undoes.
     """
-    n = width(texts.sparkSession)
+    n, kind = width(texts.sparkSession), WIDE if wide else NARROW
 
     def send(batches):
         from pyspark import TaskContext
 
         task, k = TaskContext.get().partitionId(), 0
-        keys, hs, cs, fs, size = [], [], [], [], 0
+        vs, keys, ranks, size = [], [], [], 0
 
         def flush():
-            nonlocal k, keys, hs, cs, fs, size
-            h, c = np.concatenate(hs), np.concatenate(cs)
-            f = np.concatenate(fs) if fs else None
-            b = bucket_of(h, n)
-            order = np.argsort(b, kind="stable")
-            cut = np.flatnonzero(np.diff(b[order].astype(np.int64), prepend=-1))
-            doc = np.repeat(np.arange(len(c), dtype=np.int64), c)[order]
-            low = h[order].astype(np.uint32)
-            ends = [*cut[1:].tolist(), len(order)]
-            names = b[order][cut].tolist() if len(order) else []
-            if 0 not in names:  # the row that carries the keys
-                names, cut, ends = [0, *names], [0, *cut.tolist()], [0, *ends]
-            out = {"bucket": [], "chunk": [], "low": [], "doc": [], "flag": [], "keys": []}
-            for name, i, j in zip(names, cut, ends):
-                out["bucket"].append(int(name))
-                out["chunk"].append((task << 32) | k)
-                out["low"].append(low[i:j].tobytes())
-                step = np.diff(doc[i:j], prepend=0)
-                out["doc"].append(step.astype(np.uint32).tobytes() if len(c) > 65535 else step.astype(np.uint16).tobytes())
-                out["flag"].append(None if f is None else np.packbits(f[order[i:j]]).tobytes())
-                out["keys"].append(b"".join(keys) if name == 0 else None)
-            keys, hs, cs, fs, size = [], [], [], [], 0
-            k += 1
-            return pa.RecordBatch.from_pydict(out, pa.schema([("bucket", pa.int32()), ("chunk", pa.int64()), ("low", pa.binary()), ("doc", pa.binary()), ("flag", pa.binary()), ("keys", pa.binary())]))
+            return _pack(vs, keys, np.concatenate(ranks) if ranked else None, n, (task << 32) | k)
 
         for batch in batches:
-            ids, raw = batch.column(0).to_pylist(), flat.as_bytes(batch.column(1))
+            ids, raw, more = batch.column(0).to_pylist(), flat.as_bytes(batch.column(2)), batch.column(3).to_pylist()
+            rank = np.empty(len(ids), RANK)
+            rank["rep"] = batch.column(1).fill_null(LAST).to_numpy()
+            rank["tie"] = [int.from_bytes(x[:8], "big") for x in ids]
             for i, j in flat.parts(raw):
-                h, c, f = hasher(raw[i:j])
+                vs.append(hasher(raw[i:j], more[i:j]))
                 keys += ids[i:j]
-                hs.append(h)
-                cs.append(c)
-                if f is not None:
-                    fs.append(f)
-                size += len(h)
+                ranks.append(rank[i:j])
+                size += len(vs[-1].h)
                 if size >= CHUNK:
                     yield flush()
+                    vs, keys, ranks, size, k = [], [], [], 0, k + 1
         if keys:
             yield flush()
 
     def look(pdf: pd.DataFrame) -> pd.DataFrame:
-        lows = [np.frombuffer(x, np.uint32) for x in pdf["low"]]
-        lens = [len(x) for x in lows]
+        values = [np.frombuffer(x, kind) for x in pdf["value"]]
+        lens = [len(x) for x in values]
         flags = None if pdf["flag"].iloc[0] is None else np.concatenate([np.unpackbits(np.frombuffer(x, np.uint8), count=m) for x, m in zip(pdf["flag"], lens)])
-        notes = judge(np.concatenate(lows), flags).astype(np.uint8)
+        ranks = None
+        if ranked:
+            per = []
+            for x, d, m in zip(pdf["rank"], pdf["doc"], lens):
+                step = np.frombuffer(d, np.uint16 if len(d) == 2 * m else np.uint32).copy()
+                step[:1] = 1
+                per.append(np.frombuffer(x, RANK)[np.cumsum(step > 0) - 1])
+            ranks = np.concatenate(per)
+        notes = judge(np.concatenate(values), flags, ranks).astype(np.uint8)
         at = np.concatenate([[0], np.cumsum(lens)])
         return pd.DataFrame({"chunk": pdf["chunk"], "bucket": pdf["bucket"], "doc": pdf["doc"], "keys": pdf["keys"], "notes": [notes[i:j].tobytes() for i, j in zip(at, at[1:])]})
 
     def gather(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values("bucket")
-        raw = pdf[pdf["bucket"] == 0]["keys"].iloc[0]
+        raw = pdf["keys"].iloc[0]
         keys = [raw[i : i + 16] for i in range(0, len(raw), 16)]
-        kind = np.uint32 if len(keys) > 65535 else np.uint16
-        doc = np.concatenate([np.cumsum(np.frombuffer(x, kind).astype(np.int64)) for x in pdf["doc"]])
+        steps = np.uint32 if len(keys) > 65535 else np.uint16
+        doc = np.concatenate([np.cumsum(np.frombuffer(x, steps).astype(np.int64)) for x in pdf["doc"]])
         notes = np.concatenate([np.frombuffer(x, np.uint8) for x in pdf["notes"]])
         notes = notes[np.argsort(doc, kind="stable")]
         at = np.concatenate([[0], np.cumsum(np.bincount(doc, minlength=len(keys)))])
         return pd.DataFrame({"key": keys, "notes": [notes[i:j].tobytes() for i, j in zip(at, at[1:])]})
 
-    sent = texts.select("key", "text").mapInArrow(send, "bucket int, chunk long, low binary, doc binary, flag binary, keys binary")
+    cols = texts.select("key", "rep", "text", F.col(extra) if extra else F.lit(None).cast("binary").alias("extra"))
+    sent = cols.mapInArrow(send, "bucket int, chunk long, value binary, doc binary, flag binary, rank binary, keys binary")
     judged = sent.groupBy("bucket").applyInPandas(look, "chunk long, bucket int, doc binary, keys binary, notes binary")
-    notes = judged.groupBy("chunk").applyInPandas(gather, "key binary, notes binary")
-    return texts.join(notes, "key")
+    return texts.join(judged.groupBy("chunk").applyInPandas(gather, "key binary, notes binary"), "key")
 
 
 def deal(h: np.ndarray, n: int, notes: bytes) -> np.ndarray:

@@ -36,7 +36,7 @@ BLOCK = 512
 def shingler(k: int):
     """texts -> distinct shingle hashes of each (sorted), and their number."""
 
-    def run(texts: list[bytes]):
+    def run(texts: list[bytes], _=None) -> exchange.Values:
         w = flat.Words(texts, fold=True)
         hashes = flat.Runs(w.hashes(11), 12)
         at = w.windows(k)
@@ -47,14 +47,14 @@ def shingler(k: int):
         parts = [np.unique(h[i:j]) for i, j in zip((ends - n).tolist(), ends.tolist())]
         for d in short.tolist():
             parts[d] = hashes(w.first[d : d + 1], w.first[d + 1 : d + 2])
-        return np.concatenate(parts) if parts else h, np.fromiter(map(len, parts), np.int64, len(parts)), None
+        return exchange.Values(np.concatenate(parts) if parts else h, np.fromiter(map(len, parts), np.int64, len(parts)))
 
     return run
 
 
-def rarity(low: np.ndarray, _) -> np.ndarray:
+def rarity(values: np.ndarray, flags, ranks) -> np.ndarray:
     """0 for a value that stands once, else the number of binary digits of its count less one."""
-    return np.ceil(np.log2(exchange.times(low))).astype(np.uint8)
+    return np.ceil(np.log2(exchange.times(values["low"]))).astype(np.uint8)
 
 
 def band_of(n: int, percent: int) -> int:
@@ -132,7 +132,8 @@ def _with_sets(texts: DataFrame, k: int, percent: int) -> DataFrame:
             key, rep, raw, notes = batch.column(0), batch.column(1), flat.as_bytes(batch.column(2)), batch.column(3).to_pylist()
             size, hs, sigs = [], [], []
             for i, j in flat.parts(raw):
-                h, c, _ = shingles(raw[i:j])
+                v = shingles(raw[i:j])
+                h, c = v.h, v.count
                 ends = np.cumsum(c)
                 for d, (p, q) in enumerate(zip((ends - c).tolist(), ends.tolist())):
                     own = h[p:q]
@@ -273,7 +274,7 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80, doc_id: str
         links = links.unionByName(_family_links(stars, sets, percent))
     of = components(links).withColumnRenamed("node", "rep")
     by_text = sets.select("key", "rep", "n").join(of, "rep", "left").select("key", "n", F.coalesce("component", "rep").alias("component"), F.col("rep").alias("text_rep"))
-    rows = docs.select(F.col(doc_id).alias("doc_id"), F.unhex(F.md5(F.col(text).cast("binary"))).alias("key"))
+    rows = docs.select(F.col(doc_id).alias("doc_id"), exchange.text_key(text).alias("key"))
     full = F.coalesce(F.col("n"), F.lit(0)).cast("long")
     return rows.join(by_text, "key", "left").select("doc_id", full.alias("n_shingles"), F.when(full > 0, F.col("component")).otherwise(F.col("doc_id").cast("long")).alias("component_id"))
 

@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from . import bpe, jaccard, langid, sharding, token_store
+from . import bpe, jaccard, langid, sharding, substring, token_store
 
 QUERIES = {
     "op1_bpe_roundtrip": bpe.op1,
+    "op5_substring_dedup": substring.op5,
     "op6_ring_sharding": sharding.op6,
     "op7_ngram_jaccard": jaccard.op7,
     "op9_language_id": langid.op9,
