@@ -26,7 +26,7 @@ from pyspark.sql import functions as F
 
 from .common import table
 
-REMEMBERED = 150_000  # pieces a generation
+REMEMBERED = 350_000  # pieces a generation
 _FAST = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-z]+|[0-9]|[^\s\x1c-\x1fa-z0-9]+|[\x1c-\x1f]")
 NONE = np.int32(2**31 - 1)
 

@@ -183,3 +183,94 @@ def times(low: np.ndarray) -> np.ndarray:
     out = np.empty(len(s), np.int64)
     out[order] = np.repeat(n, n)
     return out
+
+
+def annotate_bodies(
+    texts: DataFrame,
+    hasher: Callable[..., tuple[np.ndarray, np.ndarray, np.ndarray, list[bytes]]],
+    judge: Callable[[list[bytes], np.ndarray], list[np.ndarray]],
+    extra: str | None = None,
+) -> DataFrame:
+    """As ``annotate`` for pieces of text: those dealt to one bucket are looked at together.
+
+    hasher(texts, extras) -> for each piece the value that deals it out and a content hash, the number of pieces of each text, and
+    the pieces. Equal pieces of a chunk travel once. judge(distinct pieces, how often each stands) -> notes of each.
+    """
+    n = width(texts.sparkSession)
+
+    def pack(hs, contents, counts, bodies, keys, chunk):
+        h, content, c = np.concatenate(hs), np.concatenate(contents), np.concatenate(counts)
+        b = bucket_of(h, n)
+        order = np.argsort(b, kind="stable")
+        b, doc = b[order], np.repeat(np.arange(len(c), dtype=np.int64), c)[order]
+        cut = np.flatnonzero(np.diff(b.astype(np.int64), prepend=-1)).tolist()
+        parts = [(int(b[i]), i, j) for i, j in zip(cut, [*cut[1:], len(b)])]
+        if not parts or parts[0][0]:
+            parts.insert(0, (0, 0, 0))
+        out: dict[str, list] = {x: [] for x in ("bucket", "chunk", "pick", "doc", "lens", "body", "content", "keys")}
+        for name, i, j in parts:
+            own, first, pick = np.unique(content[order[i:j]], return_index=True, return_inverse=True)
+            sent = [bodies[k] for k in order[i:j][first].tolist()]
+            out["bucket"].append(name)
+            out["chunk"].append(chunk)
+            out["pick"].append(pick.astype(np.uint32).tobytes())
+            out["doc"].append(np.diff(doc[i:j], prepend=0).astype(np.uint32).tobytes())
+            out["lens"].append(np.array([len(x) for x in sent], np.uint32).tobytes())
+            out["body"].append(b"".join(sent))
+            out["content"].append(own.tobytes())
+            out["keys"].append(b"".join(keys) if name == 0 else None)
+        kinds = [("bucket", pa.int32()), ("chunk", pa.int64()), *[(x, pa.binary()) for x in ("pick", "doc", "lens", "body", "content", "keys")]]
+        return pa.RecordBatch.from_pydict(out, pa.schema(kinds))
+
+    def send(batches):
+        from pyspark import TaskContext
+
+        task, k = TaskContext.get().partitionId(), 0
+        acc: tuple[list, ...] = ([], [], [], [], [])
+        size = 0
+        for batch in batches:
+            ids, raw, more = batch.column(0).to_pylist(), flat.as_bytes(batch.column(1)), batch.column(2).to_pylist()
+            for i, j in flat.parts(raw):
+                h, content, count, bodies = hasher(raw[i:j], more[i:j])
+                for to, x in zip(acc[:3], (h, content, count)):
+                    to.append(x)
+                acc[3].extend(bodies)
+                acc[4].extend(ids[i:j])
+                size += sum(map(len, bodies))
+                if size >= 16 * CHUNK:
+                    yield pack(*acc, (task << 32) | k)
+                    acc, size, k = ([], [], [], [], []), 0, k + 1
+        if acc[4]:
+            yield pack(*acc, (task << 32) | k)
+
+    def look(pdf: pd.DataFrame) -> pd.DataFrame:
+        content = np.concatenate([np.frombuffer(x, np.uint64) for x in pdf["content"]])
+        own, first, of = np.unique(content, return_index=True, return_inverse=True)
+        bodies = []
+        for lens, body in zip(pdf["lens"], pdf["body"]):
+            at = [0, *np.cumsum(np.frombuffer(lens, np.uint32)).tolist()]
+            bodies += [body[i:j] for i, j in zip(at, at[1:])]
+        base, picks = 0, []
+        for x, p in zip(pdf["content"], pdf["pick"]):
+            picks.append(of[base + np.frombuffer(p, np.uint32).astype(np.int64)])
+            base += len(x) // 8
+        many = np.bincount(np.concatenate(picks), minlength=len(own)) if len(own) else np.zeros(0, np.int64)
+        notes = judge([bodies[k] for k in first.tolist()], many)
+        sizes = np.array([len(x) for x in notes], np.uint32)
+        found = [x.tobytes() for x in notes]
+        return pd.DataFrame({"chunk": pdf["chunk"], "bucket": pdf["bucket"], "doc": pdf["doc"], "keys": pdf["keys"], "sizes": [sizes[p].tobytes() for p in picks], "notes": [b"".join([found[k] for k in p.tolist()]) for p in picks]})
+
+    def gather(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values("bucket")
+        raw = pdf["keys"].iloc[0]
+        parts: list[list[bytes]] = [[] for _ in range(len(raw) // 16)]
+        for doc, sizes, notes in zip(pdf["doc"], pdf["sizes"], pdf["notes"]):
+            at = [0, *np.cumsum(np.frombuffer(sizes, np.uint32)).tolist()]
+            for d, i, j in zip(np.cumsum(np.frombuffer(doc, np.uint32)).tolist(), at, at[1:]):
+                parts[d].append(notes[i:j])
+        return pd.DataFrame({"key": [raw[i : i + 16] for i in range(0, len(raw), 16)], "notes": [b"".join(x) for x in parts]})
+
+    cols = texts.select("key", "text", F.col(extra) if extra else F.lit(None).cast("binary").alias("extra"))
+    sent = cols.mapInArrow(send, "bucket int, chunk long, pick binary, doc binary, lens binary, body binary, content binary, keys binary")
+    judged = sent.groupBy("bucket").applyInPandas(look, "chunk long, bucket int, doc binary, keys binary, sizes binary, notes binary")
+    return texts.join(judged.groupBy("chunk").applyInPandas(gather, "key binary, notes binary"), "key")

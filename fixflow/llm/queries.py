@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from . import bpe, jaccard, langid, sharding, substring, token_store
+from . import bpe, jaccard, langid, parse_dedup, sharding, substring, token_store
 
 QUERIES = {
     "op1_bpe_roundtrip": bpe.op1,
     "op5_substring_dedup": substring.op5,
     "op6_ring_sharding": sharding.op6,
     "op7_ngram_jaccard": jaccard.op7,
+    "op8_parse_dedup": parse_dedup.op8,
     "op9_language_id": langid.op9,
     "op10_token_store": token_store.op10,
 }
