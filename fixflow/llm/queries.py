@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from . import bpe, jaccard, langid, parse_dedup, sharding, substring, token_store
+from . import bpe, decontam, jaccard, langid, parse_dedup, sharding, substring, token_store
 
 QUERIES = {
     "op1_bpe_roundtrip": bpe.op1,
+    "op4_template_decontam": decontam.op4,
     "op5_substring_dedup": substring.op5,
     "op6_ring_sharding": sharding.op6,
     "op7_ngram_jaccard": jaccard.op7,
