@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from . import bpe, decontam, graph_ann, jaccard, langid, parse_dedup, sharding, substring, token_store
+from . import bpe, decontam, graph_ann, jaccard, langid, mixing, parse_dedup, sharding, substring, token_store
 
 QUERIES = {
     "op1_bpe_roundtrip": bpe.op1,
+    "op2_context_mixing": mixing.op2,
     "op3_graph_ann": graph_ann.op3,
     "op4_template_decontam": decontam.op4,
     "op5_substring_dedup": substring.op5,
