@@ -2,8 +2,10 @@
 
 from __future__ import annotations
 
+import os
 import tempfile
 import uuid
+import zipfile
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -11,7 +13,25 @@ from pyspark.sql import functions as F
 TOKEN_BYTES = b" \t\n\r\x0b\x0c"  # the white space of [\x20\x09-\x0D]
 
 
+def ship(spark: SparkSession) -> None:
+    """Send this package's code to the executors, once for each Spark context; they may not have it installed."""
+    sc = spark.sparkContext
+    if getattr(sc, "_fixflow_shipped", False):
+        return
+    top = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
+    path = os.path.join(tempfile.mkdtemp(prefix="fixflow-code-"), "fixflow_code.zip")
+    with zipfile.ZipFile(path, "w") as z:
+        for folder, _, names in os.walk(top):
+            for n in sorted(names):
+                if n.endswith(".py"):
+                    full = os.path.join(folder, n)
+                    z.write(full, os.path.join("fixflow", os.path.relpath(full, top)))
+    sc.addPyFile(path)
+    sc._fixflow_shipped = True
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    ship(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
@@ -45,6 +65,7 @@ def remove(spark: SparkSession, path: str) -> None:
 def durable(df: DataFrame, tag: str, codec: str = "zstd") -> DataFrame:
     """Write df to the shared folder and read it back: cuts lineage and survives the loss of any executor."""
     spark = df.sparkSession
+    ship(spark)
     path = new_path(spark, tag)
     df.write.option("compression", codec).parquet(path)
     return spark.read.schema(df.schema).parquet(path)
@@ -52,6 +73,7 @@ def durable(df: DataFrame, tag: str, codec: str = "zstd") -> DataFrame:
 
 def width(spark: SparkSession) -> int:
     """The session's shuffle width; by-hand bucketing uses the same number."""
+    ship(spark)
     return max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
 
 

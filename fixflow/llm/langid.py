@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import ship, table
 
 BUCKETS = 1 << 16
 MAX_LANGS = 2048
@@ -68,6 +68,7 @@ def learn(train: DataFrame, text: str = "text", label: str = "lang") -> tuple[li
         raise ValueError(f"more than {MAX_LANGS} distinct labels")
     if not named:
         return [], np.zeros((0, BUCKETS + 1))
+    ship(train.sparkSession)
     langs = [x for x, _ in named]
     number = {x: i for i, x in enumerate(langs)}
 
@@ -107,6 +108,7 @@ def predict(docs: DataFrame, model: tuple[list[str], np.ndarray], text: str = "t
     """keep columns of docs, then lang_pred and score."""
     langs, logp = model
     keep = docs.columns if keep is None else keep
+    ship(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(logp)
 
     def score(batches):
