@@ -1,18 +1,19 @@
 """Language-model scoring by online logistic context mixing of bit predictors.
 
-A text is its tokens: lower-cased words and one end. A word is spelled as its bytes and a space, the end as a line feed, so the code
-is prefix-free and the product of all bit probabilities is a probability of the token sequence. Five predictors see each bit in a hashed context: the
-last one, two and three bytes of the word, the whole word so far, and that with the kind of the token before (begin, after a full stop, after a
-comma, other). They are tables of bit counts over all training tokens. Their log-odds are mixed by weights that a gate (bit place, bytes
-read, how often the word so far was seen) selects; the weights are learned online, batch after batch, by second-order steps, with each token's own count left out.
-The mixed probability is refined by an adaptive table of outcomes by gate and log-odds.
-
-Distribution: tokens are counted with the kind before them (rows grow with the corpus), and everything after works on distinct tokens with their
-counts. Count tables add up over tasks; the weights that tasks learn are averaged by the tokens they saw. Tables have a fixed size, which is what
-is broadcast. Exact token counts reach the documents by a bounded broadcast of the ``HEAD`` most frequent tokens and by a join for all others.
-
-Nulls: a null text has no words and one end. A null id is trained on. Rows that share a text share its score. Words of any length are spelled whole. With no training
-rows all counts are 0 and every bit has odds of one. Extra columns are ignored.
+A text is its tokens: lower-cased words and one end. Each token is a string of binary decisions: whether it is one of the ``HEAD`` most
+frequent tokens; if so, the digits of its frequency rank; if not (or if it was seen once only), the bits of its bytes and of a closing space. The code is prefix-free, so the product of all decision
+probabilities is a probability of the token sequence. Bit predictors are tables of outcome counts in hashed contexts. A rank's digits are predicted from the digits
+before them alone, and together with the last of the ``TOP`` most frequent words (which tells the language of the passage); a spelled
+byte's bits from the last one, two, three and four bytes. The predictors' log-odds are mixed by weights that a gate selects (which
+digit, how often the contexts were seen); weights are learned online, batch after batch, by second-order steps with each token's own
+count left out. The mixed probability is refined by an adaptive table of outcomes by gate and log-odds.
+
+Everything counts all training tokens. Token counts are summed in Spark (their rows grow with the corpus); tables of fixed size are summed over tasks by block,
+the weights that tasks learn are averaged by the tokens they saw. Only tables of fixed size are collected or broadcast. Exact token counts reach the documents by
+the broadcast head and, for all other tokens, by a join.
+
+Nulls: a null text has no words and one end. A null id is trained on. Rows that share a text share its score. Words of any length are spelled whole. With no
+training rows all counts are 0 and every decision has even odds. Extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -26,33 +27,32 @@ from . import exchange, flat
 from .common import durable, table
 from .langid import fold
 
-BITS = (16, 20, 20, 22, 22)  # log2 of each predictor's slots
+BITS = (16, 20, 21, 22)  # log2 of each predictor's slots
 BASE = np.concatenate([[0], np.cumsum([1 << b for b in BITS])])
 SLOTS = int(BASE[-1])
 BLOCK = 1 << 14
-HEAD = 1 << 18
-GATES = 8 * 4 * 8 * 4  # bit place, bytes read, digits of how often the word so far was seen, and of that with the kind before
+HEAD, TOP = 1 << 17, 32
+GATES = 8 * 4 * 8 * 4  # bit place, bytes read, how often the last three bytes were seen, and the last four
+RANK_GATES = 18 * 8  # digit place, how often it was seen after this frequent word
 STEPS = 32
 PRIOR = 0.4
 END = b"\n"
-BEGIN, STOP, COMMA, OTHER = range(4)
 
 
 class Spelled:
-    """Bits of distinct tokens in a flat array: slot of each predictor, outcome, gate place, token of each byte."""
+    """Bits of spelled words in a flat array: slot of each predictor, outcome, gate place, word of each byte."""
 
-    def __init__(self, words: list[bytes], kind: np.ndarray):
-        text = b"".join([w if w == END else w + b" " for w in words])
-        raw = np.frombuffer(text, np.uint8)
-        lens = np.fromiter((len(w) + (w != END) for w in words), np.int64, len(words))
+    def __init__(self, words: list[bytes]):
+        raw = np.frombuffer(b"".join([w + b" " for w in words]), np.uint8)
+        lens = np.fromiter(map(len, words), np.int64, len(words)) + 1
         at = np.cumsum(lens) - lens
         self.word = np.repeat(np.arange(len(words)), lens)
         i = np.arange(len(raw))
         pos = i - at[self.word]
-        before = [np.where(pos >= k, raw[np.maximum(i - k, 0)].astype(np.uint64) + np.uint64(1), np.uint64(0)) for k in (1, 2, 3)]
-        whole = flat.Runs(flat.letters(41)[raw], 41)(at[self.word], i)
+        before = [np.where(pos >= k, raw[np.maximum(i - k, 0)].astype(np.uint64) + np.uint64(1), np.uint64(0)) for k in (1, 2, 3, 4)]
         two = before[0] | before[1] << np.uint64(9)
-        contexts = [before[0], two, two | before[2] << np.uint64(18), whole, whole + flat.mix(kind[self.word].astype(np.uint64) + np.uint64(77))]
+        three = two | before[2] << np.uint64(18)
+        contexts = [before[0], two, three, three | before[3] << np.uint64(27)]
         bit = np.arange(8)
         node = ((1 << bit)[None] | (raw[:, None].astype(np.int64) >> (8 - bit)[None])).astype(np.uint64)
         self.y = ((raw[:, None] >> (7 - bit)[None]) & 1).astype(bool)
@@ -82,8 +82,8 @@ def digits(n: np.ndarray) -> np.ndarray:
     return np.minimum(7, np.ceil(np.log2(n + 1.0) / 1.75)).astype(np.uint8)
 
 
-def gate(place: np.ndarray, whole: np.ndarray, with_kind: np.ndarray) -> np.ndarray:
-    return place + whole.astype(np.int64) * 4 + np.minimum(with_kind, 6) // 2
+def gate(place: np.ndarray, three: np.ndarray, four: np.ndarray) -> np.ndarray:
+    return place + three.astype(np.int64) * 4 + np.minimum(four, 6) // 2
 
 
 def bucket(x: np.ndarray) -> np.ndarray:
@@ -91,18 +91,18 @@ def bucket(x: np.ndarray) -> np.ndarray:
 
 
 class Model:
-    """Odds of every slot, mixing weights [gate, predictor + 1] and the refining table [gate, step] of probabilities."""
+    """Speller: odds of every slot, mixing weights [gate, predictor + 1] and the refining table [gate, step] of probabilities."""
 
     def __init__(self, logit: np.ndarray, seen: np.ndarray, weights: np.ndarray, refine: np.ndarray):
         self.logit, self.seen, self.weights, self.refine = logit, seen, weights, refine
 
-    def score(self, words: list[bytes], kind: np.ndarray) -> np.ndarray:
-        """log2 probability of each token."""
+    def score(self, words: list[bytes]) -> np.ndarray:
+        """log2 probability of each spelled word."""
         out = np.zeros(len(words))
         for i, j in chunks(words):
-            s = Spelled(words[i:j], kind[i:j])
+            s = Spelled(words[i:j])
             x = [self.logit[k] for k in s.slot]
-            g = gate(s.place, self.seen[s.slot[3]], self.seen[s.slot[4]])
+            g = gate(s.place, self.seen[s.slot[2]], self.seen[s.slot[3]])
             mixed = self.weights[g, -1].copy()
             for k, v in enumerate(x):
                 mixed += self.weights[g, k] * v
@@ -120,202 +120,286 @@ def chunks(words: list[bytes], most: int = 60_000):
 class Online:
     """Learns mixing weights and the refining table, batch after batch."""
 
-    def __init__(self):
-        n = len(BITS) + 1
-        self.w = np.zeros((GATES, n))
-        self.w[:, 2:5] = 0.4
-        self.h = np.tile(np.eye(n) * 20.0, (GATES, 1, 1))
-        self.seen = np.zeros((GATES, STEPS, 2))
-        self.weight = np.zeros(GATES)
-
-    def learn(self, counts: np.ndarray, words: list[bytes], kind: np.ndarray, times: np.ndarray) -> None:
-        s = Spelled(words, kind)
-        y = s.y.ravel()
-        own = [counts[k.ravel()] for k in s.slot]
-        x = np.stack([odds(n, y) for n in own] + [np.full(y.size, 0.3, np.float32)], 1)
-        g = gate(s.place.ravel(), *(digits(np.maximum(n.sum(1, dtype=np.int64) - 1, 0)) for n in own[3:]))
+    def __init__(self, inputs: int, gates: int, guess: list[float]):
+        n = inputs + 1
+        self.w = np.tile(np.array([*guess, 0.0]), (gates, 1))
+        self.h = np.tile(np.eye(n) * 20.0, (gates, 1, 1))
+        self.seen = np.zeros((gates, STEPS, 2))
+        self.weight = np.zeros(gates)
+
+    def learn(self, x: np.ndarray, y: np.ndarray, g: np.ndarray, times: np.ndarray) -> None:
+        """x: log-odds [event, predictor] and the constant; y: outcome; g: gate; times: weight of each event."""
         mixed = (self.w[g] * x).sum(1)
         p = squash(mixed)
-        t = np.repeat(times[s.word], 8)
-        np.add.at(self.seen, (g, bucket(mixed), y.astype(np.int64)), t)
-        t = np.minimum(t, 1000.0)  # a frequent word shouldn't carry a whole batch
+        np.add.at(self.seen, (g, bucket(mixed), y.astype(np.int64)), times)
         order = np.argsort(g, kind="stable")
         cut = np.flatnonzero(np.diff(g[order], prepend=-1))
         for i, j in zip(cut, [*cut[1:], len(g)]):
             o, own = order[i:j], g[order[i]]
-            z, e, c = x[o].astype(np.float64), (y[o] - p[o]) * t[o], p[o] * (1 - p[o]) * t[o]
+            z, e, c = x[o].astype(np.float64), (y[o] - p[o]) * times[o], p[o] * (1 - p[o]) * times[o]
             self.h[own] += (z * c[:, None]).T @ z
             self.w[own] += np.linalg.solve(self.h[own], z.T @ e)
-            self.weight[own] += t[o].sum()
-
-
-def _pieces(raw: list[bytes]):
-    """Texts in pieces: words, the end tokens, the kind before each token, and each token's document, all in flat arrays."""
+            self.weight[own] += times[o].sum()
+
+    def refined(self) -> np.ndarray:
+        centre = squash((np.arange(STEPS) + 0.5) / 2 - 8)
+        return np.clip((self.seen[..., 1] + 20 * centre) / (self.seen.sum(-1) + 20), 1e-6, 1 - 1e-6)
+
+
+def speller() -> Online:
+    return Online(len(BITS), GATES, [0.0, 0.2, 0.4, 0.4])
+
+
+def learn_words(own: Online, counts: np.ndarray, words: list[bytes], times: np.ndarray) -> None:
+    s = Spelled(words)
+    y = s.y.ravel()
+    n = [counts[k.ravel()] for k in s.slot]
+    x = np.stack([odds(c, y) for c in n] + [np.full(y.size, 0.3, np.float32)], 1)
+    g = gate(s.place.ravel(), *(digits(np.maximum(c.sum(1, dtype=np.int64) - 1, 0)) for c in n[2:]))
+    own.learn(x, y, g, np.repeat(times[s.word], 8))
+
+
+def rank_bits() -> int:
+    return HEAD.bit_length() - 1
+
+
+def head_odds(counts: np.ndarray) -> np.ndarray:
+    """log2 probability [kind, rank or HEAD for none of them] from counts of the same shape.
+
+    The decisions are nodes of a binary tree over ranks (under `is it in the head`), so counts of (kind, node) hold all there is to learn from."""
+    kinds, bits = len(counts), rank_bits()
+    own = Online(2, RANK_GATES, [0.1, 0.9])
+
+    def nodes(c: np.ndarray):
+        """Counts of 0 and 1 at every decision: first the escape, then the digits from the top."""
+        yield np.array([[c[:HEAD].sum(), c[HEAD]]])
+        for b in range(bits):
+            yield c[:HEAD].reshape(1 << b, 2, -1).sum(2)
+
+    whole = list(nodes(counts.sum(0)))
+
+    def inputs(k: int, b: int, n: np.ndarray, y: np.ndarray | None):
+        x = np.stack([odds(whole[b], y), odds(n, y), np.full(len(n), 0.3, np.float32)], 1)
+        return x, b * 8 + digits(np.maximum(n.sum(1) - (y is not None), 0)).astype(np.int64)
+
+    for k in range(kinds):
+        for b, n in enumerate(nodes(counts[k])):
+            for outcome in (False, True):
+                live = n[:, int(outcome)] > 0
+                if live.any():
+                    x, g = inputs(k, b, n, np.full(len(n), outcome))
+                    own.learn(x[live], np.full(int(live.sum()), outcome), g[live], n[live, int(outcome)].astype(np.float64))
+    refine = own.refined()
+    out = np.zeros((kinds, HEAD + 1), np.float32)
+    for k in range(kinds):
+        for b, n in enumerate(nodes(counts[k])):
+            x, g = inputs(k, b, n, None)
+            mixed = (own.w[g] * x).sum(1)
+            p = (squash(mixed) + refine[g, bucket(mixed)]) / 2
+            both = np.log2(np.stack([1 - p, p], 1))
+            if b == 0:
+                out[k, :HEAD], out[k, HEAD] = both[0, 0], both[0, 1]
+            else:
+                out[k, :HEAD] += np.repeat(both.ravel(), HEAD >> b)
+    return out
+
+
+class Head:
+    """Ranks of the most frequent tokens by hash of the word."""
+
+    def __init__(self, words: list[bytes]):
+        self.end = words.index(END) if END in words else -1
+        known = flat.Words([b"" if w == END else w for w in words])
+        rank = np.array([r for r, w in enumerate(words) if w != END], np.int64)
+        h = known.hashes(43)
+        order = np.argsort(h)
+        self.hash, self.rank = h[order], rank[order]
+
+    def ranks(self, h: np.ndarray) -> np.ndarray:
+        """HEAD for words that aren't in the head."""
+        if not len(self.hash):
+            return np.full(len(h), HEAD)
+        at = np.minimum(np.searchsorted(self.hash, h), len(self.hash) - 1)
+        return np.where(self.hash[at] == h, self.rank[at], HEAD)
+
+
+def _pieces(raw: list[bytes], head: Head | None):
+    """Texts in pieces: words, their hashes, ranks and kinds (one more than the rank of the last frequent word before, 0: none), and the kind before each end."""
     for i, j in flat.parts(raw, 4 * flat.PIECE):
         w = flat.Words(raw[i:j], fold=True)
-        last = w.raw[w.end - 1] if len(w.end) else np.zeros(0, np.uint8)
-        after = np.where(np.isin(last, (46, 33, 63)), STOP, np.where(last == 44, COMMA, OTHER))
-        kind = np.concatenate([[BEGIN], after[:-1]]) if len(after) else after
-        kind[w.first[:-1][w.count > 0]] = BEGIN
-        end_kind = np.full(j - i, BEGIN)
+        h = w.hashes(43)
+        if head is None:
+            yield i, j, w, h, None, None, None
+            continue
+        rank = head.ranks(h)
+        at = np.arange(len(h))
+        last = np.maximum.accumulate(np.where(rank < TOP, at, -1)) if len(h) else at
+        begin = w.first[w.doc]
+        before = np.concatenate([[-1], last[:-1]]) if len(h) else last
+        kind = np.where(before >= begin, rank[np.maximum(before, 0)] + 1, 0) if len(h) else at
+        end_kind = np.zeros(j - i, np.int64)
         has = np.flatnonzero(w.count > 0)
-        end_kind[has] = after[w.first[1:][has] - 1]
-        yield i, j, w, kind, end_kind
-
-
-def _distinct(w: flat.Words, kind: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """First place of each distinct (word, kind), the pair of each word, and how often each stands."""
-    _, first, of, n = np.unique(w.hashes(43) + flat.mix(kind.astype(np.uint64)), return_index=True, return_inverse=True, return_counts=True)
-    return first, of, n
+        final = last[w.first[1:][has] - 1]
+        end_kind[has] = np.where(final >= w.first[:-1][has], rank[np.maximum(final, 0)] + 1, 0) if len(has) else 0
+        yield i, j, w, h, rank, kind, end_kind
 
 
 def count_tokens(train: DataFrame, text: str) -> DataFrame:
-    """kind, word, n over all tokens; the end is the word of one line feed."""
+    """word, n over all tokens; the end is the word of one line feed."""
 
     def run(batches):
         for batch in batches:
-            for i, j, w, kind, end_kind in _pieces(flat.as_bytes(batch.column(0))):
-                first, _, n = _distinct(w, kind)
+            for i, j, w, h, *_ in _pieces(flat.as_bytes(batch.column(0)), None):
+                _, first, n = np.unique(h, return_index=True, return_counts=True)
                 text = w.raw.tobytes()
                 words = [text[x:y] for x, y in zip(w.start[first].tolist(), w.end[first].tolist())]
-                ends = np.bincount(end_kind, minlength=4)
-                own = np.flatnonzero(ends)
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([kind[first], own]).astype(np.int32)), pa.array([*words, *[END] * len(own)], pa.binary()), pa.array(np.concatenate([n, ends[own]]).astype(np.int64))], ["kind", "word", "n"])
+                yield pa.RecordBatch.from_arrays([pa.array([*words, END], pa.binary()), pa.array(np.append(n, j - i).astype(np.int64))], ["word", "n"])
+
+    return train.select(F.col(text)).mapInArrow(run, "word binary, n long").groupBy("word").agg(F.sum("n").alias("n"))
 
-    return train.select(F.col(text)).mapInArrow(run, "kind int, word binary, n long").groupBy("kind", "word").agg(F.sum("n").alias("n"))
 
+def _blocks(total: np.ndarray):
+    rows = total.reshape(-1, 2 * BLOCK)
+    for b in np.flatnonzero(rows.any(1)).tolist():
+        yield pa.RecordBatch.from_pydict({"block": [b], "counts": [rows[b].tobytes()]}, pa.schema([("block", pa.int32()), ("counts", pa.binary())]))
 
-def _by_token(counted: DataFrame, tasks: int) -> DataFrame:
-    """Distinct tokens in the same tasks and order whoever runs them."""
-    return counted.repartition(tasks, "word").sortWithinPartitions(F.xxhash64("word"), "word", "kind")
 
+def _summed(parts: DataFrame, size: int) -> np.ndarray:
+    """Flat counts of a fixed size, added up over tasks by block."""
 
-def bit_counts(tokens: DataFrame) -> np.ndarray:
-    """[slot, 2] counts, scaled to 16 bits where larger."""
+    def add(pdf):
+        import pandas as pd
+
+        total = np.zeros(2 * BLOCK, np.int64)
+        for x in pdf["counts"]:
+            total += np.frombuffer(x, np.uint32)
+        return pd.DataFrame({"block": pdf["block"].iloc[:1], "counts": [np.minimum(total, 2**32 - 1).astype(np.uint32).tobytes()]})
+
+    out = np.zeros((-(-size // (2 * BLOCK)), 2 * BLOCK), np.uint32)
+    for r in parts.groupBy("block").applyInPandas(add, "block int, counts binary").toLocalIterator():  # a table of fixed size
+        out[r.block] = np.frombuffer(r.counts, np.uint32)
+    return out.ravel()[:size]
+
+
+def count_ranks(train: DataFrame, text: str, head: Head) -> np.ndarray:
+    """[kind, rank] counts over all tokens."""
+    shared, size = train.sparkSession.sparkContext.broadcast(head), (TOP + 1) * (HEAD + 1)
 
     def run(batches):
+        total = np.zeros(-(-size // (2 * BLOCK)) * 2 * BLOCK, np.uint32)
+        for batch in batches:
+            for i, j, w, h, rank, kind, end_kind in _pieces(flat.as_bytes(batch.column(0)), shared.value):
+                cell = np.concatenate([kind * (HEAD + 1) + rank, end_kind * (HEAD + 1) + shared.value.end])
+                at, n = np.unique(cell, return_counts=True)
+                total[at] += n.astype(np.uint32)
+        yield from _blocks(total)
+
+    return _summed(train.select(F.col(text)).mapInArrow(run, "block int, counts binary"), size).reshape(TOP + 1, HEAD + 1)
+
+
+def train_speller(rare: DataFrame, distinct: int) -> Model:
+    """rare: word, n of the tokens to learn from."""
+    tasks = max(1, min(4096, -(-distinct // 500_000)))
+    tokens = durable(rare.select("word", "n").repartition(tasks, "word"), "tokens")
+    tokens = tokens.repartition(tasks, "word").sortWithinPartitions(F.xxhash64("word"), "word")  # the same tasks and order whoever runs them
+
+    def count(batches):
         total = np.zeros(SLOTS * 2, np.uint32)
         for batch in batches:
-            kind, words, n = batch.column(0).to_numpy(), batch.column(1).to_pylist(), batch.column(2).to_numpy()
+            words, n = batch.column(0).to_pylist(), batch.column(1).to_numpy()
             for i, j in chunks(words, 120_000):
-                s = Spelled(words[i:j], kind[i:j])
+                s = Spelled(words[i:j])
                 t = np.repeat(n[i:j][s.word], 8)
                 for slot in s.slot:
                     at, of = np.unique(slot.ravel() * 2 + s.y.ravel(), return_inverse=True)
                     total[at] += np.bincount(of, t).astype(np.uint32)
-        rows = total.reshape(-1, 2 * BLOCK)
-        for b in np.flatnonzero(rows.any(1)).tolist():
-            yield pa.RecordBatch.from_pydict({"block": [b], "counts": [rows[b].tobytes()]}, pa.schema([("block", pa.int32()), ("counts", pa.binary())]))
-
-    def add(pdf):
-        import pandas as pd
-
-        total = np.zeros((BLOCK, 2), np.uint64)
-        for x in pdf["counts"]:
-            total += np.frombuffer(x, np.uint32).reshape(BLOCK, 2)
-        top = np.maximum(total.max(1, keepdims=True), 1)
-        scaled = np.where(top > 65535, -(-total * np.uint64(65535) // top), total).astype(np.uint16)
-        return pd.DataFrame({"block": pdf["block"].iloc[:1], "counts": [scaled.tobytes()]})
-
-    out = np.zeros((SLOTS // BLOCK, BLOCK, 2), np.uint16)
-    merged = tokens.mapInArrow(run, "block int, counts binary").groupBy("block").applyInPandas(add, "block int, counts binary")
-    for r in merged.collect():  # a table of fixed size
-        out[r.block] = np.frombuffer(r.counts, np.uint16).reshape(BLOCK, 2)
-    return out.reshape(SLOTS, 2)
+        yield from _blocks(total)
 
+    counts = _summed(tokens.mapInArrow(count, "block int, counts binary"), 2 * SLOTS).reshape(SLOTS, 2)
+    top = np.maximum(counts.max(1, keepdims=True), 1)
+    counts = np.where(top > 65535, np.ceil(counts * (65535 / top)), counts).astype(np.uint16)
+    shared = rare.sparkSession.sparkContext.broadcast(counts)
 
-def mixed_weights(tokens: DataFrame, counts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Weights averaged over tasks, refining table summed over tasks."""
-    shared = tokens.sparkSession.sparkContext.broadcast(counts)
-
-    def run(batches):
-        own = Online()
+    def learn(batches):
+        own = speller()
         for batch in batches:
-            kind, words, n = batch.column(0).to_numpy(), batch.column(1).to_pylist(), batch.column(2).to_numpy()
+            words, n = batch.column(0).to_pylist(), batch.column(1).to_numpy()
             for i, j in chunks(words, 30_000):
-                own.learn(shared.value, words[i:j], kind[i:j], n[i:j].astype(np.float64))
+                learn_words(own, shared.value, words[i:j], n[i:j].astype(np.float64))
         yield pa.RecordBatch.from_pydict({"w": [own.w.tobytes()], "weight": [own.weight.tobytes()], "seen": [own.seen.tobytes()]})
 
-    start = Online()
-    w, weight, seen = np.zeros_like(start.w), np.zeros(GATES), np.zeros_like(start.seen)
-    for r in sorted(tokens.mapInArrow(run, "w binary, weight binary, seen binary").collect()):  # a few KB from each task
+    mean = speller()
+    guess = mean.w.copy()
+    mean.w[:] = 0
+    for r in sorted(tokens.mapInArrow(learn, "w binary, weight binary, seen binary").collect()):  # tables of fixed size, at most 4096
         own = np.frombuffer(r.weight, np.float64)
-        w += np.frombuffer(r.w, np.float64).reshape(w.shape) * own[:, None]
-        weight += own
-        seen += np.frombuffer(r.seen, np.float64).reshape(seen.shape)
-    w = np.where(weight[:, None] > 0, w / np.maximum(weight, 1e-9)[:, None], start.w)
+        mean.w += np.frombuffer(r.w, np.float64).reshape(guess.shape) * own[:, None]
+        mean.weight += own
+        mean.seen += np.frombuffer(r.seen, np.float64).reshape(mean.seen.shape)
+    w = np.where(mean.weight[:, None] > 0, mean.w / np.maximum(mean.weight, 1e-9)[:, None], guess)
     w[:, -1] *= 0.3  # the constant input
-    centre = squash((np.arange(STEPS) + 0.5) / 2 - 8)
-    refine = (seen[..., 1] + 20 * centre) / (seen.sum(-1) + 20)
-    return w, np.clip(refine, 1e-6, 1 - 1e-6)
-
-
-def train_model(counted: DataFrame, distinct: int) -> Model:
-    tasks = max(1, min(4096, -(-distinct // 700_000)))
-    tokens = durable(_by_token(counted, tasks), "tokens")
-    files = tokens.repartition(tasks, "word").sortWithinPartitions(F.xxhash64("word"), "word", "kind")
-    counts = bit_counts(files)
-    w, refine = mixed_weights(files, counts)
-    return Model(odds(counts).astype(np.float16), digits(counts.sum(1, dtype=np.int64)), w.astype(np.float32), refine.astype(np.float32))
+    return Model(odds(counts).astype(np.float16), digits(counts.sum(1, dtype=np.int64)), w.astype(np.float32), mean.refined().astype(np.float32))
 
 
 def score_texts(docs: DataFrame, train: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """docs' id with n_tokens, n_known, train_tokens, base_score, score (log10) and bits_per_byte."""
     spark = docs.sparkSession
-    counted = durable(count_tokens(train, text), "counted")
-    words = counted.groupBy("word").agg(F.sum("n").alias("c"))
-    total = words.agg(F.coalesce(F.sum("c"), F.lit(0)).alias("n"), F.count("*").alias("v")).first()
+    words = durable(count_tokens(train, text), "counted")
+    total = words.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n"), F.count("*").alias("v")).first()
     n, v = int(total.n), int(total.v)
-    head = words.where(F.col("word") != F.lit(END)).orderBy(F.desc("c"), "word").limit(HEAD).collect()  # HEAD rows at most
-    ends = words.where(F.col("word") == F.lit(END)).first()
-    model = train_model(counted, v)
-    known = flat.Words([bytes(r.word) for r in head])
-    order = np.argsort(known.hashes(43))
-    shared = spark.sparkContext.broadcast((model, known.hashes(43)[order], np.array([r.c for r in head], np.float64)[order], 0 if ends is None else int(ends.c)))
+    # tokens seen once are spelled: they stand for those not seen at all
+    most = words.where((F.col("n") > 1) | (F.col("word") == F.lit(END))).orderBy(F.col("word") != F.lit(END), F.desc("n"), "word").limit(HEAD).collect()  # HEAD rows at most
+    most.sort(key=lambda r: (-r.n, bytes(r.word)))
+    head = Head([bytes(r.word) for r in most] if most else [END])
+    times = np.zeros(HEAD + 1)
+    times[: len(most)] = [r.n for r in most]
+    first = spark.createDataFrame([(bytes(r.word),) for r in most], "word binary")
+    prob = head_odds(count_ranks(train, text, head).astype(np.int64))
+    rare_words = words.join(F.broadcast(first), "word", "left_anti")
+    spelled = rare_words.unionByName(first.where(F.col("word") != F.lit(END)).select("word", F.lit(1).cast("long").alias("n")))  # of the head, each word once
+    model = train_speller(spelled, v)
+    shared = spark.sparkContext.broadcast((model, head, times, prob))
     below = np.log10(n + 1.0 * (v + 1))
 
     def run(batches):
-        model, names, times, n_ends = shared.value
+        model, head, times, prob = shared.value
         memory: dict[int, float] = {}
+        credit = np.log10(times + 1)
+        credit[HEAD] = 0
+        end_known, end_base = int(times[head.end] > 0), float(credit[head.end])
         for batch in batches:
             raw = flat.as_bytes(batch.column(2))
-            cols: dict[str, list] = {c: [] for c in ("n_tokens", "n_bytes", "known", "base", "score", "rare", "rare_n")}
-            for i, j, w, kind, end_kind in _pieces(raw):
-                first, of, _ = _distinct(w, kind)
-                text = w.raw.tobytes()
-                hashes = w.hashes(43)
-                pair = (hashes + flat.mix(kind.astype(np.uint64)))[first].tolist()
-                new = [k for k, h in enumerate(pair) if h not in memory]
-                got = model.score([text[w.start[first[k]] : w.end[first[k]]] for k in new], kind[first[new]]) if new else ()
-                own = dict(zip((pair[k] for k in new), got))
-                value = np.array([own[h] if h in own else memory[h] for h in pair])
+            cols: dict[str, list] = {c: [] for c in ("n_tokens", "n_bytes", "known", "base", "score", "rare")}
+            for i, j, w, h, rank, kind, end_kind in _pieces(raw, head):
+                m, text = j - i, w.raw.tobytes()
+                out = np.flatnonzero(rank == HEAD)
+                own, at, of = np.unique(h[out], return_index=True, return_inverse=True)
+                pair = own.tolist()
+                new = [k for k, x in enumerate(pair) if x not in memory]
+                got = dict(zip([pair[k] for k in new], model.score([text[w.start[x] : w.end[x]] for x in out[at[new]].tolist()]).tolist())) if new else {}
+                spelled = np.array([got[x] if x in got else memory[x] for x in pair])
                 if len(memory) < 400_000:
-                    memory.update(own)
-                m = j - i
-                end = model.score([END] * 4, np.arange(4))
-                score = np.bincount(w.doc, value[of], minlength=m) + end[end_kind] if len(of) else end[end_kind]
-                at = np.searchsorted(names, hashes)
-                at[at == len(names)] = 0
-                hit = names[at] == hashes if len(names) else np.zeros(len(hashes), bool)
-                c = np.where(hit, times[at], 0) if len(names) else np.zeros(len(hashes))
-                cols["known"] += (np.bincount(w.doc, hit, minlength=m).astype(np.int64) + (n_ends > 0)).tolist()
-                cols["base"] += (np.bincount(w.doc, np.where(hit, np.log10(c + 1), 0), minlength=m) + np.log10(n_ends + 1)).tolist()
+                    memory.update(got)
+                each = prob[kind, rank].astype(np.float64)
+                if len(out):
+                    each[out] += spelled[of]
+                score = np.bincount(w.doc, each, minlength=m) + prob[end_kind, head.end]
+                cols["known"] += (np.bincount(w.doc, (rank < HEAD) & (times[rank] > 0), minlength=m).astype(np.int64) + end_known).tolist()
+                cols["base"] += (np.bincount(w.doc, credit[rank], minlength=m) + end_base).tolist()
                 cols["n_tokens"] += (w.count + 1).tolist()
                 cols["n_bytes"] += np.diff(w.doc_at).tolist()
                 cols["score"] += (score * np.log10(2)).tolist()
-                miss = np.flatnonzero(~hit)
-                bounds = np.searchsorted(w.doc[miss], np.arange(m + 1)).tolist()
-                found = [text[x:y] for x, y in zip(w.start[miss].tolist(), w.end[miss].tolist())]
+                bounds = np.searchsorted(w.doc[out], np.arange(m + 1)).tolist()
+                found = [text[x:y] for x, y in zip(w.start[out].tolist(), w.end[out].tolist())]
                 cols["rare"] += [found[x:y] for x, y in zip(bounds, bounds[1:])]
-            del cols["rare_n"]
             kinds = {"n_tokens": pa.int64(), "n_bytes": pa.int64(), "known": pa.int64(), "base": pa.float64(), "score": pa.float64(), "rare": pa.list_(pa.binary())}
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *[pa.array(cols[c], kinds[c]) for c in kinds]], ["doc_id", "key", *kinds])
 
     kind = docs.schema[doc_id].dataType.simpleString()
     rows = docs.select(F.col(doc_id).alias("doc_id"), F.coalesce(exchange.text_key(text), F.unhex(F.md5(F.lit("")))).alias("key"), F.col(text).alias("text"))
     scored = durable(rows.mapInArrow(run, f"doc_id {kind}, key binary, n_tokens long, n_bytes long, known long, base double, score double, rare array<binary>"), "scored")
-    rare = scored.where(F.size("rare") > 0).select("key", "rare").dropDuplicates(["key"]).select("key", F.explode("rare").alias("word")).groupBy("key", "word").agg(F.count("*").alias("tf"))
-    tail = rare.join(words, "word").groupBy("key").agg(F.sum("tf").alias("more"), F.sum(F.col("tf") * F.log10(F.col("c") + 1.0)).alias("add"))
+    rare = scored.where(F.size("rare") > 0).select("key", "rare").dropDuplicates(["key"]).select("key", F.explode("rare").alias("word"))
+    tail = rare.join(rare_words, "word").groupBy("key").agg(F.count("*").alias("more"), F.sum(F.log10(F.col("n") + 1.0)).alias("add"))
     out = scored.drop("rare").join(tail, "key", "left")
     return out.select(
         "doc_id",
