@@ -24,10 +24,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import ship, table
 
 REMEMBERED = 350_000  # pieces a generation
-_FAST = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-z]+|[0-9]|[^\s\x1c-\x1fa-z0-9]+|[\x1c-\x1f]")
+_LETTER, _DIGIT = "a-z\u00aa\u00b5\u00ba\u00df-\u00f6\u00f8-\u024f", "0-9\u00b2\u00b3\u00b9\u00bc-\u00be"
+_FAST = re.compile(rf"\n|'s|'t|'re|'ve|'m|'ll|'d|[{_LETTER}]+|[{_DIGIT}]|[^\s{_LETTER}{_DIGIT}]+")
+_SLOW = re.compile("[\x1c-\x1f\u0250-\U0010ffff]|<\\|")  # control separators, other scripts, perhaps a special token
 NONE = np.int32(2**31 - 1)
 
 
@@ -69,10 +71,10 @@ class Bpe:
         self.seen: tuple[dict, dict] = ({}, {})
         self.seen_as = ""
 
-    def merge(self, words: list[bytes]) -> list[np.ndarray]:
-        """Ids of words given as bytes (each non-empty)."""
+    def merge(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of words given as bytes (each non-empty), one after the other, and the number of each."""
         if not words:
-            return []
+            return np.zeros(0, np.int32), np.zeros(0, np.int64)
         lens = np.fromiter(map(len, words), np.int64, len(words))
         raw = np.frombuffer(b"".join(words), np.uint8)
         sym = self.first[raw]
@@ -87,55 +89,69 @@ class Bpe:
             at[at == len(self.keys)] = 0
             rank = np.full(len(sym), NONE, np.int32)
             rank[same] = np.where(self.keys[at] == key, self.rank[at], NONE)
-            starts = np.flatnonzero(np.diff(word, prepend=-1))
-            low = np.minimum.reduceat(rank, starts)
-            of = np.cumsum(np.diff(word, prepend=-1) != 0) - 1
+            begin = np.diff(word, prepend=-1) != 0
+            low = np.minimum.reduceat(rank, np.flatnonzero(begin))
+            of = np.cumsum(begin) - 1
             live = (low < NONE)[of]
-            hit = live & (rank == low[of])
+            where = np.flatnonzero(live & (rank == low[of]))
             if not live.all():
                 done_sym.append(sym[~live])
                 done_word.append(word[~live])
-            where = np.flatnonzero(hit)
             if self.in_order:  # of touching places in a run, every second one
-                run = np.cumsum(np.diff(where, prepend=-2) != 1) - 1
-                where = where[(np.arange(len(where)) - np.flatnonzero(np.diff(where, prepend=-2) != 1)[run]) % 2 == 0] if len(where) else where
+                head = np.diff(where, prepend=-2) != 1
+                where = where[(np.arange(len(where)) - np.flatnonzero(head)[np.cumsum(head) - 1]) % 2 == 0] if len(where) else where
             else:
                 where = where[np.diff(of[where], prepend=-1) != 0]
             sym[where] = self.made[rank[where]]
             live[where + 1] = False
             sym, word = sym[live], word[live]
         flat, owner = np.concatenate(done_sym), np.concatenate(done_word)
-        order = np.argsort(owner, kind="stable")
-        return np.split(flat[order], np.cumsum(np.bincount(owner, minlength=len(words)))[:-1])
-
-    def words(self, piece: str) -> list[bytes]:
-        """The words of a piece, as bytes, after normalisation."""
-        if piece.isascii():
-            return [x.encode() for x in _FAST.findall(piece.lower()) if x] if not re.search(r"[\x1c-\x1f]", piece) else self._library_words(piece)
-        return self._library_words(piece)
-
-    def _library_words(self, piece: str) -> list[bytes]:
-        normal = self.library.normalizer.normalize_str(piece)
-        return [bytes(self.byte_of[c] for c in x) for x, _ in self.library.pre_tokenizer.pre_tokenize_str(normal) if x]
+        return flat[np.argsort(owner, kind="stable")], np.bincount(owner, minlength=len(words))
+
+    def _words(self, piece: str) -> list[bytes | int]:
+        """Words of any piece, by the library's normaliser and splitter, and special tokens as ids."""
+        out: list[bytes | int] = []
+        for part in self.special_cut.split(piece) if self.special_cut else (piece,):
+            if part in self.special:
+                out.append(self.special[part])
+            else:
+                normal = self.library.normalizer.normalize_str(part)
+                out += [bytes(self.byte_of[c] for c in x) for x, _ in self.library.pre_tokenizer.pre_tokenize_str(normal) if x]
+        return out
+
+    def encode_flat(self, pieces: list[str]) -> tuple[np.ndarray, list[int]]:
+        """Ids of all pieces (texts or parts of texts that white space bounds), and where each piece begins (and the last ends)."""
+        slow = [i for i, p in enumerate(pieces) if _SLOW.search(p)] if _SLOW.search("\n".join(pieces)) else []
+        plain = "\n".join(pieces) if not slow else "\n".join(["" if _SLOW.search(p) else p for p in pieces])
+        words: list = _FAST.findall(plain.lower())
+        if slow:
+            out, at = [], 0
+            breaks = [-1, *[k for k, w in enumerate(words) if w == "\n"], len(words)]
+            for i in slow:
+                out += words[at : breaks[i] + 1]
+                out += self._words(pieces[i])
+                at = breaks[i] + 1
+            words = out + words[at:]
+        index: dict = {"\n": 0}
+        number = [index.setdefault(w, len(index)) for w in words]
+        todo = [w for w in index if w != "\n" and not isinstance(w, int)]
+        ids, n = self.merge([w if isinstance(w, bytes) else w.encode() for w in todo])
+        start, count = np.zeros(len(index), np.int64), np.zeros(len(index), np.int64)
+        own = np.array([index[w] for w in todo], np.int64)
+        start[own], count[own] = np.cumsum(n) - n, n
+        special = [w for w in index if isinstance(w, int)]
+        for k, w in enumerate(special):
+            start[index[w]], count[index[w]] = len(ids) + k, 1
+        ids = np.concatenate([ids, np.array(special, np.int32)])
+        num = np.array(number, np.int64)
+        c = count[num]
+        to = np.cumsum(c) - c
+        out_ids = ids[np.repeat(start[num] - to, c) + np.arange(int(c.sum()))]
+        return out_ids, [0, *to[num == 0].tolist(), len(out_ids)] if pieces else [0]
 
     def encode_pieces(self, pieces: list[str]) -> list[np.ndarray]:
-        """Ids of pieces (texts or parts of texts that white space bounds)."""
-        todo, plan, index = [], [], {}
-        for p in pieces:
-            steps = []
-            for part in self.special_cut.split(p) if self.special_cut and "<" in p else (p,):
-                if part in self.special:
-                    steps.append(-self.special[part] - 1)
-                else:
-                    for w in self.words(part):
-                        if w not in index:
-                            index[w] = len(todo)
-                            todo.append(w)
-                        steps.append(index[w])
-            plan.append(steps)
-        ids = self.merge(todo)
-        none = np.zeros(0, np.int32)
-        return [np.concatenate([ids[s] if s >= 0 else np.array([-s - 1], np.int32) for s in steps]) if len(steps) > 1 else ids[steps[0]] if steps and steps[0] >= 0 else np.array([-steps[0] - 1], np.int32) if steps else none for steps in plan]
+        ids, at = self.encode_flat(pieces)
+        return [ids[i:j] for i, j in zip(at, at[1:])]
 
     def encode(self, text: str | None) -> np.ndarray:
         parts = self.encode_pieces([x.decode() for x in (text or "").encode().split()])
@@ -145,25 +161,27 @@ class Bpe:
         """As the library does for a file without a decoder: the tokens with one space between them."""
         return " ".join([self.token[int(i)] for i in ids])
 
-    def remember(self, kind: str, chunks: list[list[bytes]], make, encode=None) -> dict:
-        """make(ids) for every distinct piece of chunks; two generations of bounded size, kept for one kind of result."""
+    def remember(self, kind: str, chunks: list[list[bytes]], make) -> dict:
+        """What make(ids, begins) yields for every distinct piece of chunks; two generations of bounded size, kept for one kind of result."""
         if kind != self.seen_as:
             self.seen, self.seen_as = ({}, {}), kind
         new, old = self.seen
         if len(new) > REMEMBERED:
             self.seen = (new, old) = ({}, new)
         need = set().union(*chunks).difference(new)
-        for p in [p for p in need if p in old]:
-            new[p] = old[p]
-            need.discard(p)
-        todo = list(need)
+        known = need.intersection(old)
+        new.update(zip(known, map(old.__getitem__, known)))
+        todo = list(need.difference(known))
         for i in range(0, len(todo), 20_000):
             part = todo[i : i + 20_000]
-            for p, ids in zip(part, (encode or self.encode_pieces)([x.decode() for x in part])):
-                new[p] = make(ids)
+            new.update(zip(part, make(*self.encode_flat(b"\n".join(part).decode().split("\n")))))
         return new
 
 
+def arrays(ids: np.ndarray, at: list[int]):
+    return [ids[i:j].copy() for i, j in zip(at, at[1:])]
+
+
 _loaded: dict[str, Bpe] = {}
 
 
@@ -188,6 +206,7 @@ def groups(texts, most: int = 1 << 21):
 
 def encode_ids(docs: DataFrame, path: str, text: str = "text") -> DataFrame:
     """docs with `ids` array<int>."""
+    ship(docs.sparkSession)
 
     def run(batches):
         bpe = load(path)
@@ -195,7 +214,7 @@ def encode_ids(docs: DataFrame, path: str, text: str = "text") -> DataFrame:
             col = b.column(b.num_columns - 1)
             ids = []
             for chunk in groups(col.cast(pa.binary()).to_pylist()):
-                got = bpe.remember("ids", chunk, lambda x: x)
+                got = bpe.remember("ids", chunk, arrays)
                 ids += [np.concatenate([got[p] for p in c]) if c else np.zeros(0, np.int32) for c in chunk]
             yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(ids, pa.list_(pa.int32()))], [*docs.columns, "ids"])
 
@@ -206,6 +225,7 @@ def encode_ids(docs: DataFrame, path: str, text: str = "text") -> DataFrame:
 
 def decode_ids(docs: DataFrame, path: str, ids: str = "ids") -> DataFrame:
     """docs with `decoded` string (null for null ids)."""
+    ship(docs.sparkSession)
     docs = docs.drop("decoded")
     schema = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in docs.columns) + ", decoded string"
 
@@ -220,9 +240,15 @@ def decode_ids(docs: DataFrame, path: str, ids: str = "ids") -> DataFrame:
 
 def digests(docs: DataFrame, path: str, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """doc_id, n_tokens, ids_sha256, decoded_sha256 of the whole texts."""
+    ship(docs.sparkSession)
 
     def make(bpe):
-        return lambda ids: (len(ids), " ".join(map(str, ids.tolist())), bpe.decode(ids))
+        def run(ids, at):
+            ids = ids.tolist()
+            number, token = list(map(str, ids)), list(map(bpe.token.__getitem__, ids))
+            return [(j - i, " ".join(number[i:j]), " ".join(token[i:j])) for i, j in zip(at, at[1:])]
+
+        return run
 
     def run(batches):
         bpe = load(path)

@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import bpe
-from .common import new_path, table, width
+from .common import new_path, ship, table, width
 
 MASK = np.uint64(0xFFFFFFFFFFFFFFFF)
 
@@ -93,6 +93,7 @@ def file_system(uri: str):
 def write_store(docs: DataFrame, path: str, end_id: int = 1, shards: int | None = None, doc_id: str = "doc_id", text: str = "text", out_uri: str | None = None) -> tuple[str, list[dict]]:
     """Encode, append end_id and write. Returns the folder and the manifest (a row for each shard file)."""
     spark = docs.sparkSession
+    ship(spark)
     uri = out_uri or new_path(spark, "tokens")
 
     def write(batches):
@@ -107,15 +108,16 @@ def write_store(docs: DataFrame, path: str, end_id: int = 1, shards: int | None
         name = f"shard-{shard:06d}-{uuid4().hex}.ids"
         keys, lens, out = [], [], None
 
-        def encode(pieces):
-            return [np.array(e.ids, kind) for e in store.library.encode_batch(pieces, add_special_tokens=False)]
+        def make(ids, at):
+            raw = ids.astype(kind).tobytes()
+            return [raw[i * kind.itemsize : j * kind.itemsize] for i, j in zip(at, at[1:])]
 
         for b in batches:
             if out is None:
                 out = fs.open_output_stream(f"{folder}/{name}")
             keys.append(b.column(0).to_pandas())
             for chunk in bpe.groups(b.column(1).cast(pa.binary()).to_pylist()):
-                got = store.remember(f"bytes{kind.itemsize}", chunk, lambda ids: ids.tobytes(), encode)
+                got = store.remember(f"bytes{kind.itemsize}", chunk, make)
                 for c in chunk:
                     raw = b"".join(map(got.__getitem__, c)) + end
                     lens.append(len(raw) // kind.itemsize)
