@@ -20,7 +20,7 @@ from .common import ship, table
 
 BUCKETS = 1 << 16
 MAX_LANGS = 2048
-PIECE = 1 << 21  # code points handled at once
+PIECE = 1 << 19  # code points handled at once
 _letters: list[np.ndarray] = []
 
 
@@ -115,7 +115,7 @@ def predict(docs: DataFrame, model: tuple[list[str], np.ndarray], text: str = "t
         table_, prior = shared.value[:, :-1], shared.value[:, -1]
         tabs = [np.ascontiguousarray(x) for x in table_]
         for batch in batches:
-            texts = batch.column(batch.num_columns - 1).to_pylist()
+            texts = batch.column(at).to_pylist()
             names, probs = [], []
             for i, j in pieces(texts):
                 g, doc = grams(texts[i:j])
@@ -133,10 +133,11 @@ def predict(docs: DataFrame, model: tuple[list[str], np.ndarray], text: str = "t
                     ok = bool(seen[d]) and bool(langs)
                     names.append(langs[best[d]] if ok else "und")
                     probs.append(float(p[d]) if ok else 0.0)
-            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(names, pa.string()), pa.array(probs, pa.float64())], [*keep, "lang_pred", "score"])
+            yield pa.RecordBatch.from_arrays([*batch.columns[: len(keep)], pa.array(names, pa.string()), pa.array(probs, pa.float64())], [*keep, "lang_pred", "score"])
 
     schema = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in keep) + ", lang_pred string, score double"
-    return docs.select(*[F.col(f"`{c}`") for c in keep], F.col(text).alias("__text")).mapInArrow(score, schema)
+    at = keep.index(text) if text in keep else len(keep)
+    return docs.select(*[F.col(f"`{c}`") for c in keep], *[F.col(text).alias("__text")] * (text not in keep)).mapInArrow(score, schema)
 
 
 def fold(doc_id: str, n: int):
