@@ -161,7 +161,7 @@ def degree_stats_part_supp(spark, d):
 
 @query("k_core_part_supp", None)
 def k_core_part_supp(spark, d):
-    return G.k_core(graph(spark, d, "g_part_supp"), 40)
+    return G.k_core(graph(spark, d, "g_part_supp"), 20)
 
 
 @query("hits_pages", None)
