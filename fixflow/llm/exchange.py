@@ -188,13 +188,13 @@ def times(low: np.ndarray) -> np.ndarray:
 def annotate_bodies(
     texts: DataFrame,
     hasher: Callable[..., tuple[np.ndarray, np.ndarray, np.ndarray, list[bytes]]],
-    judge: Callable[[list[bytes], np.ndarray], list[np.ndarray]],
+    judge: Callable[[list[bytes], np.ndarray, np.ndarray], list[np.ndarray]],
     extra: str | None = None,
 ) -> DataFrame:
     """As ``annotate`` for pieces of text: those dealt to one bucket are looked at together.
 
     hasher(texts, extras) -> for each piece the value that deals it out and a content hash, the number of pieces of each text, and
-    the pieces. Equal pieces of a chunk travel once. judge(distinct pieces, how often each stands) -> notes of each.
+    the pieces. Equal pieces of a chunk travel once. judge(distinct pieces, how often each stands, the value of each) -> notes of each.
     """
     n = width(texts.sparkSession)
 
@@ -207,7 +207,7 @@ def annotate_bodies(
         parts = [(int(b[i]), i, j) for i, j in zip(cut, [*cut[1:], len(b)])]
         if not parts or parts[0][0]:
             parts.insert(0, (0, 0, 0))
-        out: dict[str, list] = {x: [] for x in ("bucket", "chunk", "pick", "doc", "lens", "body", "content", "keys")}
+        out: dict[str, list] = {x: [] for x in ("bucket", "chunk", "pick", "doc", "lens", "body", "content", "value", "keys")}
         for name, i, j in parts:
             own, first, pick = np.unique(content[order[i:j]], return_index=True, return_inverse=True)
             sent = [bodies[k] for k in order[i:j][first].tolist()]
@@ -218,8 +218,9 @@ def annotate_bodies(
             out["lens"].append(np.array([len(x) for x in sent], np.uint32).tobytes())
             out["body"].append(b"".join(sent))
             out["content"].append(own.tobytes())
+            out["value"].append(h[order[i:j][first]].tobytes())
             out["keys"].append(b"".join(keys) if name == 0 else None)
-        kinds = [("bucket", pa.int32()), ("chunk", pa.int64()), *[(x, pa.binary()) for x in ("pick", "doc", "lens", "body", "content", "keys")]]
+        kinds = [("bucket", pa.int32()), ("chunk", pa.int64()), *[(x, pa.binary()) for x in ("pick", "doc", "lens", "body", "content", "value", "keys")]]
         return pa.RecordBatch.from_pydict(out, pa.schema(kinds))
 
     def send(batches):
@@ -255,7 +256,8 @@ def annotate_bodies(
             picks.append(of[base + np.frombuffer(p, np.uint32).astype(np.int64)])
             base += len(x) // 8
         many = np.bincount(np.concatenate(picks), minlength=len(own)) if len(own) else np.zeros(0, np.int64)
-        notes = judge([bodies[k] for k in first.tolist()], many)
+        value = np.concatenate([np.frombuffer(x, np.uint64) for x in pdf["value"]])
+        notes = judge([bodies[k] for k in first.tolist()], many, value[first])
         sizes = np.array([len(x) for x in notes], np.uint32)
         found = [x.tobytes() for x in notes]
         return pd.DataFrame({"chunk": pdf["chunk"], "bucket": pdf["bucket"], "doc": pdf["doc"], "keys": pdf["keys"], "sizes": [sizes[p].tobytes() for p in picks], "notes": [b"".join([found[k] for k in p.tolist()]) for p in picks]})
@@ -271,6 +273,6 @@ def annotate_bodies(
         return pd.DataFrame({"key": [raw[i : i + 16] for i in range(0, len(raw), 16)], "notes": [b"".join(x) for x in parts]})
 
     cols = texts.select("key", "text", F.col(extra) if extra else F.lit(None).cast("binary").alias("extra"))
-    sent = cols.mapInArrow(send, "bucket int, chunk long, pick binary, doc binary, lens binary, body binary, content binary, keys binary")
+    sent = cols.mapInArrow(send, "bucket int, chunk long, pick binary, doc binary, lens binary, body binary, content binary, value binary, keys binary")
     judged = sent.groupBy("bucket").applyInPandas(look, "chunk long, bucket int, doc binary, keys binary, sizes binary, notes binary")
     return texts.join(judged.groupBy("chunk").applyInPandas(gather, "key binary, notes binary"), "key")

@@ -33,7 +33,8 @@ from .substring import NOTHING, covered
 
 TRIGGER = 8
 EVERY = 40  # mean phrase length
-HOT = 16
+HOT = 12
+TOGETHER = 1 << 20  # bytes of pieces whose suffixes are ordered at once, unless one phrase deals out more
 LIMIT = np.uint64((1 << 64) // EVERY)
 
 
@@ -240,17 +241,28 @@ def _rank2(major: np.ndarray, minor: np.ndarray) -> np.ndarray:
 def repeated_starts(length: int):
     """judge of annotate_bodies: for each piece a byte for each window start, 1 if its window stands elsewhere."""
 
-    def run(bodies: list[bytes], many: np.ndarray) -> list[np.ndarray]:
-        if not bodies:
-            return []
+    def ordered(bodies: list[bytes]) -> list[np.ndarray]:
         s, order, one, two = suffix_order(bodies, length)
         o = s[order]
         x, y = one(o, o + length), two(o, o + length)
         same = (x[1:] == x[:-1]) & (y[1:] == y[:-1])
         twin = np.empty(len(s), np.uint8)
         twin[order] = np.concatenate([[False], same]) | np.concatenate([same, [False]])
-        cut = np.cumsum([len(b) - length + 1 for b in bodies])[:-1]
-        return [np.ones_like(x) if n > 1 else x for x, n in zip(np.split(twin, cut), many.tolist())]
+        return np.split(twin, np.cumsum([len(b) - length + 1 for b in bodies])[:-1])
+
+    def run(bodies: list[bytes], many: np.ndarray, value: np.ndarray) -> list[np.ndarray]:
+        notes: list = [None] * len(bodies)
+        order = np.argsort(value, kind="stable").tolist()
+        i = 0
+        while i < len(order):
+            j, size = i, 0
+            while j < len(order) and (size < TOGETHER or value[order[j]] == value[order[j - 1]]):
+                size += len(bodies[order[j]])
+                j += 1
+            for k, x in zip(order[i:j], ordered([bodies[k] for k in order[i:j]])):
+                notes[k] = np.ones_like(x) if many[k] > 1 else x
+            i = j
+        return notes
 
     return run
 
