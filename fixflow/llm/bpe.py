@@ -207,6 +207,8 @@ def groups(texts, most: int = 1 << 21):
 def encode_ids(docs: DataFrame, path: str, text: str = "text") -> DataFrame:
     """docs with `ids` array<int>."""
     ship(docs.sparkSession)
+    docs = docs.drop("ids")
+    names = [*docs.columns, "ids"]
 
     def run(batches):
         bpe = load(path)
@@ -216,10 +218,9 @@ def encode_ids(docs: DataFrame, path: str, text: str = "text") -> DataFrame:
             for chunk in groups(col.cast(pa.binary()).to_pylist()):
                 got = bpe.remember("ids", chunk, arrays)
                 ids += [np.concatenate([got[p] for p in c]) if c else np.zeros(0, np.int32) for c in chunk]
-            yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(ids, pa.list_(pa.int32()))], [*docs.columns, "ids"])
+            yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(ids, pa.list_(pa.int32()))], names)
 
-    schema = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in docs.columns if c != "ids") + ", ids array<int>"
-    docs = docs.drop("ids")
+    schema = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in docs.columns) + ", ids array<int>"
     return docs.select("*", F.col(text).alias("__text")).mapInArrow(run, schema)
 
 
@@ -227,13 +228,14 @@ def decode_ids(docs: DataFrame, path: str, ids: str = "ids") -> DataFrame:
     """docs with `decoded` string (null for null ids)."""
     ship(docs.sparkSession)
     docs = docs.drop("decoded")
+    names = [*docs.columns, "decoded"]
     schema = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in docs.columns) + ", decoded string"
 
     def run(batches):
         bpe = load(path)
         for b in batches:
             got = [None if x is None else bpe.decode(x) for x in b.column(b.num_columns - 1).to_pylist()]
-            yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(got, pa.string())], [*docs.columns, "decoded"])
+            yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(got, pa.string())], names)
 
     return docs.select("*", F.col(ids).alias("__ids")).mapInArrow(run, schema)
 
