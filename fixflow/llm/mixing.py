@@ -225,7 +225,7 @@ class Head:
 
 def _pieces(raw: list[bytes], head: Head | None):
     """Texts in pieces: words, their hashes, ranks and kinds (one more than the rank of the last frequent word before, 0: none), and the kind before each end."""
-    for i, j in flat.parts(raw, 4 * flat.PIECE):
+    for i, j in flat.parts(raw):
         w = flat.Words(raw[i:j], fold=True)
         h = w.hashes(43)
         if head is None:
@@ -247,13 +247,24 @@ def _pieces(raw: list[bytes], head: Head | None):
 def count_tokens(train: DataFrame, text: str) -> DataFrame:
     """word, n over all tokens; the end is the word of one line feed."""
 
+    def rows(seen: dict[bytes, int]):
+        return pa.RecordBatch.from_arrays([pa.array(list(seen), pa.binary()), pa.array(list(seen.values()), pa.int64())], ["word", "n"])
+
     def run(batches):
+        seen: dict[bytes, int] = {}
         for batch in batches:
             for i, j, w, h, *_ in _pieces(flat.as_bytes(batch.column(0)), None):
                 _, first, n = np.unique(h, return_index=True, return_counts=True)
                 text = w.raw.tobytes()
-                words = [text[x:y] for x, y in zip(w.start[first].tolist(), w.end[first].tolist())]
-                yield pa.RecordBatch.from_arrays([pa.array([*words, END], pa.binary()), pa.array(np.append(n, j - i).astype(np.int64))], ["word", "n"])
+                for x, y, c in zip(w.start[first].tolist(), w.end[first].tolist(), n.tolist()):
+                    word = text[x:y]
+                    seen[word] = seen.get(word, 0) + c
+                seen[END] = seen.get(END, 0) + j - i
+                if len(seen) > 250_000:
+                    yield rows(seen)
+                    seen = {}
+        if seen:
+            yield rows(seen)
 
     return train.select(F.col(text)).mapInArrow(run, "word binary, n long").groupBy("word").agg(F.sum("n").alias("n"))
 
@@ -378,7 +389,7 @@ def score_texts(docs: DataFrame, train: DataFrame, doc_id: str = "doc_id", text:
                 new = [k for k, x in enumerate(pair) if x not in memory]
                 got = dict(zip([pair[k] for k in new], model.score([text[w.start[x] : w.end[x]] for x in out[at[new]].tolist()]).tolist())) if new else {}
                 spelled = np.array([got[x] if x in got else memory[x] for x in pair])
-                if len(memory) < 400_000:
+                if len(memory) < 200_000:
                     memory.update(got)
                 each = prob[kind, rank].astype(np.float64)
                 if len(out):
