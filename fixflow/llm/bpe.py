@@ -26,7 +26,7 @@ from pyspark.sql import functions as F
 
 from .common import ship, table
 
-REMEMBERED = 350_000  # pieces a generation
+REMEMBERED = 200_000  # pieces a generation
 _LETTER, _DIGIT = "a-z\u00aa\u00b5\u00ba\u00df-\u00f6\u00f8-\u024f", "0-9\u00b2\u00b3\u00b9\u00bc-\u00be"
 _FAST = re.compile(rf"\n|'s|'t|'re|'ve|'m|'ll|'d|[{_LETTER}]+|[{_DIGIT}]|[^\s{_LETTER}{_DIGIT}]+")
 _SLOW = re.compile("[\x1c-\x1f\u0250-\U0010ffff]|<\\|")  # control separators, other scripts, perhaps a special token
@@ -219,6 +219,7 @@ def encode_ids(docs: DataFrame, path: str, text: str = "text") -> DataFrame:
                 got = bpe.remember("ids", chunk, arrays)
                 ids += [np.concatenate([got[p] for p in c]) if c else np.zeros(0, np.int32) for c in chunk]
             yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(ids, pa.list_(pa.int32()))], names)
+        bpe.seen = ({}, {})
 
     schema = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in docs.columns) + ", ids array<int>"
     return docs.select("*", F.col(text).alias("__text")).mapInArrow(run, schema)
@@ -264,6 +265,7 @@ def digests(docs: DataFrame, path: str, doc_id: str = "doc_id", text: str = "tex
                     enc.append(hashlib.sha256(" ".join([x[1] for x in parts]).encode()).hexdigest())
                     dec.append(hashlib.sha256(" ".join([x[2] for x in parts]).encode()).hexdigest())
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(enc), pa.array(dec)], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
+        bpe.seen = ({}, {})  # a worker lives on after its task
 
     kind = docs.schema[doc_id].dataType.simpleString()
     return docs.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("text")).mapInArrow(run, f"doc_id {kind}, n_tokens long, ids_sha256 string, decoded_sha256 string")

@@ -1,7 +1,7 @@
 """Texts as flat numpy arrays: words, their hashes and hashes of runs of words, without a Python object for each word.
 
 Hashes are polynomials modulo 2**64 with odd bases over mixed 64-bit letters, so a run's hash is a difference of prefix
-sums times a power of the inverse base. Two seeds give two independent hashes where 64 bits are not enough.
+sums times a power of the inverse base. Two seeds of the letters give two independent hashes where 64 bits are not enough.
 """
 
 from __future__ import annotations
@@ -23,14 +23,14 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(32))
 
 
-def base(seed: int) -> int:
-    return int(mix(np.array([seed + 12345], np.uint64))[0]) & ~7 | 3
+BASE = 0x9B97D68D3A1F5C2B
 
 
-def powers(seed: int, n: int, inverse: bool = False) -> np.ndarray:
-    key = (seed, inverse)
+def powers(n: int, inverse: bool = False) -> np.ndarray:
+    """Powers of the base, kept for the life of a worker: one table and one of inverses, whatever the seeds."""
+    key = inverse
     if key not in _cache or len(_cache[key]) < n:
-        b = base(seed)
+        b = BASE
         if inverse:
             b = pow(b, -1, 1 << 64)
         size = 1 << max(10, int(n - 1).bit_length())
@@ -48,13 +48,13 @@ def letters(seed: int) -> np.ndarray:
 class Runs:
     """Hashes of any run of a sequence of 64-bit values."""
 
-    def __init__(self, values: np.ndarray, seed: int):
+    def __init__(self, values: np.ndarray, salt: int):
         n = len(values)
-        self.seed, self.sums = seed, np.zeros(n + 1, np.uint64)
-        np.cumsum(values * powers(seed, n), out=self.sums[1:])
+        self.sums = np.zeros(n + 1, np.uint64)
+        np.cumsum((values + np.uint64(salt)) * powers(n), out=self.sums[1:])
 
     def __call__(self, start: np.ndarray, end: np.ndarray) -> np.ndarray:
-        return mix((self.sums[end] - self.sums[start]) * powers(self.seed, len(self.sums), True)[start])
+        return mix((self.sums[end] - self.sums[start]) * powers(len(self.sums), True)[start])
 
 
 class Words:
