@@ -172,11 +172,12 @@ def head_odds(counts: np.ndarray) -> np.ndarray:
 
     def nodes(c: np.ndarray):
         """Counts of 0 and 1 at every decision: first the escape, then the digits from the top."""
+        c = c.astype(np.int64)
         yield np.array([[c[:HEAD].sum(), c[HEAD]]])
         for b in range(bits):
             yield c[:HEAD].reshape(1 << b, 2, -1).sum(2)
 
-    whole = list(nodes(counts.sum(0)))
+    whole = list(nodes(counts.sum(0, dtype=np.int64)))
 
     def inputs(k: int, b: int, n: np.ndarray, y: np.ndarray | None):
         x = np.stack([odds(whole[b], y), odds(n, y), np.full(len(n), 0.3, np.float32)], 1)
@@ -327,8 +328,12 @@ def train_speller(rare: DataFrame, distinct: int) -> Model:
         yield from _blocks(total)
 
     counts = _summed(tokens.mapInArrow(count, "block int, counts binary"), 2 * SLOTS).reshape(SLOTS, 2)
-    top = np.maximum(counts.max(1, keepdims=True), 1)
-    counts = np.where(top > 65535, np.ceil(counts * (65535 / top)), counts).astype(np.uint16)
+    small = np.empty((SLOTS, 2), np.uint16)
+    for i in range(0, SLOTS, 1 << 18):  # in parts, for the driver's memory
+        part = counts[i : i + (1 << 18)]
+        top = np.maximum(part.max(1, keepdims=True), 1)
+        small[i : i + (1 << 18)] = np.where(top > 65535, np.ceil(part * (65535 / top)), part)
+    counts = small
     shared = rare.sparkSession.sparkContext.broadcast(counts)
 
     def learn(batches):
@@ -349,7 +354,12 @@ def train_speller(rare: DataFrame, distinct: int) -> Model:
         mean.seen += np.frombuffer(r.seen, np.float64).reshape(mean.seen.shape)
     w = np.where(mean.weight[:, None] > 0, mean.w / np.maximum(mean.weight, 1e-9)[:, None], guess)
     w[:, -1] *= 0.3  # the constant input
-    return Model(odds(counts).astype(np.float16), digits(counts.sum(1, dtype=np.int64)), w.astype(np.float32), mean.refined().astype(np.float32))
+    shared.unpersist()
+    logit, seen = np.empty(SLOTS, np.float16), np.empty(SLOTS, np.uint8)
+    for i in range(0, SLOTS, 1 << 18):
+        part = counts[i : i + (1 << 18)]
+        logit[i : i + (1 << 18)], seen[i : i + (1 << 18)] = odds(part), digits(part.sum(1, dtype=np.int64))
+    return Model(logit, seen, w.astype(np.float32), mean.refined().astype(np.float32))
 
 
 def score_texts(docs: DataFrame, train: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
@@ -360,12 +370,13 @@ def score_texts(docs: DataFrame, train: DataFrame, doc_id: str = "doc_id", text:
     n, v = int(total.n), int(total.v)
     # tokens seen once are spelled: they stand for those not seen at all
     most = words.where((F.col("n") > 1) | (F.col("word") == F.lit(END))).orderBy(F.col("word") != F.lit(END), F.desc("n"), "word").limit(HEAD).collect()  # HEAD rows at most
-    most.sort(key=lambda r: (-r.n, bytes(r.word)))
-    head = Head([bytes(r.word) for r in most] if most else [END])
+    most = sorted((-r.n, bytes(r.word)) for r in most)
+    head = Head([w for _, w in most] if most else [END])
     times = np.zeros(HEAD + 1)
-    times[: len(most)] = [r.n for r in most]
-    first = spark.createDataFrame([(bytes(r.word),) for r in most], "word binary")
-    prob = head_odds(count_ranks(train, text, head).astype(np.int64))
+    times[: len(most)] = [-n for n, _ in most]
+    first = words.where(F.lit(False)).select("word") if not most else spark.createDataFrame(pa.table({"word": pa.array([w for _, w in most], pa.binary())}))
+    del most
+    prob = head_odds(count_ranks(train, text, head))
     rare_words = words.join(F.broadcast(first), "word", "left_anti")
     spelled = rare_words.unionByName(first.where(F.col("word") != F.lit(END)).select("word", F.lit(1).cast("long").alias("n")))  # of the head, each word once
     model = train_speller(spelled, v)
