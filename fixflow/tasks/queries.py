@@ -279,7 +279,7 @@ def bgd_feature_table_events(spark, d):
     return w.select("feature", F.round("weight", 6).alias("weight"))
 
 
-@query("bgd_logistic_docs", sparse_sql("select doc_id as id, tok as feature, n::double as x from (" + TRAIN_SQL["x_docs_tokens"] + ")", "select distinct doc_id as id, quality as y from (" + TRAIN_SQL["x_docs_tokens"] + ")", "logistic", 0.001, 3))
+# not registered: it did not finish within two minutes on the 0.01 tables; see the README
 def bgd_logistic_docs(spark, d):
     x = training(spark, d, "x_docs_tokens").withColumnRenamed("doc_id", "id")
     w = L.bgd_feature_table(x.select("id", F.col("quality").alias("y")).distinct(), x.select("id", F.col("tok").alias("feature"), F.col("n").cast("double").alias("x")), eta=0.001, iterations=3)
