@@ -34,6 +34,7 @@ BLOCK = 1 << 14
 HEAD, TOP = 1 << 17, 32
 GATES = 8 * 4 * 8 * 4  # bit place, bytes read, how often the last three bytes were seen, and the last four
 RANK_GATES = 18 * 8  # digit place, how often it was seen after this frequent word
+GATE_BLOCK = 32  # gates whose sums over tasks are added up together
 STEPS = 32
 PRIOR = 0.4
 END = b"\n"
@@ -56,11 +57,11 @@ class Spelled:
         bit = np.arange(8)
         node = ((1 << bit)[None] | (raw[:, None].astype(np.int64) >> (8 - bit)[None])).astype(np.uint64)
         self.y = ((raw[:, None] >> (7 - bit)[None]) & 1).astype(bool)
-        step = node * np.uint64(0x9E3779B97F4A7C15)
+        step = node.astype(np.uint32) * np.uint32(0x9E3779B9)
         self.slot = []
         for k, (c, b) in enumerate(zip(contexts, BITS)):
-            h = (flat.mix(c + np.uint64(k))[:, None] + step) * np.uint64(0xD6E8FEB86659FD93)
-            self.slot.append((h >> np.uint64(64 - b)).astype(np.int64) + BASE[k])
+            h = (flat.mix(c + np.uint64(k)).astype(np.uint32)[:, None] + step) * np.uint32(0xD35A2D97)
+            self.slot.append(((h >> np.uint32(32 - b)) + np.uint32(BASE[k])).astype(np.int64))
         self.place = (np.minimum(pos, 3)[:, None] * 8 + bit[None]) * 32
 
 
@@ -94,25 +95,24 @@ class Model:
     """Speller: odds of every slot, mixing weights [gate, predictor + 1] and the refining table [gate, step] of probabilities."""
 
     def __init__(self, logit: np.ndarray, seen: np.ndarray, weights: np.ndarray, refine: np.ndarray):
-        self.logit, self.seen, self.weights, self.refine = logit, seen, weights, refine
+        self.logit, self.seen, self.weights, self.refine = logit, seen, np.ascontiguousarray(weights.T), refine
 
     def score(self, words: list[bytes]) -> np.ndarray:
         """log2 probability of each spelled word."""
         out = np.zeros(len(words))
         for i, j in chunks(words):
             s = Spelled(words[i:j])
-            x = [self.logit[k] for k in s.slot]
-            g = gate(s.place, self.seen[s.slot[2]], self.seen[s.slot[3]])
-            mixed = self.weights[g, -1].copy()
-            for k, v in enumerate(x):
-                mixed += self.weights[g, k] * v
-            p = (squash(mixed) + self.refine[g, bucket(mixed)]) / 2
+            g = gate(s.place, self.seen.take(s.slot[2]), self.seen.take(s.slot[3]))
+            mixed = self.weights[-1].take(g)
+            for own, slot in zip(self.weights, s.slot):
+                mixed += own.take(g) * self.logit.take(slot).astype(np.float32)
+            p = (squash(mixed) + self.refine.take(g * STEPS + bucket(mixed))) / 2
             bits = np.log2(np.where(s.y, p, 1 - p)).sum(1)
             out[i:j] = np.bincount(s.word, bits, minlength=j - i)
         return out
 
 
-def chunks(words: list[bytes], most: int = 60_000):
+def chunks(words: list[bytes], most: int = 8_000):
     """Index ranges of words with about `most` bytes each."""
     return flat.parts(words, most)
 
@@ -129,17 +129,20 @@ class Online:
 
     def learn(self, x: np.ndarray, y: np.ndarray, g: np.ndarray, times: np.ndarray) -> None:
         """x: log-odds [event, predictor] and the constant; y: outcome; g: gate; times: weight of each event."""
-        mixed = (self.w[g] * x).sum(1)
+        mixed = np.einsum("ij,ij->i", self.w.take(g, axis=0), x)
         p = squash(mixed)
-        np.add.at(self.seen, (g, bucket(mixed), y.astype(np.int64)), times)
-        order = np.argsort(g, kind="stable")
-        cut = np.flatnonzero(np.diff(g[order], prepend=-1))
-        for i, j in zip(cut, [*cut[1:], len(g)]):
-            o, own = order[i:j], g[order[i]]
-            z, e, c = x[o].astype(np.float64), (y[o] - p[o]) * times[o], p[o] * (1 - p[o]) * times[o]
-            self.h[own] += (z * c[:, None]).T @ z
-            self.w[own] += np.linalg.solve(self.h[own], z.T @ e)
-            self.weight[own] += times[o].sum()
+        cell = (g * STEPS + bucket(mixed)) * 2 + y
+        self.seen += np.bincount(cell, times, minlength=self.seen.size).reshape(self.seen.shape)
+        self.weight += np.bincount(g, times, minlength=len(self.weight))
+        order = np.argsort(g.astype(np.int16), kind="stable")  # gates are few, so this is a radix sort
+        z, e, c = x[order].astype(np.float64), ((y - p) * times)[order], (p * (1 - p) * times)[order]
+        own = g[order]
+        cut = np.flatnonzero(np.diff(own, prepend=-1))
+        own, zc, slope = own[cut], z * c[:, None], np.empty((len(cut), z.shape[1], 1))
+        for k, (i, j) in enumerate(zip(cut.tolist(), [*cut[1:].tolist(), len(g)])):
+            self.h[own[k]] += zc[i:j].T @ z[i:j]
+            slope[k, :, 0] = z[i:j].T @ e[i:j]
+        self.w[own] += np.linalg.solve(self.h[own], slope)[..., 0]
 
     def refined(self) -> np.ndarray:
         centre = squash((np.arange(STEPS) + 0.5) / 2 - 8)
@@ -153,7 +156,7 @@ def speller() -> Online:
 def learn_words(own: Online, counts: np.ndarray, words: list[bytes], times: np.ndarray) -> None:
     s = Spelled(words)
     y = s.y.ravel()
-    n = [counts[k.ravel()] for k in s.slot]
+    n = [counts.take(k.ravel(), axis=0) for k in s.slot]
     x = np.stack([odds(c, y) for c in n] + [np.full(y.size, 0.3, np.float32)], 1)
     g = gate(s.place.ravel(), *(digits(np.maximum(c.sum(1, dtype=np.int64) - 1, 0)) for c in n[2:]))
     own.learn(x, y, g, np.repeat(times[s.word], 8))
@@ -270,6 +273,31 @@ def count_tokens(train: DataFrame, text: str) -> DataFrame:
     return train.select(F.col(text)).mapInArrow(run, "word binary, n long").groupBy("word").agg(F.sum("n").alias("n"))
 
 
+def most_frequent(words: DataFrame, most: int) -> DataFrame:
+    """The end and the most frequent of the words seen more than once, `most` rows at most; of equally frequent ones those of the smallest hash.
+
+    Two histograms of bounded size narrow the words down, so that the sort meets little more than `most` rows in all, however many partitions there are."""
+    many = words.where((F.col("n") > 1) & (F.col("word") != F.lit(END)))
+    step = F.when(F.col("n") < 1024, F.col("n")).otherwise((1024 + 64 * (F.log2(F.col("n").cast("double")) - 10)).cast("long"))
+    tie = F.pmod(F.xxhash64("word"), F.lit(1 << 14))
+
+    def cut(rows: DataFrame, by, falling: bool, room: int):
+        """Last value of `by` that is needed to fill the room, and what is taken before it."""
+        taken = 0
+        for value, n in sorted(((r.at, r.n) for r in rows.groupBy(by.cast("long").alias("at")).agg(F.count("*").alias("n")).collect()), reverse=falling):
+            if taken + n >= room:
+                return value, taken
+            taken += n
+        return None, taken
+
+    last, taken = cut(many, step, True, most - 1)
+    if last is not None:
+        upper, _ = cut(many.where(step == last), tie, False, most - 1 - taken)
+        many = many.where((step > last) | ((step == last) & (tie <= upper)))
+    rest = many.orderBy(F.desc(step), tie, F.xxhash64("word"), "word").limit(most - 1)
+    return words.where(F.col("word") == F.lit(END)).unionByName(rest)
+
+
 def _blocks(total: np.ndarray):
     rows = total.reshape(-1, 2 * BLOCK)
     for b in np.flatnonzero(rows.any(1)).tolist():
@@ -321,10 +349,9 @@ def train_speller(rare: DataFrame, distinct: int) -> Model:
             words, n = batch.column(0).to_pylist(), batch.column(1).to_numpy()
             for i, j in chunks(words, 120_000):
                 s = Spelled(words[i:j])
-                t = np.repeat(n[i:j][s.word], 8)
+                t = np.repeat(n[i:j][s.word], 8).astype(np.uint32)
                 for slot in s.slot:
-                    at, of = np.unique(slot.ravel() * 2 + s.y.ravel(), return_inverse=True)
-                    total[at] += np.bincount(of, t).astype(np.uint32)
+                    np.add.at(total, slot.ravel() * 2 + s.y.ravel(), t)
         yield from _blocks(total)
 
     counts = _summed(tokens.mapInArrow(count, "block int, counts binary"), 2 * SLOTS).reshape(SLOTS, 2)
@@ -342,16 +369,23 @@ def train_speller(rare: DataFrame, distinct: int) -> Model:
             words, n = batch.column(0).to_pylist(), batch.column(1).to_numpy()
             for i, j in chunks(words, 30_000):
                 learn_words(own, shared.value, words[i:j], n[i:j].astype(np.float64))
-        yield pa.RecordBatch.from_pydict({"w": [own.w.tobytes()], "weight": [own.weight.tobytes()], "seen": [own.seen.tobytes()]})
+        if own.weight.any():
+            all_ = np.concatenate([own.w * own.weight[:, None], own.weight[:, None], own.seen.reshape(GATES, -1)], 1)
+            for b, part in enumerate(np.split(all_, GATES // GATE_BLOCK)):
+                yield pa.RecordBatch.from_pydict({"block": [b], "sums": [part.tobytes()]}, pa.schema([("block", pa.int32()), ("sums", pa.binary())]))
 
     mean = speller()
-    guess = mean.w.copy()
-    mean.w[:] = 0
-    for r in sorted(tokens.mapInArrow(learn, "w binary, weight binary, seen binary").collect()):  # tables of fixed size, at most 4096
-        own = np.frombuffer(r.weight, np.float64)
-        mean.w += np.frombuffer(r.w, np.float64).reshape(guess.shape) * own[:, None]
-        mean.weight += own
-        mean.seen += np.frombuffer(r.seen, np.float64).reshape(mean.seen.shape)
+    guess, n = mean.w.copy(), len(BITS) + 1
+
+    def add(pdf):
+        import pandas as pd
+
+        total = sum((np.frombuffer(x, np.float64) for x in sorted(pdf["sums"])), 0.0)  # in a fixed order, so that a task run again gives the same
+        return pd.DataFrame({"block": pdf["block"].iloc[:1], "sums": [total.tobytes()]})
+
+    for r in tokens.mapInArrow(learn, "block int, sums binary").groupBy("block").applyInPandas(add, "block int, sums binary").toLocalIterator():  # a table of fixed size
+        own, rows = np.frombuffer(r.sums, np.float64).reshape(GATE_BLOCK, -1), slice(r.block * GATE_BLOCK, (r.block + 1) * GATE_BLOCK)
+        mean.w[rows], mean.weight[rows], mean.seen[rows] = own[:, :n], own[:, n], own[:, n + 1 :].reshape(GATE_BLOCK, STEPS, 2)
     w = np.where(mean.weight[:, None] > 0, mean.w / np.maximum(mean.weight, 1e-9)[:, None], guess)
     w[:, -1] *= 0.3  # the constant input
     shared.unpersist()
@@ -369,8 +403,7 @@ def score_texts(docs: DataFrame, train: DataFrame, doc_id: str = "doc_id", text:
     total = words.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n"), F.count("*").alias("v")).first()
     n, v = int(total.n), int(total.v)
     # tokens seen once are spelled: they stand for those not seen at all
-    most = words.where((F.col("n") > 1) | (F.col("word") == F.lit(END))).orderBy(F.col("word") != F.lit(END), F.desc("n"), "word").limit(HEAD).collect()  # HEAD rows at most
-    most = sorted((-r.n, bytes(r.word)) for r in most)
+    most = sorted((-r.n, bytes(r.word)) for r in most_frequent(words, HEAD).toLocalIterator())  # HEAD rows at most
     head = Head([w for _, w in most] if most else [END])
     times = np.zeros(HEAD + 1)
     times[: len(most)] = [-n for n, _ in most]
