@@ -1,13 +1,14 @@
 """Benchmark decontamination by template canonicalisation, in DataFrame functions only.
 
 Numbers, quantities with units, units after numbers and names (capitalised words inside a sentence) become typed
-placeholders, case and ASCII punctuation go, and the number of words stays the same. A benchmark item is indexed by every window of
+placeholders, case and ASCII punctuation go, and the number of words stays the same. Capitalised words at sentence starts and after quotes,
+brackets and other marks may be names or not: texts are compared in two forms, with those words kept and with them as names. A benchmark item is indexed by every window of
 ``WINDOW`` canonical words, a document is probed at every ``STRIDE``-th, so a leaked run of WINDOW + STRIDE - 1 words can't be missed.
 Each hit aligns the item with the document; the aligned words are compared, and slots are checked: the slot values of the item and
 of the document must map one to one. That finds questions asked again with other numbers and names. Windows of the index are
 broadcast if their counted number is at most ``BROADCAST_ROWS``, else joined by a shuffle on the window hash.
 
-A row is a leak: coverage (share of the item's words that the document has in place) of at least ``min_coverage``, with consistent slots.
+A row is a leak: coverage (share of the item's words that the document has in place) of at least ``min_coverage``, with consistent slots, in a form of which a window hit.
 Items with fewer than WINDOW + STRIDE - 1 words are no evidence and match nothing. Nulls: null texts, ids or items match nothing, except
 that a null doc_id is reported as null. Repeated documents with one id give one row for each item. An empty table on either side gives no rows.
 """
@@ -26,7 +27,11 @@ NUMBER = r"(?<![^ ])[^\p{L}\p{N} ]*\p{N}[^\p{L} ]*(?![^ ])"
 QUANTITY = rf"(?i)(?<![^ ])[^\p{{L}}\p{{N}} ]*\p{{N}}[\p{{N}}.,]*(?:{UNITS}|%)[^\p{{L}}\p{{N}} ]*(?![^ ])"
 UNIT = rf"(?i)(?<=<num> )(?:{UNITS})(?![\p{{L}}\p{{N}}])"
 NAME = r"(?<=[\p{Ll}\p{N},;] )\p{Lu}\p{L}*"
+START = "\x02"
+OPENING = r"(?<![^ ])(?=[^\p{L}\p{N} ]*\p{Lu})([^\p{L}\p{N} ]*)"
+ANY_NAME = rf"(?<![^ ])(?:{START}|[^ <]*+<name>)[^ ]*"
 MARKS = r"[!-/:;=?@\[-`{-~]+"
+FORMS = ("plain", "named")
 SLOTS = ("<num>", "<qty>", "<unit>", "<name>")
 
 
@@ -34,51 +39,65 @@ def spaced(text: Column) -> Column:
     return F.trim(F.regexp_replace(text, r"[\x20\x09-\x0D]+", " "))
 
 
-def canonical(clean: Column) -> Column:
-    """Canonical text of a text with single spaces; it has as many words."""
+def marked(clean: Column) -> Column:
+    """Canonical text of a text with single spaces; it has as many words. Other capitalised words are kept behind a START."""
     named = F.when(clean.rlike(r"[\p{Ll}\p{N},;] \p{Lu}"), F.regexp_replace(clean, NAME, "<name>")).otherwise(clean)
+    named = F.regexp_replace(named, OPENING, f"{START}$1")
     plain = F.regexp_replace(F.lower(named), MARKS, "")
     numbered = F.regexp_replace(F.regexp_replace(F.regexp_replace(named, QUANTITY, "<qty>"), NUMBER, "<num>"), UNIT, "<unit>")
     return F.when(clean.rlike(r"\p{N}"), F.regexp_replace(F.lower(numbered), MARKS, "")).otherwise(plain)
 
 
 def _words(df: DataFrame, text: str) -> DataFrame:
-    return df.withColumn("clean", spaced(F.col(text))).withColumn("canon", F.split(canonical(F.col("clean")), " "))
+    """raw words and their two canonical forms: `plain` keeps capitalised words at sentence starts and after marks, `named` takes them for names."""
+    text = df.withColumn("clean", spaced(F.regexp_replace(text, START, " "))).withColumn("m", marked(F.col("clean")))
+    return text.select("*", F.split("clean", " ").alias("raw"), F.split(F.translate("m", START, ""), " ").alias("plain"), F.split(F.regexp_replace("m", ANY_NAME, "<name>"), " ").alias("named"), F.xxhash64("clean").alias("key")).drop("m", "clean", "t")
 
 
 def _windows(step: int) -> Column:
-    """(place, hash) of the windows of the array `canon`."""
-    last = F.size("canon") - WINDOW
+    """(place, form, hash) of the windows of both canonical forms."""
+    last = F.size("raw") - WINDOW
     at = F.when(last >= 0, F.sequence(F.lit(0), last, F.lit(step))).otherwise(F.array().cast("array<int>"))
-    return F.transform(at, lambda i: F.struct(i.alias("place"), F.xxhash64(F.slice("canon", i + 1, WINDOW)).alias("hash")))
+    of = lambda f: F.transform(at, lambda i: F.struct(i.alias("place"), F.lit(FORMS.index(f)).alias("form"), F.xxhash64(F.lit(f), F.slice(f, i + 1, WINDOW)).alias("hash")))
+    return F.concat(*map(of, FORMS))
+
+
+def _one_to_one(slots: Column) -> Column:
+    size = lambda a: F.size(F.array_distinct(a))
+    return (size(slots) == size(F.transform(slots, lambda s: s.i))) & (size(slots) == size(F.transform(slots, lambda s: s.d)))
 
 
 def find_leaks(docs: DataFrame, items: DataFrame, min_coverage: float = 0.5, doc_id: str = "doc_id", text: str = "text", item_id: str = "item_id", item_text: str = "text") -> DataFrame:
     """doc_id, item_id, n_words, n_matched, coverage, n_slots, exact: one row for each document and item it leaks."""
-    bench = _words(items.select(F.col(item_id).alias("item_id"), F.col(item_text).alias("t")).where("t is not null"), "t").withColumn("raw", F.split("clean", " ")).withColumn("n_words", F.size("canon"))
-    index = bench.where(F.col("n_words") >= WINDOW + STRIDE - 1).select("item_id", F.inline(_windows(1)), F.col("canon").alias("item_canon"), F.col("raw").alias("item_raw"), "n_words").dropDuplicates(["item_id", "hash", "place"])
+    bench = _words(items.select(F.col(item_id).alias("item_id"), F.col(item_text).alias("t")).where("t is not null"), "t").withColumn("n_words", F.size("raw"))
+    own = [F.col(c).alias(f"item_{c}") for c in ("raw", *FORMS)]
+    index = bench.where(F.col("n_words") >= WINDOW + STRIDE - 1).select("item_id", F.inline(_windows(1)), *own, "n_words").dropDuplicates(["item_id", "hash", "place"])
     small = index.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS
-    probe = _words(docs.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("t")).where("t is not null"), "t").select("doc_id", "clean", "canon", F.inline(_windows(STRIDE)))
-    probe = probe.withColumnRenamed("place", "doc_place")
+    probe = _words(docs.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("t")).where("t is not null"), "t").select("doc_id", "key", "raw", *FORMS, F.inline(_windows(STRIDE)))
+    probe = probe.withColumnRenamed("place", "doc_place").drop("form")
     hit = probe.join(F.broadcast(index) if small else index, "hash")
     shift = F.col("doc_place") - F.col("place")
     skip = F.greatest(-shift, F.lit(0))  # words of the item that lie before the document's begin
-    part = lambda a: F.slice(a, F.greatest(shift, F.lit(0)) + 1, F.col("n_words") - skip)
-    aligned = hit.select("doc_id", "item_id", "n_words", shift.alias("shift"), F.slice("item_canon", skip + 1, F.col("n_words")).alias("ic"), F.slice("item_raw", skip + 1, F.col("n_words")).alias("ir"), part(F.col("canon")).alias("dc"), part(F.split("clean", " ")).alias("dr"))
-    once = aligned.groupBy("doc_id", "item_id", "shift", F.xxhash64("dr").alias("place")).agg(*[F.first(c).alias(c) for c in ("n_words", "ic", "ir", "dc", "dr")])
+    part = lambda a: F.slice(a, F.greatest(shift, F.lit(0)) + 1, F.greatest(F.col("n_words") - skip, F.lit(0)))
+    both = ("raw", *FORMS)
+    aligned = hit.select("doc_id", "key", "item_id", "n_words", "form", shift.alias("shift"), *[F.slice(f"item_{c}", skip + 1, F.col("n_words")).alias(f"item_{c}") for c in both], *[part(c).alias(c) for c in both])
+    once = aligned.groupBy("doc_id", "key", "item_id", "shift").agg(*[F.max(F.col("form") == k).alias(f"by_{f}") for k, f in enumerate(FORMS)], *[F.first(c).alias(c) for c in ("n_words", *both, *[f"item_{c}" for c in both])])
     bare = lambda c: F.regexp_replace(F.lower(c), r"(?<=^)[!-/:;=?@\[-`{-~]+|[!-/:;=?@\[-`{-~]+$", "")
-    n = F.least(F.size("ic"), F.size("dc"))
-    pairs = F.when(n > 0, F.transform(F.sequence(F.lit(1), n), lambda k: F.struct(F.element_at("ic", k).alias("c"), F.element_at("dc", k).alias("e"), bare(F.element_at("ir", k)).alias("i"), bare(F.element_at("dr", k)).alias("d"))))
-    slots = F.transform(F.filter("pairs", lambda p: (p.c == p.e) & p.c.isin(*SLOTS)), lambda p: F.struct(p.i.alias("i"), p.d.alias("d")))
-    scored = (
-        once.withColumn("pairs", pairs)
-        .withColumn("slots", slots)
-        .withColumn("n_matched", F.size(F.filter("pairs", lambda p: (p.c == p.e) | (p.i == p.d))))
-        .withColumn("consistent", (F.size(F.array_distinct("slots")) == F.size(F.array_distinct(F.transform("slots", lambda s: s.i)))) & (F.size(F.array_distinct("slots")) == F.size(F.array_distinct(F.transform("slots", lambda s: s.d)))))
-        .withColumn("exact", (F.col("n_matched") == F.col("n_words")) & ~F.exists("pairs", lambda p: p.i != p.d))
-    )
-    kept = scored.where(F.col("consistent") & (F.col("n_matched") >= F.lit(min_coverage) * F.col("n_words")))
-    best = kept.groupBy("doc_id", "item_id").agg(F.max(F.struct("n_matched", "exact", F.size("slots").alias("n_slots"), "n_words")).alias("b"))
+    n = F.least(F.size("item_raw"), F.size("raw"))
+    at = lambda c, k: F.element_at(c, k)
+    same = lambda k: [s for f in FORMS for s in ((at(f"item_{f}", k) == at(f, k)).alias(f), ((at(f"item_{f}", k) == at(f, k)) & at(f, k).isin(*SLOTS)).alias(f"{f}_slot"))]
+    pairs = F.when(n > 0, F.transform(F.sequence(F.lit(1), n), lambda k: F.struct(bare(at("item_raw", k)).alias("i"), bare(at("raw", k)).alias("d"), *same(k))))
+    scored = once.select("doc_id", "item_id", "n_words", *[f"by_{f}" for f in FORMS], pairs.alias("pairs"))
+
+    def way(rank: int, f: str) -> Column:
+        slots = F.transform(F.filter("pairs", lambda p: p[f"{f}_slot"]), lambda p: F.struct(p.i.alias("i"), p.d.alias("d")))
+        matched = F.size(F.filter("pairs", lambda p: p[f] | (p.i == p.d)))
+        exact = (matched == F.col("n_words")) & ~F.exists("pairs", lambda p: p.i != p.d)
+        found = F.struct(matched.alias("n_matched"), exact.alias("exact"), F.lit(-rank).alias("way"), F.size(slots).alias("n_slots"), "n_words")
+        return F.when(F.col(f"by_{f}") & _one_to_one(slots) & (matched >= F.lit(min_coverage) * F.col("n_words")), found)
+
+    ways = [way(rank, f) for rank, f in enumerate(FORMS)]  # of ways with as many words the plain one is told
+    best = scored.select("doc_id", "item_id", F.greatest(*ways).alias("b")).where("b is not null").groupBy("doc_id", "item_id").agg(F.max("b").alias("b"))
     return best.select("doc_id", "item_id", F.col("b.n_words").cast("long").alias("n_words"), F.col("b.n_matched").cast("long").alias("n_matched"), (F.col("b.n_matched") / F.col("b.n_words")).alias("coverage"), F.col("b.n_slots").cast("long").alias("n_slots"), F.col("b.exact").alias("exact"))
 
 

@@ -182,6 +182,13 @@ def test_leaks(spark, docs):
     assert decontam.find_leaks(docs, items.limit(0)).count() == 0 and decontam.find_leaks(d.limit(0), items).count() == 0
 
 
+def test_leaks_with_names_at_sentence_starts(spark):
+    d = spark.createDataFrame([(1, "Sue has 9 apples. Sue buys 4 more. Sue eats 6. How many are left?"), (2, "tom has 9 apples. tom buys 4 more. tom eats 6. how many are left?"), (3, "Sue has 9 apples. Ann buys 4 more. Bob eats 6. How many were lost?"), (4, 'He said: "Sue (Ann) has 9 apples." "Sue (Ann) buys 4 more." "Sue (Ann) eats 6."')], "doc_id long, text string")
+    items = spark.createDataFrame([(7, "Tom has 5 apples. Tom buys 3 more. Tom eats 2. How many are left?"), (8, 'She said: "Tom (Bob) has 5 apples." "Tom (Bob) buys 3 more." "Tom (Bob) eats 2."')], "item_id long, text string")
+    got = {(r.doc_id, r.item_id): r.coverage for r in decontam.find_leaks(d, items).collect()}
+    assert set(got) == {(1, 7), (2, 7), (4, 8)} and got[1, 7] == got[2, 7] == got[4, 8] == 1
+
+
 def test_nearest(spark):
     rng = np.random.default_rng(3)
     x = rng.normal(size=(900, 16))
