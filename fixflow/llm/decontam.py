@@ -3,13 +3,14 @@
 Numbers, quantities with units, units after numbers and names (capitalised words inside a sentence) become typed
 placeholders, case and ASCII punctuation go, and the number of words stays the same. Capitalised words at sentence starts and after quotes,
 brackets and other marks may be names or not: texts are compared in two forms, with those words kept and with them as names. A benchmark item is indexed by every window of
-``WINDOW`` canonical words, a document is probed at every ``STRIDE``-th, so a leaked run of WINDOW + STRIDE - 1 words can't be missed.
+``WINDOW`` canonical words, and a document is probed at every place, so a leaked run of WINDOW words can't be missed.
+Shorter items are one window: they match as a whole only, and unless all their words are the same, at least half of them must be no slots.
 Each hit aligns the item with the document; the aligned words are compared, and slots are checked: the slot values of the item and
 of the document must map one to one. That finds questions asked again with other numbers and names. Windows of the index are
 broadcast if their counted number is at most ``BROADCAST_ROWS``, else joined by a shuffle on the window hash.
 
 A row is a leak: coverage (share of the item's words that the document has in place) of at least ``min_coverage``, with consistent slots, in a form of which a window hit.
-Items with fewer than WINDOW + STRIDE - 1 words are no evidence and match nothing. Nulls: null texts, ids or items match nothing, except
+Items without words match nothing. Nulls: null texts, ids or items match nothing, except
 that a null doc_id is reported as null. Repeated documents with one id give one row for each item. An empty table on either side gives no rows.
 """
 
@@ -20,7 +21,7 @@ from pyspark.sql import functions as F
 
 from .common import table
 
-WINDOW, STRIDE = 8, 4
+WINDOW = 8
 BROADCAST_ROWS = 2_000_000
 UNITS = "km|cm|mm|m|mi|ft|in|kg|g|mg|lb|oz|l|ml|s|ms|min|h|hours?|minutes?|seconds?|days?|weeks?|months?|years?|meters?|metres?|miles?|feet|inches|grams?|kilograms?|liters?|litres?|percent|dollars?|euros?|cents?|usd|eur"
 NUMBER = r"(?<![^ ])[^\p{L}\p{N} ]*\p{N}[^\p{L} ]*(?![^ ])"
@@ -54,11 +55,11 @@ def _words(df: DataFrame, text: str) -> DataFrame:
     return text.select("*", F.split("clean", " ").alias("raw"), F.split(F.translate("m", START, ""), " ").alias("plain"), F.split(F.regexp_replace("m", ANY_NAME, "<name>"), " ").alias("named"), F.xxhash64("clean").alias("key")).drop("m", "clean", "t")
 
 
-def _windows(step: int) -> Column:
-    """(place, form, hash) of the windows of both canonical forms."""
-    last = F.size("raw") - WINDOW
-    at = F.when(last >= 0, F.sequence(F.lit(0), last, F.lit(step))).otherwise(F.array().cast("array<int>"))
-    of = lambda f: F.transform(at, lambda i: F.struct(i.alias("place"), F.lit(FORMS.index(f)).alias("form"), F.xxhash64(F.lit(f), F.slice(f, i + 1, WINDOW)).alias("hash")))
+def _windows(words: int) -> Column:
+    """(place, form, hash) of all windows of so many words, in both canonical forms."""
+    last = F.size("raw") - words
+    at = F.when(last >= 0, F.sequence(F.lit(0), last)).otherwise(F.array().cast("array<int>"))
+    of = lambda f: F.transform(at, lambda i: F.struct(i.alias("place"), F.lit(FORMS.index(f)).alias("form"), F.xxhash64(F.lit(f), F.slice(f, i + 1, words)).alias("hash")))
     return F.concat(*map(of, FORMS))
 
 
@@ -69,35 +70,40 @@ def _one_to_one(slots: Column) -> Column:
 
 def find_leaks(docs: DataFrame, items: DataFrame, min_coverage: float = 0.5, doc_id: str = "doc_id", text: str = "text", item_id: str = "item_id", item_text: str = "text") -> DataFrame:
     """doc_id, item_id, n_words, n_matched, coverage, n_slots, exact: one row for each document and item it leaks."""
-    bench = _words(items.select(F.col(item_id).alias("item_id"), F.col(item_text).alias("t")).where("t is not null"), "t").withColumn("n_words", F.size("raw"))
-    own = [F.col(c).alias(f"item_{c}") for c in ("raw", *FORMS)]
-    index = bench.where(F.col("n_words") >= WINDOW + STRIDE - 1).select("item_id", F.inline(_windows(1)), *own, "n_words").dropDuplicates(["item_id", "hash", "place"])
+    bench = _words(items.select(F.col(item_id).alias("item_id"), F.col(item_text).alias("t")).where("t is not null"), "t").where("raw <> array('')")
+    bench = bench.withColumn("n_words", F.size("raw")).withColumn("item_key", F.xxhash64("item_id", "key")).drop("key").dropDuplicates(["item_key"])
+    lengths = sorted(r[0] for r in bench.select(F.least("n_words", F.lit(WINDOW))).distinct().collect())  # WINDOW rows at most
+    sizes = lambda per: F.inline(F.concat(*[per(k) for k in lengths or [WINDOW]]))
+    index = bench.select("item_id", "item_key", "n_words", sizes(lambda k: F.when(F.least("n_words", F.lit(WINDOW)) == k, _windows(k)).otherwise(F.slice(_windows(k), 1, 0))))
     small = index.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS
-    probe = _words(docs.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("t")).where("t is not null"), "t").select("doc_id", "key", "raw", *FORMS, F.inline(_windows(STRIDE)))
-    probe = probe.withColumnRenamed("place", "doc_place").drop("form")
-    hit = probe.join(F.broadcast(index) if small else index, "hash")
-    shift = F.col("doc_place") - F.col("place")
-    skip = F.greatest(-shift, F.lit(0))  # words of the item that lie before the document's begin
-    part = lambda a: F.slice(a, F.greatest(shift, F.lit(0)) + 1, F.greatest(F.col("n_words") - skip, F.lit(0)))
-    both = ("raw", *FORMS)
-    aligned = hit.select("doc_id", "key", "item_id", "n_words", "form", shift.alias("shift"), *[F.slice(f"item_{c}", skip + 1, F.col("n_words")).alias(f"item_{c}") for c in both], *[part(c).alias(c) for c in both])
-    once = aligned.groupBy("doc_id", "key", "item_id", "shift").agg(*[F.max(F.col("form") == k).alias(f"by_{f}") for k, f in enumerate(FORMS)], *[F.first(c).alias(c) for c in ("n_words", *both, *[f"item_{c}" for c in both])])
+    near = F.broadcast if small else lambda df: df
+    texts = _words(docs.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("t")).where("t is not null"), "t")
+    whole = ["raw", *FORMS] if small else []  # else texts travel once, not with each window
+    hit = texts.select("doc_id", "key", *whole, sizes(_windows)).withColumnRenamed("place", "doc_place").drop("form").join(near(index), "hash")
+    hit = hit.withColumn("shift", F.col("doc_place") - F.col("place"))
+    if not small:
+        hit = hit.groupBy("doc_id", "key", "item_id", "item_key", "n_words", "form", "shift").agg(F.min("place").alias("place"))
+        again = texts.dropDuplicates(["doc_id", "key"]).withColumnsRenamed({"doc_id": "__id", "key": "__key"})
+        hit = hit.join(again, (F.col("key") == F.col("__key")) & F.col("doc_id").eqNullSafe(F.col("__id")))
+    skip = F.greatest(-F.col("shift"), F.lit(0))  # words of the item that lie before the document's begin
+    part = lambda a: F.slice(a, F.greatest(F.col("shift"), F.lit(0)) + 1, F.greatest(F.col("n_words") - skip, F.lit(0)))
+    of_form = lambda prefix: F.when(F.col("form") == 0, F.col(f"{prefix}{FORMS[0]}")).otherwise(F.col(f"{prefix}{FORMS[1]}"))
+    aligned = hit.select("doc_id", "key", "item_id", "item_key", "n_words", "form", "shift", "place", part(F.col("raw")).alias("dr"), part(of_form("")).alias("dc"))
+    once = aligned.groupBy("doc_id", "key", "item_id", "item_key", "form", "shift").agg(*[F.first(c).alias(c) for c in ("n_words", "dr", "dc")])
+    once = once.join(near(bench.select("item_key", *[F.col(c).alias(f"item_{c}") for c in ("raw", *FORMS)])), "item_key")
+    item = lambda a: F.slice(a, skip + 1, F.col("n_words"))
+    once = once.withColumn("ir", item(F.col("item_raw"))).withColumn("ic", item(of_form("item_")))
     bare = lambda c: F.regexp_replace(F.lower(c), r"(?<=^)[!-/:;=?@\[-`{-~]+|[!-/:;=?@\[-`{-~]+$", "")
-    n = F.least(F.size("item_raw"), F.size("raw"))
+    n = F.least(F.size("ir"), F.size("dr"))
     at = lambda c, k: F.element_at(c, k)
-    same = lambda k: [s for f in FORMS for s in ((at(f"item_{f}", k) == at(f, k)).alias(f), ((at(f"item_{f}", k) == at(f, k)) & at(f, k).isin(*SLOTS)).alias(f"{f}_slot"))]
-    pairs = F.when(n > 0, F.transform(F.sequence(F.lit(1), n), lambda k: F.struct(bare(at("item_raw", k)).alias("i"), bare(at("raw", k)).alias("d"), *same(k))))
-    scored = once.select("doc_id", "item_id", "n_words", *[f"by_{f}" for f in FORMS], pairs.alias("pairs"))
-
-    def way(rank: int, f: str) -> Column:
-        slots = F.transform(F.filter("pairs", lambda p: p[f"{f}_slot"]), lambda p: F.struct(p.i.alias("i"), p.d.alias("d")))
-        matched = F.size(F.filter("pairs", lambda p: p[f] | (p.i == p.d)))
-        exact = (matched == F.col("n_words")) & ~F.exists("pairs", lambda p: p.i != p.d)
-        found = F.struct(matched.alias("n_matched"), exact.alias("exact"), F.lit(-rank).alias("way"), F.size(slots).alias("n_slots"), "n_words")
-        return F.when(F.col(f"by_{f}") & _one_to_one(slots) & (matched >= F.lit(min_coverage) * F.col("n_words")), found)
-
-    ways = [way(rank, f) for rank, f in enumerate(FORMS)]  # of ways with as many words the plain one is told
-    best = scored.select("doc_id", "item_id", F.greatest(*ways).alias("b")).where("b is not null").groupBy("doc_id", "item_id").agg(F.max("b").alias("b"))
+    pair = lambda k: F.struct((at("ic", k) == at("dc", k)).alias("same"), ((at("ic", k) == at("dc", k)) & at("dc", k).isin(*SLOTS)).alias("slot"), bare(at("ir", k)).alias("i"), bare(at("dr", k)).alias("d"))
+    scored = once.select("doc_id", "item_id", "n_words", "form", F.when(n > 0, F.transform(F.sequence(F.lit(1), n), pair)).alias("pairs"))
+    slots = F.transform(F.filter("pairs", lambda p: p.slot), lambda p: F.struct(p.i.alias("i"), p.d.alias("d")))
+    scored = scored.withColumn("slots", slots).withColumn("n_matched", F.size(F.filter("pairs", lambda p: p.same | (p.i == p.d))))
+    scored = scored.withColumn("exact", (F.col("n_matched") == F.col("n_words")) & ~F.exists("pairs", lambda p: p.i != p.d)).withColumn("n_slots", F.size("slots"))
+    enough = (F.col("n_words") >= WINDOW) | ((F.col("n_matched") == F.col("n_words")) & (F.col("exact") | (2 * F.col("n_slots") <= F.col("n_words"))))
+    kept = scored.where(_one_to_one(F.col("slots")) & enough & (F.col("n_matched") >= F.lit(min_coverage) * F.col("n_words")))
+    best = kept.groupBy("doc_id", "item_id").agg(F.max(F.struct("n_matched", "exact", (-F.col("form")).alias("way"), "n_slots", "n_words")).alias("b"))
     return best.select("doc_id", "item_id", F.col("b.n_words").cast("long").alias("n_words"), F.col("b.n_matched").cast("long").alias("n_matched"), (F.col("b.n_matched") / F.col("b.n_words")).alias("coverage"), F.col("b.n_slots").cast("long").alias("n_slots"), F.col("b.exact").alias("exact"))
 
 

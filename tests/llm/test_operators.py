@@ -189,6 +189,14 @@ def test_leaks_with_names_at_sentence_starts(spark):
     assert set(got) == {(1, 7), (2, 7), (4, 8)} and got[1, 7] == got[2, 7] == got[4, 8] == 1
 
 
+def test_leaks_of_short_items_and_short_runs(spark):
+    question, run = "Which planet in our solar system has the most moons", "all eight of these words are a leak"
+    d = [(k, "x " * k + question + " y") for k in range(4)] + [(10 + k, "x " * k + run + " y") for k in range(4)] + [(20, "so, Who wrote it? yes"), (21, "tom has 9 apples"), (22, "it is 1999"), (23, run.rsplit(" ", 1)[0])]
+    items = [(1, question), (2, run + " of a longer item here"), (3, "Who wrote it"), (4, "tom has 5 apples"), (5, "2000"), (6, ""), (7, "1999"), (8, run.rsplit(" ", 1)[0] + " x")]
+    got = {(r.doc_id, r.item_id) for r in decontam.find_leaks(spark.createDataFrame(d, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string")).collect()}
+    assert got == {(k, 1) for k in range(4)} | {(10 + k, 2) for k in range(4)} | {(20, 3), (21, 4), (22, 7)}
+
+
 def test_nearest(spark):
     rng = np.random.default_rng(3)
     x = rng.normal(size=(900, 16))
