@@ -1,7 +1,8 @@
 """Benchmark decontamination by template canonicalisation, in DataFrame functions only.
 
 Numbers, quantities with units, units after numbers and names (capitalised words inside a sentence) become typed
-placeholders, case and ASCII punctuation go, and the number of words stays the same. Capitalised words at sentence starts and after quotes,
+placeholders, case and ASCII punctuation go, and the number of words stays the same, but that
+a number and its unit become one in either spelling (it counts as the words that the item has). Capitalised words at sentence starts and after quotes,
 brackets and other marks may be names or not: texts are compared in two forms, with those words kept and with them as names. A benchmark item is indexed by every window of
 ``WINDOW`` canonical words, and a document is probed at every place, so a leaked run of WINDOW words can't be missed.
 Shorter items are one window: they match as a whole only, and unless all their words are the same, at least half of them must be no slots.
@@ -9,6 +10,8 @@ Each hit aligns the item with the document; the aligned words are compared, and
 of the document must map one to one. That finds questions asked again with other numbers and names. Windows of the index are
 broadcast if their counted number is at most ``BROADCAST_ROWS``, else joined by a shuffle on the window hash.
 
+Where words were put in or left out, an item's parts lie at several shifts; the parts found in one stretch of the document are added up.
+
 A row is a leak: coverage (share of the item's words that the document has in place) of at least ``min_coverage``, with consistent slots, in a form of which a window hit.
 Items without words match nothing. Nulls: null texts, ids or items match nothing, except
 that a null doc_id is reported as null. Repeated documents with one id give one row for each item. An empty table on either side gives no rows.
@@ -16,7 +19,7 @@ that a null doc_id is reported as null. Repeated documents with one id give one
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import table
@@ -25,10 +28,11 @@ WINDOW = 8
 BROADCAST_ROWS = 2_000_000
 UNITS = "km|cm|mm|m|mi|ft|in|kg|g|mg|lb|oz|l|ml|s|ms|min|h|hours?|minutes?|seconds?|days?|weeks?|months?|years?|meters?|metres?|miles?|feet|inches|grams?|kilograms?|liters?|litres?|percent|dollars?|euros?|cents?|usd|eur"
 NUMBER = r"(?<![^ ])[^\p{L}\p{N} ]*\p{N}[^\p{L} ]*(?![^ ])"
-QUANTITY = rf"(?i)(?<![^ ])[^\p{{L}}\p{{N}} ]*\p{{N}}[\p{{N}}.,]*(?:{UNITS}|%)[^\p{{L}}\p{{N}} ]*(?![^ ])"
+QUANTITY = rf"(?i)(?<![^ ])[^\p{{L}}\p{{N}} ]*\p{{N}}[\p{{N}}.,]*\x1f?(?:{UNITS}|%)[^\p{{L}}\p{{N}} ]*(?![^ ])"
 UNIT = rf"(?i)(?<=<num> )(?:{UNITS})(?![\p{{L}}\p{{N}}])"
 NAME = r"(?<=[\p{Ll}\p{N},;] )\p{Lu}\p{L}*"
-START = "\x02"
+START, JOINT = "\x02", "\x1f"
+MEASURE = rf"(?i)(?<![^ ])([^\p{{L}}\p{{N}} ]*\p{{N}}(?:[\p{{N}}.,]*\p{{N}})?) (?=(?:{UNITS}|%)(?![\p{{L}}\p{{N}}]))"
 OPENING = r"(?<![^ ])(?=[^\p{L}\p{N} ]*\p{Lu})([^\p{L}\p{N} ]*)"
 ANY_NAME = rf"(?<![^ ])(?:{START}|[^ <]*+<name>)[^ ]*"
 MARKS = r"[!-/:;=?@\[-`{-~]+"
@@ -41,7 +45,7 @@ def spaced(text: Column) -> Column:
 
 
 def marked(clean: Column) -> Column:
-    """Canonical text of a text with single spaces; it has as many words. Other capitalised words are kept behind a START."""
+    """Canonical text of a text with single spaces and joined measures; it has as many words. Other capitalised words are kept behind a START."""
     named = F.when(clean.rlike(r"[\p{Ll}\p{N},;] \p{Lu}"), F.regexp_replace(clean, NAME, "<name>")).otherwise(clean)
     named = F.regexp_replace(named, OPENING, f"{START}$1")
     plain = F.regexp_replace(F.lower(named), MARKS, "")
@@ -50,8 +54,8 @@ def marked(clean: Column) -> Column:
 
 
 def _words(df: DataFrame, text: str) -> DataFrame:
-    """raw words and their two canonical forms: `plain` keeps capitalised words at sentence starts and after marks, `named` takes them for names."""
-    text = df.withColumn("clean", spaced(F.regexp_replace(text, START, " "))).withColumn("m", marked(F.col("clean")))
+    """raw words (a number and its unit are one, with a JOINT inside) and their two canonical forms: `plain` keeps capitalised words at sentence starts and after marks, `named` takes them for names."""
+    text = df.withColumn("clean", F.regexp_replace(spaced(F.regexp_replace(text, f"[{START}{JOINT}]", " ")), MEASURE, f"$1{JOINT}")).withColumn("m", marked(F.col("clean")))
     return text.select("*", F.split("clean", " ").alias("raw"), F.split(F.translate("m", START, ""), " ").alias("plain"), F.split(F.regexp_replace("m", ANY_NAME, "<name>"), " ").alias("named"), F.xxhash64("clean").alias("key")).drop("m", "clean", "t")
 
 
@@ -63,45 +67,92 @@ def _windows(words: int) -> Column:
     return F.concat(*map(of, FORMS))
 
 
+def _weight(word: Column) -> Column:
+    return F.when(F.contains(word, F.lit(JOINT)), 2).otherwise(1)
+
+
 def _one_to_one(slots: Column) -> Column:
     size = lambda a: F.size(F.array_distinct(a))
     return (size(slots) == size(F.transform(slots, lambda s: s.i))) & (size(slots) == size(F.transform(slots, lambda s: s.d)))
 
 
+def _with_slots(rows: DataFrame) -> DataFrame:
+    """slots (i, d) of pairs. A word that several shifts align with different words, as one name with one of two words, has all of these as its value."""
+    rows = rows.withColumn("slot", F.sort_array(F.array_distinct(F.transform(F.filter("pairs", lambda p: p.slot), lambda p: F.struct(p.at.alias("at"), p.to.alias("to"), p.i.alias("i"), p.d.alias("d"))))))
+
+    def word(at: Column) -> Column:
+        own = F.filter("slot", lambda x: x.at == at)
+        return F.struct(own[0].i.alias("i"), F.transform(own, lambda x: x.to).alias("to"), F.array_join(F.transform(own, lambda x: x.d), " ").alias("d"))
+
+    rows = rows.withColumn("word", F.transform(F.array_distinct(F.transform("slot", lambda x: x.at)), word))
+
+    def value(to: Column) -> Column:
+        own = F.filter("word", lambda x: x.to == to)
+        return F.struct(F.array_join(F.transform(own, lambda x: x.i), " ").alias("i"), own[0].d.alias("d"))
+
+    return rows.withColumn("slots", F.transform(F.array_distinct(F.transform("word", lambda x: x.to)), value)).drop("slot", "word")
+
+
+def _combined(one: DataFrame) -> DataFrame:
+    """Alignments of a document and item at several shifts, in stretches of the document without a gap of more than the item's length: all of a stretch, and
+    those of it that keep the item's order, where words between the windows count for the shift before and after them."""
+    texts = ["doc_id", "key", "item_id", "item_key", "form"]
+    by_place = Window.partitionBy(*texts).orderBy(F.col("begin") + F.col("shift"), "begin")
+    before = F.max(F.col("end") + F.col("shift")).over(by_place.rowsBetween(Window.unboundedPreceding, -1))
+    gap = F.coalesce(F.col("begin") + F.col("shift") - before > F.col("length"), F.lit(False))
+    back = F.coalesce(F.col("begin") < F.lag("begin").over(by_place), F.lit(False))
+    rows = one.where(F.col("length") >= WINDOW).withColumn("gap", gap).withColumn("back", F.col("gap") | back)
+    rows = rows.withColumn("loose", F.sum(F.col("gap").cast("int")).over(by_place)).withColumn("strict", F.sum(F.col("back").cast("int")).over(by_place))
+    in_chain = Window.partitionBy(*texts, "strict").orderBy(F.col("begin") + F.col("shift"), "begin")
+    rows = rows.withColumn("from", F.least("begin", F.coalesce(F.lag("end").over(in_chain), F.lit(0)))).withColumn("to", F.greatest("end", F.coalesce(F.lead("begin").over(in_chain), F.col("length"))))
+
+    def chains(name: str, first: str, last: str) -> DataFrame:
+        own = F.filter("pairs", lambda p: (p.at >= F.col(first)) & (p.at < F.col(last)))
+        out = rows.groupBy(*texts, name).agg(F.first("n_words").alias("n_words"), F.first("length").alias("length"), F.count("*").cast("int").alias("parts"), F.flatten(F.collect_list(own)).alias("pairs"))
+        return out.where(F.col("parts") > 1).select("doc_id", "item_id", "n_words", "length", "form", "parts", "pairs")
+
+    return chains("loose", "begin", "end").unionByName(chains("strict", "from", "to"))
+
+
 def find_leaks(docs: DataFrame, items: DataFrame, min_coverage: float = 0.5, doc_id: str = "doc_id", text: str = "text", item_id: str = "item_id", item_text: str = "text") -> DataFrame:
     """doc_id, item_id, n_words, n_matched, coverage, n_slots, exact: one row for each document and item it leaks."""
     bench = _words(items.select(F.col(item_id).alias("item_id"), F.col(item_text).alias("t")).where("t is not null"), "t").where("raw <> array('')")
-    bench = bench.withColumn("n_words", F.size("raw")).withColumn("item_key", F.xxhash64("item_id", "key")).drop("key").dropDuplicates(["item_key"])
-    lengths = sorted(r[0] for r in bench.select(F.least("n_words", F.lit(WINDOW))).distinct().collect())  # WINDOW rows at most
+    bench = bench.withColumn("length", F.size("raw")).withColumn("n_words", F.aggregate(F.transform("raw", _weight), F.lit(0), lambda a, x: a + x)).withColumn("item_key", F.xxhash64("item_id", "key")).drop("key").dropDuplicates(["item_key"])
+    lengths = sorted(r[0] for r in bench.select(F.least("length", F.lit(WINDOW))).distinct().collect())  # WINDOW rows at most
     sizes = lambda per: F.inline(F.concat(*[per(k) for k in lengths or [WINDOW]]))
-    index = bench.select("item_id", "item_key", "n_words", sizes(lambda k: F.when(F.least("n_words", F.lit(WINDOW)) == k, _windows(k)).otherwise(F.slice(_windows(k), 1, 0))))
+    index = bench.select("item_id", "item_key", "n_words", "length", sizes(lambda k: F.when(F.least("length", F.lit(WINDOW)) == k, _windows(k)).otherwise(F.slice(_windows(k), 1, 0))))
     small = index.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS
     near = F.broadcast if small else lambda df: df
     texts = _words(docs.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("t")).where("t is not null"), "t")
     whole = ["raw", *FORMS] if small else []  # else texts travel once, not with each window
     hit = texts.select("doc_id", "key", *whole, sizes(_windows)).withColumnRenamed("place", "doc_place").drop("form").join(near(index), "hash")
     hit = hit.withColumn("shift", F.col("doc_place") - F.col("place"))
-    if not small:
-        hit = hit.groupBy("doc_id", "key", "item_id", "item_key", "n_words", "form", "shift").agg(F.min("place").alias("place"))
+    if small:
+        hit = hit.withColumn("last", F.col("place"))
+    else:
+        hit = hit.groupBy("doc_id", "key", "item_id", "item_key", "n_words", "length", "form", "shift").agg(F.min("place").alias("place"), F.max("place").alias("last"))
         again = texts.dropDuplicates(["doc_id", "key"]).withColumnsRenamed({"doc_id": "__id", "key": "__key"})
         hit = hit.join(again, (F.col("key") == F.col("__key")) & F.col("doc_id").eqNullSafe(F.col("__id")))
     skip = F.greatest(-F.col("shift"), F.lit(0))  # words of the item that lie before the document's begin
-    part = lambda a: F.slice(a, F.greatest(F.col("shift"), F.lit(0)) + 1, F.greatest(F.col("n_words") - skip, F.lit(0)))
+    part = lambda a: F.slice(a, F.greatest(F.col("shift"), F.lit(0)) + 1, F.greatest(F.col("length") - skip, F.lit(0)))
     of_form = lambda prefix: F.when(F.col("form") == 0, F.col(f"{prefix}{FORMS[0]}")).otherwise(F.col(f"{prefix}{FORMS[1]}"))
-    aligned = hit.select("doc_id", "key", "item_id", "item_key", "n_words", "form", "shift", "place", part(F.col("raw")).alias("dr"), part(of_form("")).alias("dc"))
-    once = aligned.groupBy("doc_id", "key", "item_id", "item_key", "form", "shift").agg(*[F.first(c).alias(c) for c in ("n_words", "dr", "dc")])
+    aligned = hit.select("doc_id", "key", "item_id", "item_key", "n_words", "length", "form", "shift", "place", "last", part(F.col("raw")).alias("dr"), part(of_form("")).alias("dc"))
+    once = aligned.groupBy("doc_id", "key", "item_id", "item_key", "form", "shift").agg(F.min("place").alias("begin"), (F.max("last") + F.least(F.first("length"), F.lit(WINDOW))).alias("end"), *[F.first(c).alias(c) for c in ("n_words", "length", "dr", "dc")])
     once = once.join(near(bench.select("item_key", *[F.col(c).alias(f"item_{c}") for c in ("raw", *FORMS)])), "item_key")
-    item = lambda a: F.slice(a, skip + 1, F.col("n_words"))
+    item = lambda a: F.slice(a, skip + 1, F.col("length"))
     once = once.withColumn("ir", item(F.col("item_raw"))).withColumn("ic", item(of_form("item_")))
-    bare = lambda c: F.regexp_replace(F.lower(c), r"(?<=^)[!-/:;=?@\[-`{-~]+|[!-/:;=?@\[-`{-~]+$", "")
+    bare = lambda c: F.regexp_replace(F.lower(F.translate(c, JOINT, "")), r"(?<=^)[!-/:;=?@\[-`{-~]+|[!-/:;=?@\[-`{-~]+$", "")
     n = F.least(F.size("ir"), F.size("dr"))
     at = lambda c, k: F.element_at(c, k)
-    pair = lambda k: F.struct((at("ic", k) == at("dc", k)).alias("same"), ((at("ic", k) == at("dc", k)) & at("dc", k).isin(*SLOTS)).alias("slot"), bare(at("ir", k)).alias("i"), bare(at("dr", k)).alias("d"))
-    scored = once.select("doc_id", "item_id", "n_words", "form", F.when(n > 0, F.transform(F.sequence(F.lit(1), n), pair)).alias("pairs"))
-    slots = F.transform(F.filter("pairs", lambda p: p.slot), lambda p: F.struct(p.i.alias("i"), p.d.alias("d")))
-    scored = scored.withColumn("slots", slots).withColumn("n_matched", F.size(F.filter("pairs", lambda p: p.same | (p.i == p.d))))
-    scored = scored.withColumn("exact", (F.col("n_matched") == F.col("n_words")) & ~F.exists("pairs", lambda p: p.i != p.d)).withColumn("n_slots", F.size("slots"))
-    enough = (F.col("n_words") >= WINDOW) | ((F.col("n_matched") == F.col("n_words")) & (F.col("exact") | (2 * F.col("n_slots") <= F.col("n_words"))))
+    pair = lambda k: F.struct((skip + k - 1).alias("at"), (skip + k - 1 + F.col("shift")).alias("to"), _weight(at("ir", k)).alias("weight"), (at("ic", k) == at("dc", k)).alias("same"), ((at("ic", k) == at("dc", k)) & at("dc", k).isin(*SLOTS)).alias("slot"), bare(at("ir", k)).alias("i"), bare(at("dr", k)).alias("d"))
+    pairs = F.when(n > 0, F.transform(F.sequence(F.lit(1), n), pair)).otherwise(F.array())
+    one = once.withColumn("pairs", F.filter(pairs, lambda p: p.same | (p.i == p.d))).drop("ir", "ic", "dr", "dc", *[f"item_{c}" for c in ("raw", *FORMS)])
+    scored = one.select("doc_id", "item_id", "n_words", "length", "form", F.lit(1).alias("parts"), "pairs").unionByName(_combined(one))
+    scored = _with_slots(scored)
+    count = lambda pairs: F.aggregate(F.array_distinct(F.transform(pairs, lambda p: F.struct(p.at.alias("at"), p.weight.alias("weight")))), F.lit(0), lambda a, p: a + p.weight)
+    scored = scored.withColumn("n_slots", F.size("slots")).withColumn("n_matched", count(F.col("pairs")))
+    scored = scored.withColumn("exact", (F.col("parts") == 1) & (count(F.filter("pairs", lambda p: p.i == p.d)) == F.col("n_words")))
+    enough = (F.col("length") >= WINDOW) | ((F.col("n_matched") == F.col("n_words")) & (F.col("exact") | (2 * F.col("n_slots") <= F.col("length"))))
     kept = scored.where(_one_to_one(F.col("slots")) & enough & (F.col("n_matched") >= F.lit(min_coverage) * F.col("n_words")))
     best = kept.groupBy("doc_id", "item_id").agg(F.max(F.struct("n_matched", "exact", (-F.col("form")).alias("way"), "n_slots", "n_words")).alias("b"))
     return best.select("doc_id", "item_id", F.col("b.n_words").cast("long").alias("n_words"), F.col("b.n_matched").cast("long").alias("n_matched"), (F.col("b.n_matched") / F.col("b.n_words")).alias("coverage"), F.col("b.n_slots").cast("long").alias("n_slots"), F.col("b.exact").alias("exact"))

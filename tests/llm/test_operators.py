@@ -197,6 +197,18 @@ def test_leaks_of_short_items_and_short_runs(spark):
     assert got == {(k, 1) for k in range(4)} | {(10 + k, 2) for k in range(4)} | {(20, 3), (21, 4), (22, 7)}
 
 
+@pytest.mark.parametrize("rows", [decontam.BROADCAST_ROWS, 0])
+def test_leaks_with_other_word_counts(spark, monkeypatch, rows):
+    monkeypatch.setattr(decontam, "BROADCAST_ROWS", rows)
+    w = [f"w{chr(97 + k // 26)}{chr(97 + k % 26)}" for k in range(36)]
+    text = lambda *x: " ".join(x)
+    items = [(1, text(*w[:12], "Boston", *w[12:24], "ends", *w[24:])), (3, text(*w[:12], "New York", *w[12:24], "ends", *w[24:])), (2, text("we mix 5 kg with 30 g and then 7 km", "on 2 m and 4 kg or 3 cm"))]
+    d = [(1, text(*w[:12], "New York", *w[12:24], "really ends", *w[24:])), (2, "we mix 6kg with 40g and then 8km on 3m and 9kg or 1cm"), (3, text(*w[:12])), (4, text(*w[:12], *["x"] * 90, *w[24:])), (None, text(*w[24:], "and", *w[:12])), (5, None), (6, text(*w[:12], "Boston", *w[12:24], "really ends", *w[24:]))]
+    got = {(r.doc_id, r.item_id): r for r in decontam.find_leaks(spark.createDataFrame(d, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string")).collect()}
+    assert set(got) == {(1, 1), (1, 3), (2, 2), (None, 1), (None, 3), (6, 1), (6, 3)} and not any(r.exact for r in got.values())
+    assert got[1, 1].n_words == got[1, 1].n_matched == 38 and got[6, 3].n_words == got[6, 3].n_matched == 39 and got[6, 3].n_slots == 1 and got[2, 2].coverage == 1 and got[2, 2].n_words == 20 and got[None, 1].n_matched == 24
+
+
 def test_nearest(spark):
     rng = np.random.default_rng(3)
     x = rng.normal(size=(900, 16))
