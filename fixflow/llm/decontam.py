@@ -22,7 +22,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import durable, table
 
 WINDOW = 8
 BROADCAST_ROWS = 2_000_000
@@ -56,14 +56,14 @@ def marked(clean: Column) -> Column:
 def _words(df: DataFrame, text: str) -> DataFrame:
     """raw words (a number and its unit are one, with a JOINT inside) and their two canonical forms: `plain` keeps capitalised words at sentence starts and after marks, `named` takes them for names."""
     text = df.withColumn("clean", F.regexp_replace(spaced(F.regexp_replace(text, f"[{START}{JOINT}]", " ")), MEASURE, f"$1{JOINT}")).withColumn("m", marked(F.col("clean")))
-    return text.select("*", F.split("clean", " ").alias("raw"), F.split(F.translate("m", START, ""), " ").alias("plain"), F.split(F.regexp_replace("m", ANY_NAME, "<name>"), " ").alias("named"), F.xxhash64("clean").alias("key")).drop("m", "clean", "t")
+    return text.select("*", F.split("clean", " ").alias("raw"), F.split(F.translate("m", START, ""), " ").alias("plain"), F.split(F.regexp_replace("m", ANY_NAME, "<name>"), " ").alias("named"), *([] if "key" in df.columns else [F.xxhash64("clean").alias("key")])).drop("m", "clean", "t")
 
 
 def _windows(words: int) -> Column:
-    """(place, form, hash) of all windows of so many words, in both canonical forms."""
+    """(place, form, hash) of all windows of so many words, in both canonical forms. Words are taken one by one, as a slice reads the whole array each time."""
     last = F.size("raw") - words
     at = F.when(last >= 0, F.sequence(F.lit(0), last)).otherwise(F.array().cast("array<int>"))
-    of = lambda f: F.transform(at, lambda i: F.struct(i.alias("place"), F.lit(FORMS.index(f)).alias("form"), F.xxhash64(F.lit(f), F.slice(f, i + 1, words)).alias("hash")))
+    of = lambda f: F.transform(at, lambda i: F.struct(i.alias("place"), F.lit(FORMS.index(f)).alias("form"), F.xxhash64(F.lit(f), *[F.get(f, i + k) for k in range(words)]).alias("hash")))
     return F.concat(*map(of, FORMS))
 
 
@@ -80,6 +80,8 @@ def _with_slots(rows: DataFrame) -> DataFrame:
     """slots (i, d) of pairs. A word that several shifts align with different words, as one name with one of two words, has all of these as its value."""
     rows = rows.withColumn("slot", F.sort_array(F.array_distinct(F.transform(F.filter("pairs", lambda p: p.slot), lambda p: F.struct(p.at.alias("at"), p.to.alias("to"), p.i.alias("i"), p.d.alias("d"))))))
 
+    plain = F.transform("slot", lambda x: F.struct(x.i.alias("i"), x.d.alias("d")))
+
     def word(at: Column) -> Column:
         own = F.filter("slot", lambda x: x.at == at)
         return F.struct(own[0].i.alias("i"), F.transform(own, lambda x: x.to).alias("to"), F.array_join(F.transform(own, lambda x: x.d), " ").alias("d"))
@@ -90,7 +92,7 @@ def _with_slots(rows: DataFrame) -> DataFrame:
         own = F.filter("word", lambda x: x.to == to)
         return F.struct(F.array_join(F.transform(own, lambda x: x.i), " ").alias("i"), own[0].d.alias("d"))
 
-    return rows.withColumn("slots", F.transform(F.array_distinct(F.transform("word", lambda x: x.to)), value)).drop("slot", "word")
+    return rows.withColumn("slots", F.when(F.col("parts") == 1, plain).otherwise(F.transform(F.array_distinct(F.transform("word", lambda x: x.to)), value))).drop("slot", "word")
 
 
 def _combined(one: DataFrame) -> DataFrame:
@@ -123,16 +125,12 @@ def find_leaks(docs: DataFrame, items: DataFrame, min_coverage: float = 0.5, doc
     index = bench.select("item_id", "item_key", "n_words", "length", sizes(lambda k: F.when(F.least("length", F.lit(WINDOW)) == k, _windows(k)).otherwise(F.slice(_windows(k), 1, 0))))
     small = index.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS
     near = F.broadcast if small else lambda df: df
-    texts = _words(docs.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("t")).where("t is not null"), "t")
-    whole = ["raw", *FORMS] if small else []  # else texts travel once, not with each window
-    hit = texts.select("doc_id", "key", *whole, sizes(_windows)).withColumnRenamed("place", "doc_place").drop("form").join(near(index), "hash")
+    texts = docs.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("t")).where("t is not null").withColumn("key", F.xxhash64("doc_id", "t"))
+    # a window carries no text: copying one for each of its windows takes quadratic time; only texts with hits are looked at again
+    hit = _words(texts, "t").select("doc_id", "key", sizes(_windows)).withColumnRenamed("place", "doc_place").drop("form").join(near(index), "hash")
     hit = hit.withColumn("shift", F.col("doc_place") - F.col("place"))
-    if small:
-        hit = hit.withColumn("last", F.col("place"))
-    else:
-        hit = hit.groupBy("doc_id", "key", "item_id", "item_key", "n_words", "length", "form", "shift").agg(F.min("place").alias("place"), F.max("place").alias("last"))
-        again = texts.dropDuplicates(["doc_id", "key"]).withColumnsRenamed({"doc_id": "__id", "key": "__key"})
-        hit = hit.join(again, (F.col("key") == F.col("__key")) & F.col("doc_id").eqNullSafe(F.col("__id")))
+    hit = hit.groupBy("key", "item_id", "item_key", "n_words", "length", "form", "shift").agg(F.min("place").alias("place"), F.max("place").alias("last"))
+    hit = _words(texts.dropDuplicates(["key"]).join(hit.select("key").distinct(), "key", "left_semi"), "t").join(hit, "key")
     skip = F.greatest(-F.col("shift"), F.lit(0))  # words of the item that lie before the document's begin
     part = lambda a: F.slice(a, F.greatest(F.col("shift"), F.lit(0)) + 1, F.greatest(F.col("length") - skip, F.lit(0)))
     of_form = lambda prefix: F.when(F.col("form") == 0, F.col(f"{prefix}{FORMS[0]}")).otherwise(F.col(f"{prefix}{FORMS[1]}"))
@@ -146,9 +144,10 @@ def find_leaks(docs: DataFrame, items: DataFrame, min_coverage: float = 0.5, doc
     at = lambda c, k: F.element_at(c, k)
     pair = lambda k: F.struct((skip + k - 1).alias("at"), (skip + k - 1 + F.col("shift")).alias("to"), _weight(at("ir", k)).alias("weight"), (at("ic", k) == at("dc", k)).alias("same"), ((at("ic", k) == at("dc", k)) & at("dc", k).isin(*SLOTS)).alias("slot"), bare(at("ir", k)).alias("i"), bare(at("dr", k)).alias("d"))
     pairs = F.when(n > 0, F.transform(F.sequence(F.lit(1), n), pair)).otherwise(F.array())
-    one = once.withColumn("pairs", F.filter(pairs, lambda p: p.same | (p.i == p.d))).drop("ir", "ic", "dr", "dc", *[f"item_{c}" for c in ("raw", *FORMS)])
+    one = durable(once.withColumn("pairs", pairs).drop("ir", "ic", "dr", "dc", *[f"item_{c}" for c in ("raw", *FORMS)]), "aligned")  # else each lambda aligns anew
+    one = one.withColumn("pairs", F.filter("pairs", lambda p: p.same | (p.i == p.d)))
     scored = one.select("doc_id", "item_id", "n_words", "length", "form", F.lit(1).alias("parts"), "pairs").unionByName(_combined(one))
-    scored = _with_slots(scored)
+    scored = durable(_with_slots(scored), "slots")
     count = lambda pairs: F.aggregate(F.array_distinct(F.transform(pairs, lambda p: F.struct(p.at.alias("at"), p.weight.alias("weight")))), F.lit(0), lambda a, p: a + p.weight)
     scored = scored.withColumn("n_slots", F.size("slots")).withColumn("n_matched", count(F.col("pairs")))
     scored = scored.withColumn("exact", (F.col("parts") == 1) & (count(F.filter("pairs", lambda p: p.i == p.d)) == F.col("n_words")))
