@@ -1,14 +1,20 @@
 """Language-model scoring by online logistic context mixing of bit predictors.
 
-A text is its tokens: lower-cased words and one end. Each token is a string of binary decisions: whether it is one of the ``HEAD`` most
-frequent tokens; if so, the digits of its frequency rank; if not (or if it was seen once only), the bits of its bytes and of a closing space. The code is prefix-free, so the product of all decision
-probabilities is a probability of the token sequence. Bit predictors are tables of outcome counts in hashed contexts. A rank's digits are predicted from the digits
-before them alone, and together with the last of the ``TOP`` most frequent words (which tells the language of the passage); a spelled
-byte's bits from the last one, two, three and four bytes. The predictors' log-odds are mixed by weights that a gate selects (which
-digit, how often the contexts were seen); weights are learned online, batch after batch, by second-order steps with each token's own
-count left out. The mixed probability is refined by an adaptive table of outcomes by gate and log-odds.
-
-Everything counts all training tokens. Token counts are summed in Spark (their rows grow with the corpus); tables of fixed size are summed over tasks by block,
+A text is its tokens: lower-cased words and one end. Each token is a string of binary decisions. The first: is it known after the word
+before it, which means that the corpus has this pair of tokens? Several hashed contexts predict that bit: how often the word before was seen together with the length of the
+run of known tokens behind it; the word before; the two words before; the last of the ``TOP`` most frequent words (which tells the language of the passage).
+Their log-odds are mixed by weights that a gate selects (run, how often the two words were seen), and the mixed probability is refined by
+an adaptive table of outcomes by gate and log-odds. Tables, weights and refinement are learned online over the text: each piece of text is predicted
+by what the pieces before it have left, with every token's own pair left out of its count.
+A known token is then coded by its share of the pairs of the word before (a word beyond the ``HEAD`` most frequent tokens counts as often as the last of these).
+Any other token is coded from scratch: whether it is one of the head; if so, the digits of its frequency rank, predicted from the digits before them
+alone and together with the frequent word; if not (or if it was seen once only), the bits of its bytes and of a closing space, predicted in hashed contexts of the last one, two, three and four
+bytes; these are mixed, gated and refined alike. Known tokens could be coded both ways, so the probabilities of all texts add up to
+less than one, never more.
+
+What is gathered grows with the corpus: token counts and the counts of all pairs are kept whole (pairs are counted by 37-bit or longer hashes, see
+``exchange``, and come back to the texts as a byte: counts over 127 are rounded down to quarters of a power of two). Tables of hashed contexts have a fixed size and are summed
+over tasks by block, without a limit on a count;
 the weights that tasks learn are averaged by the tokens they saw. Only tables of fixed size are collected or broadcast. Exact token counts reach the documents by
 the broadcast head and, for all other tokens, by a join.
 
@@ -20,17 +26,18 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import exchange, flat
-from .common import durable, table
+from .common import durable, table, width
 from .langid import fold
 
 BITS = (16, 20, 21, 22)  # log2 of each predictor's slots
 BASE = np.concatenate([[0], np.cumsum([1 << b for b in BITS])])
 SLOTS = int(BASE[-1])
 BLOCK = 1 << 14
+FULL = 1 << 31
 HEAD, TOP = 1 << 17, 32
 GATES = 8 * 4 * 8 * 4  # bit place, bytes read, how often the last three bytes were seen, and the last four
 RANK_GATES = 18 * 8  # digit place, how often it was seen after this frequent word
@@ -38,6 +45,10 @@ GATE_BLOCK = 32  # gates whose sums over tasks are added up together
 STEPS = 32
 PRIOR = 0.4
 END = b"\n"
+ENDS, BEGINS = np.uint64(0xE703C2A9D1B5F68D), np.uint64(0x5B1D9E37A46C80F3)  # hashes of the end, and of the place before the first word
+KNOWN_BITS = (12, 16, 18, 10)  # log2 of the slots of each predictor of the known bit
+KNOWN_BASE = np.concatenate([[0], np.cumsum([1 << b for b in KNOWN_BITS])])
+KNOWN_GATES = 8 * 4  # run of known tokens, how often the two words before were seen
 
 
 class Spelled:
@@ -313,11 +324,11 @@ def _summed(parts: DataFrame, size: int) -> np.ndarray:
         total = np.zeros(2 * BLOCK, np.int64)
         for x in pdf["counts"]:
             total += np.frombuffer(x, np.uint32)
-        return pd.DataFrame({"block": pdf["block"].iloc[:1], "counts": [np.minimum(total, 2**32 - 1).astype(np.uint32).tobytes()]})
+        return pd.DataFrame({"block": pdf["block"].iloc[:1], "counts": [total.astype(np.float32).tobytes()]})
 
-    out = np.zeros((-(-size // (2 * BLOCK)), 2 * BLOCK), np.uint32)
+    out = np.zeros((-(-size // (2 * BLOCK)), 2 * BLOCK), np.float32)
     for r in parts.groupBy("block").applyInPandas(add, "block int, counts binary").toLocalIterator():  # a table of fixed size
-        out[r.block] = np.frombuffer(r.counts, np.uint32)
+        out[r.block] = np.frombuffer(r.counts, np.float32)
     return out.ravel()[:size]
 
 
@@ -326,10 +337,14 @@ def count_ranks(train: DataFrame, text: str, head: Head) -> np.ndarray:
     shared, size = train.sparkSession.sparkContext.broadcast(head), (TOP + 1) * (HEAD + 1)
 
     def run(batches):
-        total = np.zeros(-(-size // (2 * BLOCK)) * 2 * BLOCK, np.uint32)
+        total, held = np.zeros(-(-size // (2 * BLOCK)) * 2 * BLOCK, np.uint32), 0
         for batch in batches:
             for i, j, w, h, rank, kind, end_kind in _pieces(flat.as_bytes(batch.column(0)), shared.value):
                 cell = np.concatenate([kind * (HEAD + 1) + rank, end_kind * (HEAD + 1) + shared.value.end])
+                held += len(cell)
+                if held >= FULL:  # before a counter could wrap
+                    yield from _blocks(total)
+                    total[:], held = 0, len(cell)
                 at, n = np.unique(cell, return_counts=True)
                 total[at] += n.astype(np.uint32)
         yield from _blocks(total)
@@ -344,14 +359,21 @@ def train_speller(rare: DataFrame, distinct: int) -> Model:
     tokens = tokens.repartition(tasks, "word").sortWithinPartitions(F.xxhash64("word"), "word")  # the same tasks and order whoever runs them
 
     def count(batches):
-        total = np.zeros(SLOTS * 2, np.uint32)
+        total, held = np.zeros(SLOTS * 2, np.uint32), 0
         for batch in batches:
             words, n = batch.column(0).to_pylist(), batch.column(1).to_numpy()
             for i, j in chunks(words, 120_000):
                 s = Spelled(words[i:j])
-                t = np.repeat(n[i:j][s.word], 8).astype(np.uint32)
-                for slot in s.slot:
-                    np.add.at(total, slot.ravel() * 2 + s.y.ravel(), t)
+                t = np.repeat(n[i:j][s.word], 8)
+                parts = int(t.sum()) // FULL + 1
+                for q in range(parts):
+                    part = t // parts + (q < t % parts)
+                    held += int(part.sum())
+                    if held >= FULL:  # before a counter could wrap
+                        yield from _blocks(total)
+                        total[:], held = 0, int(part.sum())
+                    for slot in s.slot:
+                        np.add.at(total, slot.ravel() * 2 + s.y.ravel(), part.astype(np.uint32))
         yield from _blocks(total)
 
     counts = _summed(tokens.mapInArrow(count, "block int, counts binary"), 2 * SLOTS).reshape(SLOTS, 2)
@@ -396,9 +418,193 @@ def train_speller(rare: DataFrame, distinct: int) -> Model:
     return Model(logit, seen, w.astype(np.float32), mean.refined().astype(np.float32))
 
 
-def score_texts(docs: DataFrame, train: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """docs' id with n_tokens, n_known, train_tokens, base_score, score (log10) and bits_per_byte."""
+class Stream:
+    """The tokens of a piece of texts, each text's end among them: hash, the hashes of the two tokens before, kind, begin of the text."""
+
+    def __init__(self, w: flat.Words, h: np.ndarray, kind: np.ndarray | None = None, end_kind: np.ndarray | None = None):
+        m = len(w.count)
+        self.at = np.arange(len(h)) + w.doc  # of the words
+        self.ends = w.first[1:] + np.arange(m)
+        self.doc = np.repeat(np.arange(m), w.count + 1)
+        self.first = np.concatenate([[0], self.ends[:-1] + 1]) if m else np.zeros(0, np.int64)
+        self.h = np.empty(len(h) + m, np.uint64)
+        self.h[self.at], self.h[self.ends] = h, ENDS
+        self.one, self.two = self.before(self.h, BEGINS), self.before(self.before(self.h, BEGINS), BEGINS)
+        self.kind = None
+        if kind is not None:
+            self.kind = np.empty(len(self.h), np.int64)
+            self.kind[self.at], self.kind[self.ends] = kind, end_kind
+
+    def before(self, x: np.ndarray, none) -> np.ndarray:
+        out = np.roll(x, 1)
+        out[self.first] = none
+        return out
+
+    def pairs(self) -> np.ndarray:
+        return flat.mix(self.one * np.uint64(0x9E3779B97F4A7C15) + self.h)
+
+    def runs(self, known: np.ndarray) -> np.ndarray:
+        """0 to 7: how many tokens before each one are known without a gap, in powers of two."""
+        at = np.arange(len(known))
+        last = np.maximum(np.maximum.accumulate(np.where(known, -1, at)) if len(at) else at, self.first[self.doc] - 1)
+        run = np.where(known, at - last, 0)
+        return np.minimum(7, np.ceil(np.log2(self.before(run, 0) + 1.0))).astype(np.int64)
+
+    def contexts(self, total: np.ndarray, run: np.ndarray) -> list[np.ndarray]:
+        """Slots of the predictors of the known bit."""
+        level = np.minimum(31, np.log2(total + 1.0) * 2).astype(np.int64)
+        hashed = [flat.mix(self.one ^ np.uint64(0x51)), flat.mix(self.one * np.uint64(3) + flat.mix(self.two))]
+        by_word = [(x >> np.uint64(64 - b)).astype(np.int64) for x, b in zip(hashed, KNOWN_BITS[1:3])]
+        return [level * 8 + run + KNOWN_BASE[0], by_word[0] + KNOWN_BASE[1], by_word[1] + KNOWN_BASE[2], np.minimum(self.kind, 63) * 8 + run + KNOWN_BASE[3]]
+
+
+def pair_values(texts: list[bytes], _=None) -> exchange.Values:
+    w = flat.Words(texts, fold=True)
+    return exchange.Values(Stream(w, w.hashes(43)).pairs(), w.count + 1)
+
+
+def pair_counts(values: np.ndarray, flags, ranks: np.ndarray) -> np.ndarray:
+    """How often each value stands in the training texts (a rank is the number of a text's training copies), as a byte."""
+    order = np.argsort(values["low"], kind="stable")
+    s = values["low"][order]
+    cut = np.flatnonzero(np.concatenate([[True], s[1:] != s[:-1]])) if len(s) else np.zeros(0, np.int64)
+    if not len(cut):
+        return np.zeros(0, np.uint8)
+    n = np.add.reduceat(ranks["rep"][order], cut)
+    note = np.where(n < 128, n, 128 + np.floor(4 * np.log2(np.maximum(n, 128) / 128)))
+    out = np.empty(len(s), np.uint8)
+    out[order] = np.repeat(note.astype(np.uint8), np.diff(np.append(cut, len(s))))
+    return out
+
+
+COUNT_OF = np.where(np.arange(256) < 128, np.arange(256), np.floor(128 * 2.0 ** ((np.arange(256) - 128) / 4)))
+
+
+def totals(stream: Stream, head_times: np.ndarray, rank: np.ndarray, documents: int) -> np.ndarray:
+    """How often the token before each one was seen; of words beyond the head, at most how often."""
+    own = np.empty(len(stream.h))
+    own[stream.at], own[stream.ends] = head_times[rank], 0
+    return stream.before(own, documents)
+
+
+def _known_odds(counts: list[np.ndarray]) -> np.ndarray:
+    x = [np.log((c[:, 1] + PRIOR) / (c[:, 0] + PRIOR)) for c in counts]
+    return np.stack([*x, np.full(len(x[0]), 0.3)], 1)
+
+
+def known_gate(run: np.ndarray, seen: np.ndarray) -> np.ndarray:
+    return run * 4 + np.minimum(3, np.log2(seen + 1.0)).astype(np.int64)
+
+
+class Known:
+    """Predictors of the known bit: outcome counts of every slot, mixing weights and refining table."""
+
+    def __init__(self, counts: np.ndarray, weights: np.ndarray, refine: np.ndarray):
+        self.counts, self.weights, self.refine = counts, weights, refine
+
+    def probability(self, stream: Stream, total: np.ndarray, known: np.ndarray) -> np.ndarray:
+        """That each token is known."""
+        run = stream.runs(known)
+        n = [self.counts[s] for s in stream.contexts(total, run)]
+        g = known_gate(run, n[2].sum(1))
+        mixed = (self.weights[g] * _known_odds(n)).sum(1)
+        return np.clip((squash(mixed) + self.refine[g, bucket(mixed)]) / 2, 1e-6, 1 - 1e-6)
+
+
+def known_mixer() -> Online:
+    return Online(len(KNOWN_BITS), KNOWN_GATES, [0.5, 0.2, 0.1, 0.2])
+
+
+def growing(texts: list[bytes], read: int):
+    """Index ranges of texts in pieces that grow with what was read, so that the first pieces are predicted early."""
+    first = size = 0
+    for i, t in enumerate(texts):
+        size += len(t)
+        if size >= min(flat.PIECE, max(1 << 15, (read + size) // 8)):
+            yield first, i + 1
+            read, first, size = read + size, i + 1, 0
+    if first < len(texts):
+        yield first, len(texts)
+
+
+def learn_known(noted: DataFrame, head, head_times: np.ndarray, documents: int) -> Known:
+    """Reads all training texts in order, once; noted: text, notes, times (training copies)."""
+    n, size = width(noted.sparkSession), int(KNOWN_BASE[-1])
+    shared = noted.sparkSession.sparkContext.broadcast((head, head_times))
+
+    def learn(batches):
+        head, head_times = shared.value
+        own, counts, read = known_mixer(), np.zeros((size, 2)), 0
+        for batch in batches:
+            raw, notes, copies = flat.as_bytes(batch.column(0)), batch.column(1).to_pylist(), batch.column(2).to_numpy()
+            for first, last in growing(raw, read):
+                for i, j, w, h, rank, kind, end_kind in _pieces(raw[first:last], head):
+                    i, j = first + i, first + j
+                    t = Stream(w, h, kind, end_kind)
+                    c = COUNT_OF[_dealt(t, notes[i:j], n)] - 1  # without the token itself
+                    total = np.maximum(totals(t, head_times, rank, documents) - 1, 0)
+                    known = c > 0
+                    run = t.runs(known)
+                    live = np.flatnonzero(total > 0)  # nothing can be known after what was never seen
+                    if not len(live):
+                        continue
+                    slots = [s[live] for s in t.contexts(total, run)]
+                    y, times = known[live], copies[i:j][t.doc[live]].astype(np.float64)
+                    seen = [counts[s] for s in slots]
+                    own.learn(_known_odds(seen), y, known_gate(run[live], seen[2].sum(1)), times)
+                    for s, low, high in zip(slots, KNOWN_BASE, KNOWN_BASE[1:]):
+                        counts[low:high] += np.bincount((s - low) * 2 + y, times, minlength=2 * (high - low)).reshape(-1, 2)
+            read += sum(map(len, raw))
+        if own.weight.any():
+            sums = np.concatenate([own.w * own.weight[:, None], own.weight[:, None], own.seen.reshape(KNOWN_GATES, -1)], 1)
+            flat_ = np.concatenate([sums.ravel(), counts.ravel()])
+            for b, at in enumerate(range(0, len(flat_), 2 * BLOCK)):
+                yield pa.RecordBatch.from_pydict({"block": [b], "sums": [flat_[at : at + 2 * BLOCK].astype(np.float32 if at > sums.size else np.float64).tobytes()]}, pa.schema([("block", pa.int32()), ("sums", pa.binary())]))
+
+    wide = KNOWN_GATES * (len(KNOWN_BITS) + 2 + 2 * STEPS)
+    kind_of = lambda b: np.float32 if b * 2 * BLOCK > wide else np.float64
+
+    def add(pdf):
+        import pandas as pd
+
+        b = int(pdf["block"].iloc[0])
+        total = sum((np.frombuffer(x, kind_of(b)).astype(np.float64) for x in sorted(pdf["sums"])), 0.0)  # in a fixed order
+        return pd.DataFrame({"block": [b], "sums": [total.tobytes()]})
+
+    out = np.zeros(wide + 2 * size)
+    rows = noted.where("times > 0").select("text", "notes", "times").mapInArrow(learn, "block int, sums binary")
+    for r in rows.groupBy("block").applyInPandas(add, "block int, sums binary").toLocalIterator():  # a table of fixed size
+        part = np.frombuffer(r.sums, np.float64)
+        out[r.block * 2 * BLOCK : r.block * 2 * BLOCK + len(part)] = part
+    shared.unpersist()
+    mean, sums = known_mixer(), out[:wide].reshape(KNOWN_GATES, -1)
+    k = len(KNOWN_BITS) + 1
+    weight = sums[:, k]
+    w = np.where(weight[:, None] > 0, sums[:, :k] / np.maximum(weight, 1e-9)[:, None], mean.w)
+    mean.seen = sums[:, k + 1 :].reshape(KNOWN_GATES, STEPS, 2)
+    return Known(out[wide:].reshape(size, 2).astype(np.float32), w, mean.refined())
+
+
+def _dealt(t: Stream, notes: list[bytes], n: int) -> np.ndarray:
+    """The notes of a piece's tokens in the order of the text."""
+    h, out = t.pairs(), np.empty(len(t.h), np.uint8)
+    for a, b, note in zip(t.first.tolist(), (t.ends + 1).tolist(), notes):
+        out[a:b] = exchange.deal(h[a:b], n, note)
+    return out
+
+
+def score_texts(docs: DataFrame, train: DataFrame | Column, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+    """docs' id with n_tokens, n_known, train_tokens, base_score, score (log10) and bits_per_byte.
+
+    train: the rows to learn from, or the condition on docs that tells them, which reads docs' texts once."""
     spark = docs.sparkSession
+    full = F.coalesce(F.col(text), F.lit("")).alias("text")
+    if isinstance(train, Column):
+        both = docs.select(full, train.cast("long").alias("times"), F.lit(1).cast("long").alias("asked"))
+        train = docs.where(train)
+    else:
+        both = docs.select(full, F.lit(0).cast("long").alias("times"), F.lit(1).cast("long").alias("asked"))
+        both = both.unionByName(train.select(full, F.lit(1).cast("long").alias("times"), F.lit(0).cast("long").alias("asked")))
     words = durable(count_tokens(train, text), "counted")
     total = words.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n"), F.count("*").alias("v")).first()
     n, v = int(total.n), int(total.v)
@@ -407,56 +613,71 @@ def score_texts(docs: DataFrame, train: DataFrame, doc_id: str = "doc_id", text:
     head = Head([w for _, w in most] if most else [END])
     times = np.zeros(HEAD + 1)
     times[: len(most)] = [-n for n, _ in most]
+    documents = int(times[head.end]) if head.end >= 0 else 0
+    least = max(1.0, 1.02 * times[len(most) - 1]) if len(most) >= HEAD else 1.0  # no word beyond the head is seen more often
+    head_times = np.where(np.arange(HEAD + 1) < HEAD, times, least)
     first = words.where(F.lit(False)).select("word") if not most else spark.createDataFrame(pa.table({"word": pa.array([w for _, w in most], pa.binary())}))
     del most
     prob = head_odds(count_ranks(train, text, head))
     rare_words = words.join(F.broadcast(first), "word", "left_anti")
     spelled = rare_words.unionByName(first.where(F.col("word") != F.lit(END)).select("word", F.lit(1).cast("long").alias("n")))  # of the head, each word once
     model = train_speller(spelled, v)
-    shared = spark.sparkContext.broadcast((model, head, times, prob))
-    below = np.log10(n + 1.0 * (v + 1))
+    both = both.select(exchange.text_key("text").alias("key"), "*").groupBy("key").agg(F.sum("times").alias("rep"), F.max("asked").alias("asked"), F.first("text").alias("text")).where("key is not null")
+    noted = exchange.annotate(both, pair_values, pair_counts, ranked=True)
+    noted = durable(noted.select("key", "text", "notes", F.col("rep").alias("times"), "asked"), "pairs")
+    known_bit = learn_known(noted, head, head_times, documents)
+    shared = spark.sparkContext.broadcast((model, head, times, prob, known_bit, head_times))
+    below, buckets = np.log10(n + 1.0 * (v + 1)), width(spark)
 
     def run(batches):
-        model, head, times, prob = shared.value
+        model, head, times, prob, known_bit, head_times = shared.value
         memory: dict[int, float] = {}
         credit = np.log10(times + 1)
         credit[HEAD] = 0
         end_known, end_base = int(times[head.end] > 0), float(credit[head.end])
         for batch in batches:
-            raw = flat.as_bytes(batch.column(2))
+            raw, notes = flat.as_bytes(batch.column(1)), batch.column(2).to_pylist()
             cols: dict[str, list] = {c: [] for c in ("n_tokens", "n_bytes", "known", "base", "score", "rare")}
             for i, j, w, h, rank, kind, end_kind in _pieces(raw, head):
                 m, text = j - i, w.raw.tobytes()
-                out = np.flatnonzero(rank == HEAD)
-                own, at, of = np.unique(h[out], return_index=True, return_inverse=True)
-                pair = own.tolist()
-                new = [k for k, x in enumerate(pair) if x not in memory]
-                got = dict(zip([pair[k] for k in new], model.score([text[w.start[x] : w.end[x]] for x in out[at[new]].tolist()]).tolist())) if new else {}
-                spelled = np.array([got[x] if x in got else memory[x] for x in pair])
-                if len(memory) < 200_000:
-                    memory.update(got)
+                t = Stream(w, h, kind, end_kind)
+                c, total = COUNT_OF[_dealt(t, notes[i:j], buckets)], totals(t, head_times, rank, documents)
+                pair = (c > 0) & (total > 0)
+                p = known_bit.probability(t, total, pair)
+                bits = np.where(total > 0, np.log2(np.where(pair, p * np.minimum(1, c / np.maximum(total, 1)), 1 - p)), 0.0)
                 each = prob[kind, rank].astype(np.float64)
-                if len(out):
-                    each[out] += spelled[of]
-                score = np.bincount(w.doc, each, minlength=m) + prob[end_kind, head.end]
+                fresh = np.flatnonzero((rank == HEAD) & ~pair[t.at])  # words to spell
+                if len(fresh):
+                    own, at, of = np.unique(h[fresh], return_index=True, return_inverse=True)
+                    hashes = own.tolist()
+                    new = [k for k, x in enumerate(hashes) if x not in memory]
+                    got = dict(zip([hashes[k] for k in new], model.score([text[w.start[x] : w.end[x]] for x in fresh[at[new]].tolist()]).tolist())) if new else {}
+                    spelled = np.array([got[x] if x in got else memory[x] for x in hashes])
+                    if len(memory) < 200_000:
+                        memory.update(got)
+                    each[fresh] += spelled[of]
+                scratch = np.empty(len(t.h))
+                scratch[t.at], scratch[t.ends] = each, prob[end_kind, head.end]
+                score = np.bincount(t.doc, bits + np.where(pair, 0.0, scratch), minlength=m)
                 cols["known"] += (np.bincount(w.doc, (rank < HEAD) & (times[rank] > 0), minlength=m).astype(np.int64) + end_known).tolist()
                 cols["base"] += (np.bincount(w.doc, credit[rank], minlength=m) + end_base).tolist()
                 cols["n_tokens"] += (w.count + 1).tolist()
                 cols["n_bytes"] += np.diff(w.doc_at).tolist()
                 cols["score"] += (score * np.log10(2)).tolist()
+                out = np.flatnonzero(rank == HEAD)
                 bounds = np.searchsorted(w.doc[out], np.arange(m + 1)).tolist()
                 found = [text[x:y] for x, y in zip(w.start[out].tolist(), w.end[out].tolist())]
                 cols["rare"] += [found[x:y] for x, y in zip(bounds, bounds[1:])]
             kinds = {"n_tokens": pa.int64(), "n_bytes": pa.int64(), "known": pa.int64(), "base": pa.float64(), "score": pa.float64(), "rare": pa.list_(pa.binary())}
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *[pa.array(cols[c], kinds[c]) for c in kinds]], ["doc_id", "key", *kinds])
+            yield pa.RecordBatch.from_arrays([batch.column(0), *[pa.array(cols[c], kinds[c]) for c in kinds]], ["key", *kinds])
 
-    kind = docs.schema[doc_id].dataType.simpleString()
-    rows = docs.select(F.col(doc_id).alias("doc_id"), F.coalesce(exchange.text_key(text), F.unhex(F.md5(F.lit("")))).alias("key"), F.col(text).alias("text"))
-    scored = durable(rows.mapInArrow(run, f"doc_id {kind}, key binary, n_tokens long, n_bytes long, known long, base double, score double, rare array<binary>"), "scored")
-    rare = scored.where(F.size("rare") > 0).select("key", "rare").dropDuplicates(["key"]).select("key", F.explode("rare").alias("word"))
+    asked = noted.where("asked > 0").select("key", "text", "notes")
+    scored = durable(asked.mapInArrow(run, "key binary, n_tokens long, n_bytes long, known long, base double, score double, rare array<binary>"), "scored")
+    rare = scored.where(F.size("rare") > 0).select("key", F.explode("rare").alias("word"))
     tail = rare.join(rare_words, "word").groupBy("key").agg(F.count("*").alias("more"), F.sum(F.log10(F.col("n") + 1.0)).alias("add"))
-    out = scored.drop("rare").join(tail, "key", "left")
-    return out.select(
+    by_text = scored.drop("rare").join(tail, "key", "left")
+    rows = docs.select(F.col(doc_id).alias("doc_id"), full).select("doc_id", exchange.text_key("text").alias("key"))
+    return rows.join(by_text, "key", "left").select(
         "doc_id",
         "n_tokens",
         (F.col("known") + F.coalesce("more", F.lit(0))).cast("long").alias("n_known"),
@@ -469,5 +690,5 @@ def score_texts(docs: DataFrame, train: DataFrame, doc_id: str = "doc_id", text:
 
 def op2(spark, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text").withColumn("held_out", F.coalesce(fold("doc_id", 7) == 2, F.lit(False)))
-    out = score_texts(docs, docs.where(~F.col("held_out")))
+    out = score_texts(docs, ~F.col("held_out"))
     return out.select("doc_id", F.coalesce(fold("doc_id", 7) == 2, F.lit(False)).alias("held_out"), "n_tokens", "n_known", "train_tokens", "base_score", "score", "bits_per_byte")
