@@ -5,11 +5,12 @@ Vectors are dealt into shards of about ``shard_rows`` by a hash of their id. A s
 nearest candidate and drops those that are ``alpha`` times nearer to it than to the node, again and again, which leaves diverse edges. Reverse edges are
 added and pruned alike. Every row is indexed; all arithmetic on a batch is numpy on whole blocks.
 
-Queries travel in blocks to every shard, a beam search collects ``beam`` candidates there, their cosines are computed in double precision on the original
+Queries travel to every shard in parts of about ``QUERY_PART``; a shard's graph is sent once for each part, so what is shuffled is at most about twice the queries
+times the shards, whatever their number. Each part meets one graph in one task, which searches block by block. A beam search collects ``beam`` candidates there, their cosines are computed in double precision on the original
 vectors, and the best of all shards are kept. A shard that holds no more rows than the beam is searched exhaustively, so few candidates are never missed.
 
-Vectors that are null, zero, or have null or non-finite components take no part, on either side. Rows with a null id take no part. Rows
-with one id are candidates of their own, but never of a query with that id. Ties go to the smaller id. Vectors of another length than the query's are no candidates. An empty
+Vectors that are null, zero, or have null or non-finite components take no part, on either side. Rows with a null id take no part. Rows that repeat an
+id with its vector count once, as candidates and as queries. Rows with one id and several vectors are candidates and queries of their own, but never candidates of a query with that id. Ties go to the smaller id. Vectors of another length than the query's are no candidates. An empty
 table gives an empty result; extra columns are ignored.
 """
 
@@ -22,7 +23,7 @@ from pyspark.sql import functions as F
 
 from .common import durable, table
 
-DEGREE, BEAM, ALPHA, SHARD_ROWS, QUERY_BLOCK = 32, 96, 1.2, 6000, 512
+DEGREE, BEAM, ALPHA, SHARD_ROWS, QUERY_BLOCK, QUERY_PART = 32, 96, 1.2, 6000, 512, 16384
 NO_ID = np.int64(-(2**63))
 
 
@@ -126,11 +127,10 @@ def nearest(vectors: DataFrame, every: int = 50, k: int = 5, beam: int = BEAM, d
         x = np.array(pdf["v"].tolist(), np.float64) + 0.0
         # equal vectors are one node; beyond its k + 1 smallest ids none can be among a query's k nearest
         _, first, of = np.unique(np.ascontiguousarray(x).view(f"V{8 * x.shape[1]}").ravel(), return_index=True, return_inverse=True)
-        order = np.argsort(of, kind="stable")
-        nth = np.arange(len(of)) - np.searchsorted(of[order], of[order])
+        node, own_id = np.unique(np.stack([of, pdf["id"].to_numpy()], 1), axis=0).T
+        nth = np.arange(len(node)) - np.searchsorted(node, node)
         ids = np.full((len(first), k + 1), NO_ID)
-        own = nth <= k
-        ids[of[order][own], nth[own]] = pdf["id"].to_numpy()[order][own]
+        ids[node[nth <= k], nth[nth <= k]] = own_id[nth <= k]
         x = x[first]
         unit = scaled(x).astype(np.float32)
         graph, start = build(unit, degree)
@@ -139,26 +139,28 @@ def nearest(vectors: DataFrame, every: int = 50, k: int = 5, beam: int = BEAM, d
     dealt = rows.withColumn("shard", F.pmod(F.xxhash64("id", "v"), F.lit(shards)).cast("int")).withColumn("dim", F.size("v"))
     built = durable(dealt.groupBy("shard", "dim").applyInPandas(index, "shard int, dim int, start int, ids binary, x binary, graph binary"), "graphs")
 
-    def find(pdf: pd.DataFrame) -> pd.DataFrame:
-        s = pdf.iloc[0]
-        ids, dim = np.frombuffer(s["ids"], np.int64).reshape(-1, k + 1), int(s["dim"])
-        x = np.frombuffer(s["x"], np.float64).reshape(-1, dim)
-        graph, unit = np.frombuffer(s["graph"], np.int32).reshape(len(ids), -1), scaled(x)
-        q_id = np.concatenate([np.frombuffer(b, np.int64) for b in pdf["q_ids"]])
-        q = np.concatenate([np.frombuffer(b, np.float64).reshape(-1, dim) for b in pdf["q"]])
-        qu = scaled(q)
-        if len(ids) <= beam:
-            found = np.broadcast_to(np.arange(len(ids)), (len(q), len(ids)))
-        else:
-            found, _ = search(unit.astype(np.float32), graph, int(s["start"]), qu.astype(np.float32), beam)
-        out = []
-        for i in range(len(q)):
-            f = found[i][found[i] >= 0]
-            score, own = np.repeat(cosine(x[f], q[i]), k + 1), ids[f].ravel()
-            score = np.where((own == NO_ID) | (own == q_id[i]), -np.inf, score)
-            best = np.lexsort((own, -score))[:k]
-            out += [(q_id[i], own[b], score[b]) for b in best if score[b] > -np.inf]
-        return pd.DataFrame(out, columns=["query_id", "vec_id", "score"])
+    def find(graphs: pd.DataFrame, blocks: pd.DataFrame) -> pd.DataFrame:
+        out: list = []
+        if len(graphs) and len(blocks):
+            s = graphs.iloc[0]
+            ids, dim = np.frombuffer(s["ids"], np.int64).reshape(-1, k + 1), int(s["dim"])
+            x = np.frombuffer(s["x"], np.float64).reshape(-1, dim)
+            graph, unit = np.frombuffer(s["graph"], np.int32).reshape(len(ids), -1), scaled(x)
+            single = unit.astype(np.float32)
+            for b_ids, b_vectors in zip(blocks["q_ids"], blocks["q"]):
+                q_id, q = np.frombuffer(b_ids, np.int64), np.frombuffer(b_vectors, np.float64).reshape(-1, dim)
+                if len(ids) <= beam:
+                    found = np.broadcast_to(np.arange(len(ids)), (len(q), len(ids)))
+                else:
+                    found, _ = search(single, graph, int(s["start"]), scaled(q).astype(np.float32), beam)
+                for i in range(len(q)):
+                    f = found[i][found[i] >= 0]
+                    score, own = np.repeat(cosine(x[f], q[i]), k + 1), ids[f].ravel()
+                    score = np.where((own == NO_ID) | (own == q_id[i]), -np.inf, score)
+                    best = np.lexsort((own, -score))[:k]
+                    key = q[i].tobytes()
+                    out += [(q_id[i], key, own[b], score[b]) for b in best if score[b] > -np.inf]
+        return pd.DataFrame(out, columns=["query_id", "q", "vec_id", "score"])
 
     def block(batches):
         for pdf in batches:
@@ -167,16 +169,13 @@ def nearest(vectors: DataFrame, every: int = 50, k: int = 5, beam: int = BEAM, d
                     p = part.iloc[i : i + QUERY_BLOCK]
                     yield pd.DataFrame({"dim": [dim], "q_ids": [p["id"].to_numpy().tobytes()], "q": [np.array(p["v"].tolist(), np.float64).tobytes()]})
 
-    queries = dealt.where(F.col("id") % every == 0).select("id", "v", "dim").repartition(F.pmod("id", F.lit(1 << 30))).mapInPandas(block, "dim int, q_ids binary, q binary")
-    pairs = built.join(queries.withColumn("block", F.xxhash64("q_ids")), "dim")
-
-    def each(batches):
-        for pdf in batches:
-            for i in range(len(pdf)):
-                yield find(pdf.iloc[i : i + 1])
-
-    best = pairs.select("dim", "start", "ids", "x", "graph", "q_ids", "q").repartition(max(shards, 1)).mapInPandas(each, "query_id long, vec_id long, score double")
-    ranked = best.withColumn("rank", F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")))
+    asked = dealt.where(F.col("id") % every == 0).select("id", "v", "dim").dropDuplicates(["id", "v"])
+    parts = max(1, -(-asked.count() // QUERY_PART))
+    blocks = asked.mapInPandas(block, "dim int, q_ids binary, q binary").withColumn("part", F.pmod(F.xxhash64("q_ids"), F.lit(parts)).cast("int"))
+    blocks = blocks.withColumn("shard", F.explode(F.sequence(F.lit(0), F.lit(shards - 1))))
+    graphs = built.withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(parts - 1))))
+    best = graphs.groupBy("shard", "dim", "part").cogroup(blocks.groupBy("shard", "dim", "part")).applyInPandas(find, "query_id long, q binary, vec_id long, score double")
+    ranked = best.withColumn("rank", F.row_number().over(Window.partitionBy("query_id", "q").orderBy(F.desc("score"), "vec_id")))
     return ranked.where(F.col("rank") <= k).select("query_id", F.col("rank").cast("int"), "vec_id", "score")
 
 
