@@ -4,11 +4,12 @@ Numbers, quantities with units, units after numbers and names (capitalised words
 placeholders, case and ASCII punctuation go, and the number of words stays the same, but that
 a number and its unit become one in either spelling (it counts as the words that the item has). Capitalised words at sentence starts and after quotes,
 brackets and other marks may be names or not: texts are compared in two forms, with those words kept and with them as names. A benchmark item is indexed by every window of
-``WINDOW`` canonical words, and a document is probed at every place, so a leaked run of WINDOW words can't be missed.
+``WINDOW`` canonical words. Each of its windows names its anchor, the run of ``ANCHOR`` words with the most letters outside placeholders; every place of a document is
+looked up among the anchors, and where one stands, the whole window around it is compared, so a leaked run of WINDOW words can't be missed.
 Shorter items are one window: they match as a whole only, and unless all their words are the same, at least half of them must be no slots.
 Each hit aligns the item with the document; the aligned words are compared, and slots are checked: the slot values of the item and
 of the document must map one to one. That finds questions asked again with other numbers and names. Windows of the index are
-broadcast if their counted number is at most ``BROADCAST_ROWS``, else joined by a shuffle on the window hash.
+broadcast if their counted number is at most ``BROADCAST_ROWS`` and the items' texts take at most ``BROADCAST_BYTES``, else joined by a shuffle on the hash.
 
 Where words were put in or left out, an item's parts lie at several shifts; the parts found in one stretch of the document are added up.
 
@@ -25,7 +26,8 @@ from pyspark.sql import functions as F
 from .common import durable, table
 
 WINDOW = 8
-BROADCAST_ROWS = 2_000_000
+ANCHOR = 3
+BROADCAST_ROWS, BROADCAST_BYTES = 1_000_000, 1 << 24
 UNITS = "km|cm|mm|m|mi|ft|in|kg|g|mg|lb|oz|l|ml|s|ms|min|h|hours?|minutes?|seconds?|days?|weeks?|months?|years?|meters?|metres?|miles?|feet|inches|grams?|kilograms?|liters?|litres?|percent|dollars?|euros?|cents?|usd|eur"
 NUMBER = r"(?<![^ ])[^\p{L}\p{N} ]*\p{N}[^\p{L} ]*(?![^ ])"
 QUANTITY = rf"(?i)(?<![^ ])[^\p{{L}}\p{{N}} ]*\p{{N}}[\p{{N}}.,]*\x1f?(?:{UNITS}|%)[^\p{{L}}\p{{N}} ]*(?![^ ])"
@@ -41,7 +43,9 @@ SLOTS = ("<num>", "<qty>", "<unit>", "<name>")
 
 
 def spaced(text: Column) -> Column:
-    return F.trim(F.regexp_replace(text, r"[\x20\x09-\x0D]+", " "))
+    """Words with single spaces between; the marks that canonical texts use count as white space."""
+    plain = F.translate(text, f"\t\n\x0b\x0c\r{START}{JOINT}", " " * 7)
+    return F.trim(F.when(F.contains(plain, F.lit("  ")), F.regexp_replace(plain, " {2,}", " ")).otherwise(plain))
 
 
 def marked(clean: Column) -> Column:
@@ -55,18 +59,47 @@ def marked(clean: Column) -> Column:
 
 def _words(df: DataFrame, text: str) -> DataFrame:
     """raw words (a number and its unit are one, with a JOINT inside) and their two canonical forms: `plain` keeps capitalised words at sentence starts and after marks, `named` takes them for names."""
-    text = df.withColumn("clean", F.regexp_replace(spaced(F.regexp_replace(text, f"[{START}{JOINT}]", " ")), MEASURE, f"$1{JOINT}")).withColumn("m", marked(F.col("clean")))
+    text = df.withColumn("clean", spaced(F.col(text))).withColumn("clean", F.regexp_replace("clean", MEASURE, f"$1{JOINT}")).withColumn("m", marked(F.col("clean")))
     return text.select("*", F.split("clean", " ").alias("raw"), F.split(F.translate("m", START, ""), " ").alias("plain"), F.split(F.regexp_replace("m", ANY_NAME, "<name>"), " ").alias("named"), *([] if "key" in df.columns else [F.xxhash64("clean").alias("key")])).drop("m", "clean", "t")
 
 
+def _hash(form: str, words: list[Column]) -> Column:
+    return F.xxhash64(F.lit(form), *words)
+
+
 def _windows(words: int) -> Column:
-    """(place, form, hash) of all windows of so many words, in both canonical forms. Words are taken one by one, as a slice reads the whole array each time."""
+    """(place, form, hash, anchor) of all windows of so many words, in both canonical forms."""
     last = F.size("raw") - words
     at = F.when(last >= 0, F.sequence(F.lit(0), last)).otherwise(F.array().cast("array<int>"))
-    of = lambda f: F.transform(at, lambda i: F.struct(i.alias("place"), F.lit(FORMS.index(f)).alias("form"), F.xxhash64(F.lit(f), *[F.get(f, i + k) for k in range(words)]).alias("hash")))
+    run = min(words, ANCHOR)
+    letters = lambda w: F.when(w.isin(*SLOTS), 0).otherwise(F.char_length(w))
+
+    def anchor(f: str, i: Column) -> Column:
+        parts = [[F.get(f, i + (o + k)) for k in range(run)] for o in range(words - run + 1)]
+        return F.array_max(F.array(*[F.struct(sum(map(letters, own[1:]), letters(own[0])).alias("letters"), _hash(f, own).alias("run"), F.lit(o).alias("offset")) for o, own in enumerate(parts)]))
+
+    of = lambda f: F.transform(at, lambda i: F.struct(i.alias("place"), F.lit(FORMS.index(f)).alias("form"), _hash(f, [F.get(f, i + k) for k in range(words)]).alias("hash"), anchor(f, i).alias("anchor")))
     return F.concat(*map(of, FORMS))
 
 
+def _found(texts: DataFrame, index: DataFrame, lengths: list[int], near) -> DataFrame:
+    """Texts in which windows of the index stand: doc_id, key, words in their forms, and `found`: doc_place, form and hash of each window.
+
+    Rows that meet the anchors carry a hash of up to ANCHOR words and no text; only texts with an anchor are read again."""
+    after = lambda f, k: F.col(f) if k == 0 else F.slice(f, k + 1, F.size(f))
+    zipped = F.arrays_zip(*[after(f, k).alias(f"{f}{k}") for f in FORMS for k in range(ANCHOR)])
+    places = _words(texts, "t").select("key", F.posexplode(zipped).alias("at", "w"))
+    runs = [(i, _hash(f, [F.col(f"w.{f}{k}") for k in range(m)])) for i, f in enumerate(FORMS) for m in sorted({min(n, ANCHOR) for n in lengths})]
+    probes = places.select("key", "at", F.stack(F.lit(len(runs)), *[x for i, h in runs for x in (F.lit(i), h)]).alias("form", "run"))
+    anchors = index.select("form", F.col("anchor.run").alias("run"), F.col("anchor.offset").alias("offset"), "hash", F.least("length", F.lit(WINDOW)).alias("words")).distinct()
+    met = probes.join(near(anchors), ["form", "run"]).select("key", F.struct((F.col("at") - F.col("offset")).alias("doc_place"), "form", "words", "hash").alias("c")).where("c.doc_place >= 0")
+    met = met.groupBy("key").agg(F.collect_set("c").alias("met"))
+    again = durable(_words(texts.join(met, "key"), "t").select("doc_id", "key", "raw", *FORMS, "met"), "anchored")  # else the filter makes words anew for each window
+    whole = lambda c: F.coalesce(*[F.when((c.form == i) & (c.words == n), _hash(f, [F.get(f, c.doc_place + k) for k in range(n)]) == c.hash) for i, f in enumerate(FORMS) for n in lengths], F.lit(False))
+    again = again.withColumn("found", F.filter("met", lambda c: (c.doc_place + c.words <= F.size("raw")) & whole(c))).drop("met")
+    return durable(again.dropDuplicates(["key"]), "hits").where(F.size("found") > 0)
+
+
 def _weight(word: Column) -> Column:
     return F.when(F.contains(word, F.lit(JOINT)), 2).otherwise(1)
 
@@ -120,17 +153,18 @@ def find_leaks(docs: DataFrame, items: DataFrame, min_coverage: float = 0.5, doc
     """doc_id, item_id, n_words, n_matched, coverage, n_slots, exact: one row for each document and item it leaks."""
     bench = _words(items.select(F.col(item_id).alias("item_id"), F.col(item_text).alias("t")).where("t is not null"), "t").where("raw <> array('')")
     bench = bench.withColumn("length", F.size("raw")).withColumn("n_words", F.aggregate(F.transform("raw", _weight), F.lit(0), lambda a, x: a + x)).withColumn("item_key", F.xxhash64("item_id", "key")).drop("key").dropDuplicates(["item_key"])
-    lengths = sorted(r[0] for r in bench.select(F.least("length", F.lit(WINDOW))).distinct().collect())  # WINDOW rows at most
-    sizes = lambda per: F.inline(F.concat(*[per(k) for k in lengths or [WINDOW]]))
-    index = bench.select("item_id", "item_key", "n_words", "length", sizes(lambda k: F.when(F.least("length", F.lit(WINDOW)) == k, _windows(k)).otherwise(F.slice(_windows(k), 1, 0))))
-    small = index.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS
+    lengths = sorted(r[0] for r in bench.select(F.least("length", F.lit(WINDOW))).distinct().collect()) or [WINDOW]  # WINDOW rows at most
+    sizes = F.inline(F.concat(*[F.when(F.least("length", F.lit(WINDOW)) == k, _windows(k)).otherwise(F.slice(_windows(k), 1, 0)) for k in lengths]))
+    index = bench.select("item_id", "item_key", "n_words", "length", sizes)
+    size = bench.agg(F.coalesce(2 * F.sum("length"), F.lit(0)).alias("rows"), F.coalesce(F.sum(F.octet_length(F.array_join("raw", " "))), F.lit(0)).alias("bytes")).first()
+    small = size.rows <= BROADCAST_ROWS and size.bytes <= BROADCAST_BYTES
     near = F.broadcast if small else lambda df: df
     texts = docs.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("t")).where("t is not null").withColumn("key", F.xxhash64("doc_id", "t"))
-    # a window carries no text: copying one for each of its windows takes quadratic time; only texts with hits are looked at again
-    hit = _words(texts, "t").select("doc_id", "key", sizes(_windows)).withColumnRenamed("place", "doc_place").drop("form").join(near(index), "hash")
+    hits = _found(texts, index, lengths, near)
+    hit = hits.select("key", F.inline("found").alias("doc_place", "form", "words", "hash")).join(near(index.drop("anchor")), ["form", "hash"])
     hit = hit.withColumn("shift", F.col("doc_place") - F.col("place"))
     hit = hit.groupBy("key", "item_id", "item_key", "n_words", "length", "form", "shift").agg(F.min("place").alias("place"), F.max("place").alias("last"))
-    hit = _words(texts.dropDuplicates(["key"]).join(hit.select("key").distinct(), "key", "left_semi"), "t").join(hit, "key")
+    hit = hits.drop("found").join(hit, "key")
     skip = F.greatest(-F.col("shift"), F.lit(0))  # words of the item that lie before the document's begin
     part = lambda a: F.slice(a, F.greatest(F.col("shift"), F.lit(0)) + 1, F.greatest(F.col("length") - skip, F.lit(0)))
     of_form = lambda prefix: F.when(F.col("form") == 0, F.col(f"{prefix}{FORMS[0]}")).otherwise(F.col(f"{prefix}{FORMS[1]}"))
