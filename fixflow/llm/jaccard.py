@@ -264,8 +264,8 @@ def _family_links(stars: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return placed.groupBy("component", "p", "q").applyInPandas(compare, "a long, b long")
 
 
-def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """doc_id, n_shingles, component_id: documents whose sets of k-word shingles are `percent` alike are linked."""
+def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80, doc_id: str = "doc_id", text: str = "text", with_key: bool = False) -> DataFrame:
+    """doc_id, n_shingles, component_id: documents whose sets of k-word shingles are `percent` alike are linked. with_key: and the digest of the row's text."""
     sets = durable(_with_sets(exchange.distinct_texts(docs, doc_id, text), k, percent), "sets")
     found = durable(_candidates(sets, percent), "candidates")
     links = _verified(found.where("not many").select("a", "b"), sets, percent)
@@ -276,7 +276,7 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80, doc_id: str
     by_text = sets.select("key", "rep", "n").join(of, "rep", "left").select("key", "n", F.coalesce("component", "rep").alias("component"), F.col("rep").alias("text_rep"))
     rows = docs.select(F.col(doc_id).alias("doc_id"), exchange.text_key(text).alias("key"))
     full = F.coalesce(F.col("n"), F.lit(0)).cast("long")
-    return rows.join(by_text, "key", "left").select("doc_id", full.alias("n_shingles"), F.when(full > 0, F.col("component")).otherwise(F.col("doc_id").cast("long")).alias("component_id"))
+    return rows.join(by_text, "key", "left").select("doc_id", full.alias("n_shingles"), F.when(full > 0, F.col("component")).otherwise(F.col("doc_id").cast("long")).alias("component_id"), *(["key"] if with_key else []))
 
 
 def op7(spark, sf_dir: str) -> DataFrame:

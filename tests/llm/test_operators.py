@@ -151,6 +151,35 @@ def test_mixing(docs, rows):
     assert all(r.train_tokens == n and r.score < 0 for r in got)
 
 
+def test_mixing_gains_over_its_base_and_over_chance(spark):
+    """Documents held out score above the unigram base; the known bit is learned from pairs of the whole corpus, copies weigh more."""
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").where("text is not null").select("doc_id", "text")
+    held = "crc32(cast(cast(doc_id as string) as binary)) % 7 = 2"
+    rows = mixing.score_texts(docs, ~mixing.F.expr(held)).join(docs.select("doc_id", mixing.F.expr(held).alias("held")), "doc_id").collect()
+    out = [r for r in rows if r.held]
+    assert sum(r.score for r in out) > 0.97 * sum(r.base_score for r in out)
+    assert sum(r.score for r in rows if not r.held) / sum(r.n_tokens for r in rows if not r.held) > sum(r.score for r in out) / sum(r.n_tokens for r in out)
+
+
+def test_pair_counts_weigh_copies_and_round_down():
+    v = np.zeros(7, mixing.exchange.NARROW)
+    v["low"] = [5, 5, 5, 9, 9, 4, 2]
+    ranks = np.zeros(7, mixing.exchange.RANK)
+    ranks["rep"] = [1, 2, 0, 0, 0, 127, 10**6]
+    notes = mixing.pair_counts(v, None, ranks)
+    assert notes[:6].tolist() == [3, 3, 3, 0, 0, 127]
+    assert 10**6 / 2**0.25 < mixing.COUNT_OF[notes[6]] <= 10**6
+    assert len(mixing.pair_counts(v[:0], None, ranks[:0])) == 0
+
+
+def test_runs_of_known_tokens():
+    w = mixing.flat.Words([b"a b c d", b"", b"e f"])
+    s = mixing.Stream(w, w.hashes(43))
+    assert s.doc.tolist() == [0] * 5 + [1] + [2] * 3 and s.first.tolist() == [0, 5, 6]
+    assert s.runs(np.array([True, True, False, True, True, True, True, True, False])).tolist() == [0, 1, 2, 0, 1, 0, 0, 1, 2]
+    assert s.one[0] == s.one[5] == s.one[6] == s.two[1] == mixing.BEGINS and s.one[1] == s.h[0] and s.two[2] == s.h[0]
+
+
 def test_mixing_probabilities_add_up():
     """Over all one-byte words and longer ones the spelled probabilities add up to no more than 1, and decisions of the head to 1."""
     m = mixing.Model(np.zeros(mixing.SLOTS, np.float16), np.zeros(mixing.SLOTS, np.uint8), np.zeros((mixing.GATES, 5), np.float32), np.full((mixing.GATES, mixing.STEPS), 0.5, np.float32))
@@ -174,6 +203,23 @@ def test_sharding(docs, rows):
     assert max(Counter(a.values()).values()) <= 1.05 * len(a) / 8
 
 
+def test_sharding_keeps_groups_whole_but_those_that_overflow(spark):
+    rows = [(k, "common text of a third of all rows") for k in range(600)] + [(1000 + k, f"text {k // 4} " + "word " * (k // 4 % 50)) for k in range(1200)] + [(None, None)] * 3
+    got = sharding.assign_shards(spark.createDataFrame(rows, "doc_id long, text string"), 4).collect()
+    where, sizes = defaultdict(set), Counter()
+    for r in got:
+        where[r.text_crc32].add(r.shard)
+        sizes[r.shard] += r.size
+    assert len(got) == len(rows) and max(sizes.values()) - min(sizes.values()) < 0.02 * sum(sizes.values())
+    assert all(len(s) == 1 for c, s in where.items() if c != zlib.crc32(b"common text of a third of all rows"))
+
+
+def test_sharding_moves_little_with_the_slack_of_the_query():
+    pieces = [(c, 0, 1, 100) for c in range(0, 65536, 16)]
+    a, b = ({(c, s): shard for c, s, shard, _ in sharding.place(pieces, n, 0.0005)} for n in (8, 9))
+    assert 1 / 9 - 0.02 < sum(a[k] != b[k] for k in a) / len(a) < 0.45
+
+
 def test_leaks(spark, docs):
     d = spark.createDataFrame([(1, "In 2019 Anna bought 12 apples and 5 kg of rice, then Anna gave 12 apples to Bert before noon today."), (2, "nothing at all"), (3, None), (None, "In 2019 Anna bought 12 apples and 5 kg of rice, then Anna gave 12 apples to Bert before noon today.")], "doc_id long, text string")
     items = spark.createDataFrame([(7, "In 1999 Carl bought 30 apples and 8 kg of rice, then Carl gave 30 apples to Dora before noon today."), (8, "In 1999 Carl bought 30 apples and 8 kg of rice, then Carl gave 31 apples to Dora before noon today."), (9, None), (10, "too short")], "item_id long, text string")
@@ -229,6 +275,38 @@ def test_nearest(spark):
     assert set(got) == set(range(0, 900, 50)) and hit / total >= 0.9
 
 
+def test_nearest_of_repeated_rows(spark):
+    rng = np.random.default_rng(4)
+    x = rng.normal(size=(120, 8))
+    rows = [(k, v.tolist(), "e") for k, v in enumerate(x)] + [(50, x[50].tolist(), "again")] * 3 + [(7, x[7].tolist(), "again")] * 9
+    rows += [(100, x[3].tolist(), "other vector")]
+    got = graph_ann.nearest(spark.createDataFrame(rows, "vec_id long, embedding array<double>, id string")).collect()
+    of = [r.vec_id for r in sorted((r for r in got if r.query_id == 50), key=lambda r: r.rank)]
+    unit = x / np.linalg.norm(x, axis=1, keepdims=True)
+    s = unit @ unit[50]
+    s[50] = -9
+    best = np.argsort(-s)[:5].tolist()
+    assert of == best or 100 in of and len(set(of)) == 5
+    assert Counter(r.query_id for r in got) == {0: 5, 50: 5, 100: 10}
+
+
+def test_parse_dedup_of_planted_passages(spark, tmp_path):
+    """Passages of known lengths in bytes: those of the length go whole, shorter ones stay, at 51 and 211 partitions alike."""
+    r = random.Random(8)
+    text = lambda n: "".join(r.choice("abcdefghij ") for _ in range(n))
+    long, short, edge = text(900), text(390), "0" + text(398) + "1"
+    rows = [(k, text(300 + k) + chr(65 + k) + "!" + p + "?" + chr(65 + k) + text(200)) for k, p in enumerate([long] * 3 + [short] * 3 + [edge] * 2)] + [(90, text(5000)), (91, None)]
+    width = spark.conf.get("spark.sql.shuffle.partitions")
+    try:
+        for parts in ("51", "211"):
+            spark.conf.set("spark.sql.shuffle.partitions", parts)
+            got = {x.doc_id: x for x in parse_dedup.remove_repeated_bytes(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+            assert [got[k].n_removed for k in range(8)] == [902] * 3 + [0] * 3 + [402] * 2 and got[90].n_removed == got[91].n_removed == 0
+            assert [got[k].n_spans for k in range(8)] == [1] * 3 + [0] * 3 + [1] * 2
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", width)
+
+
 def test_empty_tables(docs):
     none = docs.limit(0)
     path = bpe.vocabulary()
