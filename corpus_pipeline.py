@@ -7,7 +7,8 @@ benchmark   documents that hold a benchmark item go
 encode      the text that is left as token ids, with digests; documents without tokens stay with none
 
 Ties and repeated rows: of rows that share the smallest id of a group the first by text stays; rows without an id are kept unless their
-text's group has a row with one. Extra columns pass through all stages but the last.
+text's group has a row with one. Leaks are judged row by row, so a row without an id goes if it holds an item, and rows that share an id don't go for each
+other. Null texts go in the first stage. Empty tables stay empty. Extra columns pass through all stages but the last.
 """
 
 from __future__ import annotations
@@ -17,6 +18,7 @@ from pyspark.sql import functions as F
 
 from fixflow.llm import bpe, decontam, jaccard, langid, substring
 from fixflow.llm.common import new_path, table
+from fixflow.llm.exchange import text_key
 
 LEAST_SURE = 0.5
 ORACLE_SQL = None
@@ -36,12 +38,11 @@ def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    found = jaccard.near_duplicates(docs, k=5, percent=80)
-    stays = found.where(F.col("doc_id").isNull() | (F.col("component_id") == F.col("doc_id"))).select(F.col("doc_id").alias("__id"), "component_id").distinct()
-    stays = stays.where(F.col("__id").isNotNull() | F.col("component_id").isNull()).select("__id").distinct()
-    out = docs.join(stays, F.col("doc_id").eqNullSafe(F.col("__id")), "left_semi")
-    copies = out.groupBy("doc_id").count().where("count > 1 and doc_id is not null").limit(1)
-    if copies.isEmpty():
+    found = jaccard.near_duplicates(docs, k=5, percent=80, with_key=True)
+    alone = F.col("doc_id").isNull() & F.col("component_id").isNull()
+    stays = found.where(alone | (F.col("component_id") == F.col("doc_id"))).select(F.col("doc_id").alias("__id"), F.col("key").alias("__key")).distinct()
+    out = docs.join(stays, F.col("doc_id").eqNullSafe(F.col("__id")) & text_key("text").eqNullSafe(F.col("__key")), "left_semi")
+    if docs.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").limit(1).isEmpty():
         return out
     first = Window.partitionBy("doc_id").orderBy(F.col("text").asc_nulls_last())
     return out.withColumn("__n", F.row_number().over(first)).where(F.col("doc_id").isNull() | (F.col("__n") == 1)).drop("__n")
@@ -52,8 +53,9 @@ def repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    leaks = decontam.find_leaks(docs, table(spark, sf_dir, "benchmark"))
-    return docs.join(leaks.select(F.col("doc_id").alias("__id")).where("__id is not null").distinct(), F.col("doc_id") == F.col("__id"), "left_anti")
+    row = F.xxhash64("doc_id", "text")
+    leaks = decontam.find_leaks(docs.select(row.alias("__row"), "text"), table(spark, sf_dir, "benchmark"), doc_id="__row")
+    return docs.join(leaks.select(F.col("doc_id").alias("__row")).distinct(), row == F.col("__row"), "left_anti")
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
