@@ -98,11 +98,12 @@ def annotate(
     ranked: bool = False,
     wide: bool = False,
     extra: str | None = None,
+    ties: bool = True,
 ) -> DataFrame:
     """texts (key, rep, text, ...) with `notes` binary: judge's byte for each of the document's values.
 
     hasher(texts, extras) -> Values (with a second hash if ``wide``). judge(values, flags, ranks) -> uint8 for each value of a bucket; with ``ranked``
-    ranks has the id (and a tie-breaker) of each value's document. Notes are in the order that ``deal`` undoes.
+    ranks has the id (and a tie-breaker, 0 without ``ties``) of each value's document. Notes are in the order that ``deal`` undoes.
     """
     n, kind = width(texts.sparkSession), WIDE if wide else NARROW
 
@@ -119,7 +120,7 @@ def annotate(
             ids, raw, more = batch.column(0).to_pylist(), flat.as_bytes(batch.column(2)), batch.column(3).to_pylist()
             rank = np.empty(len(ids), RANK)
             rank["rep"] = batch.column(1).fill_null(LAST).to_numpy()
-            rank["tie"] = [int.from_bytes(x[:8], "big") for x in ids]
+            rank["tie"] = [int.from_bytes(x[:8], "big") for x in ids] if ties else 0
             for i, j in flat.parts(raw):
                 vs.append(hasher(raw[i:j], more[i:j]))
                 keys += ids[i:j]

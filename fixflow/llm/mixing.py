@@ -30,7 +30,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import exchange, flat
-from .common import durable, table, width
+from .common import durable, release, table, width
 from .langid import fold
 
 BITS = (16, 20, 21, 22)  # log2 of each predictor's slots
@@ -623,8 +623,10 @@ def score_texts(docs: DataFrame, train: DataFrame | Column, doc_id: str = "doc_i
     spelled = rare_words.unionByName(first.where(F.col("word") != F.lit(END)).select("word", F.lit(1).cast("long").alias("n")))  # of the head, each word once
     model = train_speller(spelled, v)
     both = both.select(exchange.text_key("text").alias("key"), "*").groupBy("key").agg(F.sum("times").alias("rep"), F.max("asked").alias("asked"), F.first("text").alias("text")).where("key is not null")
-    noted = exchange.annotate(both, pair_values, pair_counts, ranked=True)
+    release(spark)
+    noted = exchange.annotate(both, pair_values, pair_counts, ranked=True, ties=False)
     noted = durable(noted.select("key", "text", "notes", F.col("rep").alias("times"), "asked"), "pairs")
+    release(spark)
     known_bit = learn_known(noted, head, head_times, documents)
     shared = spark.sparkContext.broadcast((model, head, times, prob, known_bit, head_times))
     below, buckets = np.log10(n + 1.0 * (v + 1)), width(spark)
