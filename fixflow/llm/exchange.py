@@ -99,8 +99,9 @@ def annotate(
     wide: bool = False,
     extra: str | None = None,
     ties: bool = True,
+    alone: bool = False,
 ) -> DataFrame:
-    """texts (key, rep, text, ...) with `notes` binary: judge's byte for each of the document's values.
+    """texts (key, rep, text, ...) with `notes` binary: judge's byte for each of the document's values. alone: only key and notes.
 
     hasher(texts, extras) -> Values (with a second hash if ``wide``). judge(values, flags, ranks) -> uint8 for each value of a bucket; with ``ranked``
     ranks has the id (and a tie-breaker, 0 without ``ties``) of each value's document. Notes are in the order that ``deal`` undoes.
@@ -162,6 +163,8 @@ def annotate(
     cols = texts.select("key", "rep", "text", F.col(extra) if extra else F.lit(None).cast("binary").alias("extra"))
     sent = cols.mapInArrow(send, "bucket int, chunk long, value binary, doc binary, flag binary, rank binary, keys binary")
     judged = sent.groupBy("bucket").applyInPandas(look, "chunk long, bucket int, doc binary, keys binary, notes binary")
+    if alone:
+        return judged.groupBy("chunk").applyInPandas(gather, "key binary, notes binary")
     return texts.join(judged.groupBy("chunk").applyInPandas(gather, "key binary, notes binary"), "key")
 
 

@@ -624,8 +624,10 @@ def score_texts(docs: DataFrame, train: DataFrame | Column, doc_id: str = "doc_i
     model = train_speller(spelled, v)
     both = both.select(exchange.text_key("text").alias("key"), "*").groupBy("key").agg(F.sum("times").alias("rep"), F.max("asked").alias("asked"), F.first("text").alias("text")).where("key is not null")
     release(spark)
-    noted = exchange.annotate(both, pair_values, pair_counts, ranked=True, ties=False)
-    noted = durable(noted.select("key", "text", "notes", F.col("rep").alias("times"), "asked"), "pairs")
+    # the notes are written before they meet the texts again, which frees the pairs' shuffle files first
+    notes = durable(exchange.annotate(both, pair_values, pair_counts, ranked=True, ties=False, alone=True), "notes")
+    release(spark)
+    noted = durable(both.join(notes, "key").select("key", "text", "notes", F.col("rep").alias("times"), "asked"), "pairs")
     release(spark)
     known_bit = learn_known(noted, head, head_times, documents)
     shared = spark.sparkContext.broadcast((model, head, times, prob, known_bit, head_times))
