@@ -38,6 +38,7 @@ BASE = np.concatenate([[0], np.cumsum([1 << b for b in BITS])])
 SLOTS = int(BASE[-1])
 BLOCK = 1 << 14
 FULL = 1 << 31
+SMALL = 1 << 19  # bytes of text whose known bits are predicted at once
 HEAD, TOP = 1 << 17, 32
 GATES = 8 * 4 * 8 * 4  # bit place, bytes read, how often the last three bytes were seen, and the last four
 RANK_GATES = 18 * 8  # digit place, how often it was seen after this frequent word
@@ -238,9 +239,9 @@ class Head:
         return np.where(self.hash[at] == h, self.rank[at], HEAD)
 
 
-def _pieces(raw: list[bytes], head: Head | None):
+def _pieces(raw: list[bytes], head: Head | None, most: int = flat.PIECE):
     """Texts in pieces: words, their hashes, ranks and kinds (one more than the rank of the last frequent word before, 0: none), and the kind before each end."""
-    for i, j in flat.parts(raw):
+    for i, j in flat.parts(raw, most):
         w = flat.Words(raw[i:j], fold=True)
         h = w.hashes(43)
         if head is None:
@@ -520,7 +521,7 @@ def growing(texts: list[bytes], read: int):
     first = size = 0
     for i, t in enumerate(texts):
         size += len(t)
-        if size >= min(flat.PIECE, max(1 << 15, (read + size) // 8)):
+        if size >= min(SMALL, max(1 << 15, (read + size) // 8)):
             yield first, i + 1
             read, first, size = read + size, i + 1, 0
     if first < len(texts):
@@ -538,7 +539,7 @@ def learn_known(noted: DataFrame, head, head_times: np.ndarray, documents: int)
         for batch in batches:
             raw, notes, copies = flat.as_bytes(batch.column(0)), batch.column(1).to_pylist(), batch.column(2).to_numpy()
             for first, last in growing(raw, read):
-                for i, j, w, h, rank, kind, end_kind in _pieces(raw[first:last], head):
+                for i, j, w, h, rank, kind, end_kind in _pieces(raw[first:last], head, SMALL):
                     i, j = first + i, first + j
                     t = Stream(w, h, kind, end_kind)
                     c = COUNT_OF[_dealt(t, notes[i:j], n)] - 1  # without the token itself
@@ -642,7 +643,7 @@ def score_texts(docs: DataFrame, train: DataFrame | Column, doc_id: str = "doc_i
         for batch in batches:
             raw, notes = flat.as_bytes(batch.column(1)), batch.column(2).to_pylist()
             cols: dict[str, list] = {c: [] for c in ("n_tokens", "n_bytes", "known", "base", "score", "rare")}
-            for i, j, w, h, rank, kind, end_kind in _pieces(raw, head):
+            for i, j, w, h, rank, kind, end_kind in _pieces(raw, head, SMALL):
                 m, text = j - i, w.raw.tobytes()
                 t = Stream(w, h, kind, end_kind)
                 c, total = COUNT_OF[_dealt(t, notes[i:j], buckets)], totals(t, head_times, rank, documents)
