@@ -49,12 +49,36 @@ class VertexGraph:
         return VertexGraph(self.vertices, e.repartition(n, "src").sortWithinPartitions("src").persist(StorageLevel.MEMORY_AND_DISK))
 
 
+def combined_at_sender(messages: DataFrame, combine: str, most: int = 1 << 20) -> DataFrame:
+    """Messages of a task combined by destination before any exchange; what was combined goes out whenever `most` destinations are held."""
+    import pyarrow as pa
+
+    def run(batches):
+        held: list = []
+        for batch in batches:
+            held.append(pa.Table.from_batches([batch]))
+            if sum(t.num_rows for t in held) >= most:
+                held = [folded(held)]
+                if held[0].num_rows >= most // 2:
+                    yield from held.pop().to_batches()
+        if held:
+            yield from folded(held).to_batches()
+
+    def folded(tables: list):
+        out = pa.concat_tables(tables).group_by("dst").aggregate([("payload", combine)])
+        return out.rename_columns(["payload" if c.startswith("payload") else c for c in out.column_names]).select(["dst", "payload"])
+
+    slim = messages.select("dst", "payload")
+    return slim.mapInArrow(run, slim.schema)
+
+
 def deliver(messages: DataFrame, combine: str | None, exchange: str = "hash_agg", early: bool = True) -> DataFrame:
     """(dst, inbox): messages combined by destination.
 
-    hash_agg: partial hash aggregates before the exchange, final ones after it. hash_sort: plain hash exchange, then sorted groups. sorted: senders
-    sort what they combined, the exchange keeps a run for each sender and receivers merge (Spark has no merging exchange, so they sort again).
-    early=False: no combining before the exchange.
+    hash_agg: partial hash aggregates before the exchange, final ones after it. hash_sort: senders combine, a plain hash exchange, receivers sort and group.
+    sorted: senders combine and sort what they send, receivers bring the senders' runs into order (Spark has no merging exchange, so they sort again) and group.
+    All three have a single exchange of combined messages. early=False, a baseline: nothing is combined before the exchange and a receiver holds all
+    messages of a destination, so a vertex with more in-links than a task's memory holds ends the run.
     """
     f = COMBINE[combine or "list"]
     n = int(messages.sparkSession.conf.get("spark.sql.shuffle.partitions"))
@@ -65,13 +89,12 @@ def deliver(messages: DataFrame, combine: str | None, exchange: str = "hash_agg"
         fold = {"sum": lambda a, x: a + x, "min": lambda a, x: F.least(a, x), "max": lambda a, x: F.greatest(a, x)}[combine]
         rest = F.slice("all", 2, F.greatest(F.size("all") - 1, F.lit(0)))
         return whole.select("dst", F.when(F.size("all") > 0, F.aggregate(rest, F.col("all")[0], fold)).alias("inbox"))
-    if exchange == "hash_sort":
-        dealt = messages.repartition(n, "dst").sortWithinPartitions("dst")
-        return dealt.groupBy("dst").agg(f("payload").alias("inbox"))
-    if exchange == "sorted":
-        sender = F.spark_partition_id().alias("sender")
-        local = messages.withColumn("sender", sender).groupBy("dst", "sender").agg(f("payload").alias("payload"))
-        return local.sortWithinPartitions("dst").repartition(n, "dst").sortWithinPartitions("dst").groupBy("dst").agg(f("payload").alias("inbox"))
+    if exchange in ("hash_sort", "sorted"):
+        sent = combined_at_sender(messages, combine)
+        sent = sent.sortWithinPartitions("dst") if exchange == "sorted" else sent
+        return sent.repartition(n, "dst").sortWithinPartitions("dst").groupBy("dst").agg(f("payload").alias("inbox"))
+    if exchange != "hash_agg":
+        raise ValueError(f"unknown exchange {exchange}")
     return messages.groupBy("dst").agg(f("payload").alias("inbox"))
 
 
@@ -84,8 +107,9 @@ def run_vertex(
     early_grouping: bool = True,
     join: str | None = None,
     truncation: Truncation | None = None,
+    to_fixpoint: bool = False,
 ) -> tuple[DataFrame, RunReport]:
-    """(id, state) when no vertex sends any more or after max_supersteps, and the report.
+    """(id, state) when no vertex sends any more or after max_supersteps, and the report. to_fixpoint: an error if vertices are still active then.
 
     store: `replace` carries every vertex over with its newest state; `append_latest` keeps a log (step, id, state) and takes the latest; `delta_merge`
     keeps a base and the changes since, merged when the changes pass half of the base. join: a hint for state and messages.
@@ -136,4 +160,7 @@ def run_vertex(
     if max_supersteps <= 0:
         return start.select("id", "state"), RunReport()
     state, report = FixpointDriver(lambda: start, step, stop, keep).run()
+    g.edges.unpersist()
+    if to_fixpoint and report.active and report.active[-1]:
+        raise RuntimeError(f"still active after {max_supersteps} supersteps: the result would not be a fixpoint")
     return state.select("id", "state"), report

@@ -18,6 +18,8 @@ def shared_dir(spark: SparkSession) -> str:
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that the driver and all executors share")
     if not _own:
         _own.append("file://" + tempfile.mkdtemp(prefix="fixflow-"))
     return _own[0]
@@ -32,8 +34,11 @@ def get_spark(master: str | None = None, **conf) -> SparkSession:
 
 
 def version(df: DataFrame, tag: str, at: str | None = None) -> DataFrame:
-    """A durable version of df in the shared folder (or under `at`): its lineage starts at files."""
+    """A durable version of df in the shared folder (or under `at`, where it stays): its lineage starts at files, which go when the driver's JVM ends."""
     path = f"{at or shared_dir(df.sparkSession)}/{tag}-{uuid.uuid4().hex}"
+    if at is None:
+        place = df.sparkSession.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+        place.getFileSystem(df.sparkSession.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(place)
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 

@@ -14,6 +14,7 @@ def pagerank(edges: DataFrame, damping: float = 0.85, iterations: int = 10, dang
     """(id, rank): every vertex stays active for a fixed number of rounds; rank starts at 1/V.
 
     dangling: what sinks do with their rank: `drop` it, `redistribute` it over all vertices, or keep it by a `self` edge. Edge weights, if given, split a rank.
+    Any option of `run_vertex` (exchange, store, early_grouping, join, truncation) runs it superstep by superstep there.
     """
     ids = vertices(edges)
     n = ids.count()
@@ -23,8 +24,8 @@ def pagerank(edges: DataFrame, damping: float = 0.85, iterations: int = 10, dang
         edges = edges.unionByName(loops.withColumn("weight", F.lit(1)) if "weight" in edges.columns else loops)
     if dangling == "redistribute":
         return _redistributing(edges, ids, n, damping, iterations), RunReport()
-    if options.get("store", "replace") == "replace" and not options.get("truncation"):
-        return pagerank_dense(edges, damping, iterations, options.get("exchange", "hash_agg"), options.get("early_grouping", True)), RunReport()
+    if not options:  # all vertices run in all rounds, so the supersteps are one lazy plan
+        return pagerank_dense(edges, damping, iterations), RunReport()
     return pagerank_supersteps(edges, damping, iterations, **options)
 
 
@@ -121,7 +122,7 @@ def connected_components(edges: DataFrame, max_supersteps: int = 1000) -> tuple[
         combine="min",
         send_if=lambda: F.col("old").isNull() | (F.col("state") < F.col("old")),
     )
-    state, report = run_vertex(program, VertexGraph(vertices(edges), both_ways(edges)), max_supersteps)
+    state, report = run_vertex(program, VertexGraph(vertices(edges), both_ways(edges)), max_supersteps, to_fixpoint=True)
     return state.select("id", F.col("state").alias("component")), report
 
 
@@ -136,7 +137,7 @@ def sssp(edges: DataFrame, sources: DataFrame, max_supersteps: int = 1000, weigh
         combine="min",
         send_if=lambda: far,
     )
-    state, report = run_vertex(program, VertexGraph(ids, edges), max_supersteps)
+    state, report = run_vertex(program, VertexGraph(ids, edges), max_supersteps, to_fixpoint=True)
     return state.select("id", F.col("state").alias("distance")), report
 
 

@@ -164,9 +164,33 @@ def k_core_part_supp(spark, d):
     return G.k_core(graph(spark, d, "g_part_supp"), 20)
 
 
-@query("hits_pages", None)
+def _hits_sql(rounds: int) -> str:
+    parts = [f"e as ({GRAPH_SQL['g_pages']})", "v as (select src as id from e union select dst from e)", "h0 as (select id, 1.0::double as x from v)"]
+    for j in range(1, rounds + 1):
+        for new, old, near, far in ((f"a{j}", f"h{j - 1}", "dst", "src"), (f"h{j}", f"a{j}", "src", "dst")):
+            parts.append(f"{new}r as (select v.id, coalesce(sum(o.x), 0) as x from v left join e on e.{near} = v.id left join {old} o on o.id = e.{far} group by v.id)")
+            parts.append(f"{new} as materialized (select id, x / (select sqrt(sum(x * x)) from {new}r) as x from {new}r)")
+    return "with " + ", ".join(parts) + f" select a.id, round(h.x, 9) as hub, round(a.x, 9) as authority from a{rounds} a join h{rounds} h using (id)"
+
+
+@query("hits_pages", _hits_sql(5))
 def hits_pages(spark, d):
-    return G.hits(graph(spark, d, "g_pages"), 5)
+    return G.hits(graph(spark, d, "g_pages"), 5).select("id", F.round("hub", 9).alias("hub"), F.round("authority", 9).alias("authority"))
+
+
+TRIPLES = "select distinct o_custkey * 3 as c, l_partkey * 3 + 1 as p, l_suppkey * 3 + 2 as s from lineitem join orders on l_orderkey = o_orderkey"
+
+
+@query(
+    "triangles_cust_part_supp",
+    f"with t as ({TRIPLES}), f as (select x.c, x.p, y.s from (select distinct c, p from t) x join (select distinct p, s from t) y using (p) join (select distinct c, s from t) z on z.c = x.c and z.s = y.s) "
+    "select id, count(*) as triangles from (select c as id from f union all select p from f union all select s from f) group by id",
+)
+def triangles_cust_part_supp(spark, d):
+    """Customer, part and supplier of a line are joined by edges; triangles arise across lines too."""
+    lines, orders = (spark.read.parquet(f"{d}/{t}.parquet") for t in ("lineitem", "orders"))
+    t = lines.join(orders, F.col("l_orderkey") == F.col("o_orderkey")).select((F.col("o_custkey") * 3).alias("c"), (F.col("l_partkey") * 3 + 1).alias("p"), (F.col("l_suppkey") * 3 + 2).alias("s"))
+    return G.triangle_count(t.select(F.explode(F.array(*[F.struct(F.col(a).alias("src"), F.col(b).alias("dst")) for a, b in ("cp", "ps", "sc")])).alias("e")).select("e.*"))
 
 
 @query("triangles_cust_part_none", "select cast(0 as bigint) as triangles")

@@ -149,3 +149,42 @@ def test_one_exchange_a_round(spark, sf):
     e = graph(spark, sf, "g_part_supp")
     plans = [G.pagerank_dense(e, iterations=k)._jdf.queryExecution().executedPlan().toString().count("Exchange hashpartitioning(dst") for k in (1, 2, 3)]
     assert plans[1] - plans[0] == plans[2] - plans[1] <= 2  # the rank's own, and its ordering for the join; never the edges
+
+
+@pytest.mark.parametrize("kind", ["hash_agg", "hash_sort", "sorted"])
+def test_each_exchange_is_one_and_combined(spark, kind):
+    """The three exchanges give the same inboxes, with a single exchange of messages that senders have combined."""
+    from fixflow.operators.vertex import deliver
+
+    mail = spark.range(6000).selectExpr("id % 37 as dst", "cast(id as double) as payload").repartition(5)
+    for f, want in (("sum", sum), ("min", min), ("max", max)):
+        got = deliver(mail, f, kind)
+        assert {r.dst: r.inbox for r in got.collect()} == {k: float(want(range(k, 6000, 37))) for k in range(37)}
+    plan = deliver(spark.range(6000).selectExpr("id % 37 as dst", "cast(id as double) as payload"), "sum", kind)._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("Exchange hashpartitioning") == 1
+    below = plan.split("Exchange hashpartitioning")[1]
+    assert ("partial_sum" in below) if kind == "hash_agg" else ("MapInArrow" in below and "Sort" in plan.split("Exchange hashpartitioning")[0])
+
+
+def test_no_fixpoint_within_the_cap_is_an_error(spark):
+    path = spark.range(8).selectExpr("id as src", "id + 1 as dst")
+    with pytest.raises(RuntimeError):
+        G.connected_components(path, 3)
+    from fixflow.plans.evaluate import evaluate
+    from fixflow.plans.queries import CLOSURE
+    from fixflow.plans.rules import parse_program
+
+    with pytest.raises(RuntimeError):
+        evaluate(parse_program(CLOSURE), {"edge": path}, max_rounds=3)
+    assert evaluate(parse_program(CLOSURE), {"edge": path})["path"].count() == 36
+
+
+def test_ranking_options_run_supersteps(spark, sf):
+    from fixflow.sources.tables import graph
+
+    e = graph(spark, sf, "g_pages")
+    plain = {r.id: r.rank for r in G.pagerank(e, iterations=3)[0].collect()}
+    for options in ({"store": "replace"}, {"exchange": "hash_sort"}, {"exchange": "sorted"}, {"early_grouping": False}):
+        ranks, report = G.pagerank(e, iterations=3, **options)
+        assert len(report.active) == 3, options
+        assert {r.id: pytest.approx(r.rank, abs=1e-12) for r in ranks.collect()} == plain
