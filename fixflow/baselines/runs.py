@@ -38,22 +38,28 @@ def two_job_rank(edges: DataFrame, damping: float = 0.85, iterations: int = 10)
 
 
 def bgd_as_vertices(records: DataFrame, features: list[str], loss: str = "squared", eta: float = 0.5, iterations: int = 5, key: str = "id") -> list[float]:
-    """A global model forced into vertices: every record sends its gradient to one aggregator vertex, which sends the model back to all."""
-    d = len(features)
+    """A global model forced into vertices: d feature vertices (ids -1 to -d) hold a weight each, every record is a vertex that holds its slope.
+
+    An iteration is two supersteps over edges weighted by the record's feature values: weights times values add up to a record's prediction, then slopes times
+    values add up to a feature's gradient. All N d products travel in each, combined by destination before they are shuffled."""
     n = max(records.count(), 1)
-    everyone = records.select(F.col(key).alias("id"), F.struct(F.array(*features).alias("x"), F.col("y").cast("double").alias("y")).alias("datum"))
-    hub = F.lit(-1).cast("long")
-    w = [0.0] * d
-    state = everyone.select("id", "datum", F.array(*[F.lit(0.0)] * d).alias("w"))
-    for _ in range(iterations):
-        p = F.aggregate(F.zip_with("datum.x", "w", lambda a, b: a * b), F.lit(0.0), lambda s, v: s + v)
-        slope = value_and_slope(loss, p, F.col("datum.y"))[1]
-        mail = state.select(hub.alias("dst"), F.transform("datum.x", lambda v: v * slope).alias("g"))  # one message a record to one key
-        total = mail.groupBy("dst").agg(*[F.sum(F.col("g")[k]).alias(f"g{k}") for k in range(d)]).first()
-        w = [v - eta * total[f"g{k}"] / n for k, v in enumerate(w)]
-        back = everyone.select(F.col("id").alias("dst"), F.array(*[F.lit(v) for v in w]).alias("w"))  # and one to every record
-        state = everyone.join(back, F.col("id") == F.col("dst")).select("id", "datum", "w")
-    return w
+    cells = records.select(F.col(key).alias("id"), F.posexplode(F.array(*[F.col(f).cast("double") for f in features])).alias("k", "weight"))
+    cells = cells.select("id", (-1 - F.col("k")).cast("long").alias("feature"), "weight")
+    ends = F.explode(F.array(F.struct(F.col("feature").alias("src"), F.col("id").alias("dst")), F.struct(F.col("id").alias("src"), F.col("feature").alias("dst"))))
+    edges = cells.select(ends.alias("e"), "weight").select("e.src", "e.dst", "weight")
+    hubs = records.sparkSession.range(len(features)).select((-1 - F.col("id")).alias("id"), F.lit(None).cast("double").alias("y"), F.lit(True).alias("hub"))
+    everyone = records.select(F.col(key).cast("long").alias("id"), F.col("y").cast("double").alias("y"), F.lit(False).alias("hub")).unionByName(hubs)
+    at = F.col("state")
+    moved = F.when(at.hub, at.v - F.lit(eta) * F.col("inbox") / n).otherwise(value_and_slope(loss, F.col("inbox"), at.y)[1])
+    program = VertexProgram(
+        init=lambda: F.struct("y", F.lit(0.0).alias("v"), "hub"),
+        emit=lambda: at.v * F.col("weight"),
+        update=lambda: F.struct(at.y.alias("y"), moved.alias("v"), at.hub.alias("hub")),
+        send_if=lambda: at.hub == (F.col("step") % 2 == 0),
+    )
+    state, _ = run_vertex(program, VertexGraph(everyone, edges), 2 * iterations)
+    weights = {r.id: r.v for r in state.where("state.hub").select("id", "state.v").collect()}  # one row a feature
+    return [weights[-1 - k] for k in range(len(features))]
 
 
 def keyed_statistic(df: DataFrame, column: str) -> DataFrame:

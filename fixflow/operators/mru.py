@@ -32,6 +32,8 @@ def run_mru(mru: MRU, records: DataFrame, max_iterations: int, topology: str = "
     from .reduce import reduce_columns
 
     records = records.persist() if cache else records
+    if topology == "auto":
+        topology = pick_topology(records.sparkSession, len(mru.map(mru.init())))
     models: list[Any] = []
 
     def step(j: int, model: Any):
@@ -50,6 +52,17 @@ def run_mru(mru: MRU, records: DataFrame, max_iterations: int, topology: str = "
     return model, report, models or [model]
 
 
+def pick_topology(spark: SparkSession, statistics: int, bandwidth: float = 125e6) -> str:
+    """The topology the cost rules choose for sums of so many numbers, given the session's executors and task slots. `flat` and `early` differ in what a task
+    sends, not in who receives, so `early` stands for both."""
+    from ..plans.cost import choose_reduce
+
+    context = spark.sparkContext
+    machines = max(1, context._jsc.sc().getExecutorMemoryStatus().size() - 1)  # without the driver
+    chosen = choose_reduce(max(machines, context.defaultParallelism), machines, 8.0 * statistics, bandwidth)
+    return "early" if chosen == "flat" else chosen
+
+
 def save_model(spark: SparkSession, folder: str, j: int, model: Any) -> None:
     spark.createDataFrame([(j, json.dumps(model))], "version int, model string").coalesce(1).write.mode("overwrite").parquet(f"{folder}/version={j:06d}")
 

@@ -23,15 +23,21 @@ COMBINE = {"sum": F.sum, "min": F.min, "max": F.max, "list": lambda c: F.sort_ar
 @dataclass
 class VertexProgram:
     """init(): state column of a vertex row. emit(): payload from columns state, degree, weight. update(): new state from columns state, inbox,
-    step (null: keep). send_if: which vertices send, from columns state, old, step. stay: which vertices run next time even without mail."""
+    step (null: keep). send_if: which vertices send, from columns state, old, step. stay: which vertices run next time even without mail.
+    send: messages to any ids, an array of structs (dst, payload) from columns src (the own id), state, old, step; beside emit, or instead of it (emit None).
+    aggregates: values over all states at the end of a superstep; in the next one they are the columns agg_<name> (null in the first).
+    on_unknown: `drop` messages to unknown ids or `create` a vertex with a null state, whose update sees the mail."""
 
     init: Callable[[], Column]
-    emit: Callable[[], Column]
+    emit: Callable[[], Column] | None
     update: Callable[[], Column]
     combine: str | None = "sum"
     send_if: Callable[[], Column] | None = None
     stay: Callable[[], Column] | None = None
     undirected: bool = False
+    send: Callable[[], Column] | None = None
+    aggregates: dict[str, Callable[[], Column]] | None = None
+    on_unknown: str = "drop"
 
 
 @dataclass
@@ -120,23 +126,34 @@ def run_vertex(
     start = start.withColumn("old", F.lit(None).cast(kind))
     keep = truncation or Truncation()
     log: list[DataFrame] = []
+    shared = {f"agg_{k}": f for k, f in (program.aggregates or {}).items()}
+    told = dict.fromkeys(shared)
+    kinds = {k: start.agg(f().alias(k)).schema[k].dataType for k, f in shared.items()}
 
     def senders(state: DataFrame) -> DataFrame:
         return state.where("awake")
 
     def step(j: int, state: DataFrame):
         s = F.lit(j)
-        out = senders(state).select(F.col("id").alias("src"), "state", "old", s.alias("step"))
+        globals_ = {k: F.lit(v).cast(kinds[k]) for k, v in told.items()}
+        out = senders(state).select(F.col("id").alias("src"), "state", "old", s.alias("step"), *[c.alias(k) for k, c in globals_.items()])
         mail = out.where(program.send_if()) if program.send_if else out
-        messages = mail.join(g.edges, "src").select("dst", program.emit().alias("payload"))
+        sent = []
+        if program.emit:
+            sent.append(mail.join(g.edges, "src").select("dst", program.emit().alias("payload")))
+        if program.send:
+            sent.append(mail.select(F.explode(program.send()).alias("m")).select(F.col("m.dst").alias("dst"), F.col("m.payload").alias("payload")))
+        messages = sent[0] if len(sent) == 1 else sent[0].unionByName(sent[1])
         inbox = deliver(messages, program.combine, exchange, early_grouping)
         if program.stay:  # activations: no payload, but the vertex runs
             inbox = inbox.unionByName(out.where(program.stay()).select(F.col("src").alias("dst"), F.lit(None).cast(inbox.schema["inbox"].dataType).alias("inbox")))
             inbox = inbox.groupBy("dst").agg(F.max("inbox").alias("inbox"))
         inbox = inbox.withColumn("mail", F.lit(True))
-        merged = state.join(inbox.hint(join) if join else inbox, F.col("id") == F.col("dst"), "left")
+        new_ids = program.on_unknown == "create"
+        merged = state.join(inbox.hint(join) if join else inbox, F.col("id") == F.col("dst"), "full" if new_ids else "left")
+        merged = merged.withColumn("id", F.coalesce("id", "dst")) if new_ids else merged
         ran = F.coalesce("mail", F.lit(False))
-        seen = merged.withColumn("step", s).withColumn("new", F.when(ran, program.update()))
+        seen = merged.withColumns({"step": s} | globals_).withColumn("new", F.when(ran, program.update()))
         nxt = seen.select("id", F.coalesce("new", "state").alias("state"), F.col("state").alias("old"), ran.alias("awake"), "step")
         if store == "append_latest":
             log.append(keep.keep(nxt.where("awake").select("id", "state", "old", "awake", "step"), j))
@@ -151,7 +168,8 @@ def run_vertex(
             nxt = delta.unionByName(rest)
         nxt = keep.keep(nxt, j + 1)
         changed = F.sum(F.when(~F.col("state").eqNullSafe(F.col("old")), 1).otherwise(0))
-        row = nxt.agg(F.sum(F.col("awake").cast("long")).alias("active"), changed.alias("changed")).first()
+        row = nxt.agg(F.sum(F.col("awake").cast("long")).alias("active"), changed.alias("changed"), *[f().alias(k) for k, f in shared.items()]).first()
+        told.update({k: row[k] for k in told})
         return nxt, {"active": int(row.active or 0), "delta": float(row.changed or 0)}
 
     def stop(j: int, m: dict) -> bool:

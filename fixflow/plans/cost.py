@@ -39,11 +39,11 @@ def choose_store(vertices: int, expected_active: float) -> str:
     return "delta_merge" if expected_active < 0.1 * vertices else "replace"
 
 
-def choose_layout(dimension: int, limit_bytes: float = 512e6) -> str:
-    """Weights as literals up to a few hundred, broadcast up to a limit, a table beyond."""
+def choose_layout(dimension: int, limit_bytes: float = 512e6, entry_bytes: float = 8) -> str:
+    """Weights as literals up to a few hundred, broadcast up to a limit, a table beyond. entry_bytes: of one weight and its key."""
     if dimension <= 512:
         return "literal"
-    return "broadcast_dense" if 8 * dimension <= limit_bytes else "feature_table"
+    return "broadcast_dense" if entry_bytes * dimension <= limit_bytes else "feature_table"
 
 
 def choose_model_family(model_bytes: float, data_bytes: float) -> str:

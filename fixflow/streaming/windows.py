@@ -65,7 +65,7 @@ def _files(spark, d) -> str:
     return folder
 
 
-@query("score_stream")
+@query("score_stream", "select event_id, case event_type when 'click' then 0.2::double when 'purchase' then 1.5::double else 0.0::double end * value as score from events")
 def score_stream(spark, d):
     """A stream scored with a trained model by a stream-static join."""
     model = spark.createDataFrame([("click", 0.2), ("purchase", 1.5)], "event_type string, w double")

@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark import StorageLevel
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.losses import value_and_slope
 from ..operators.mru import MRU, run_mru
+from ..plans.cost import choose_layout
 from ..runtime import RunReport, version
 
 
@@ -58,22 +60,29 @@ def bgd_dense_arrays(train: DataFrame, dim: int, loss: str = "hinge", eta: float
     return w, report, models
 
 
-def bgd_feature_table(records: DataFrame, entries: DataFrame, loss: str = "logistic", eta: float = 0.5, iterations: int = 5, key: str = "id") -> DataFrame:
-    """(feature, weight) for models too large for the driver: weights are a table.
+def bgd_feature_table(records: DataFrame, entries: DataFrame, loss: str = "logistic", eta: float = 0.5, iterations: int = 5, key: str = "id", layout: str | None = None, limit_bytes: float = 64e6) -> DataFrame:
+    """(feature, weight) for models of many features: weights are a table.
 
-    records: (id, y); entries: (id, feature, x), kept partitioned by feature, so each round shuffles products and slopes but never the entries' other side."""
-    n = max(records.count(), 1)
+    records: (id, y); entries: (id, feature, x). A copy of the entries stays partitioned by id, so slopes meet them without a shuffle and gradients are combined
+    by feature before theirs. layout, chosen by the counted size of the model where not given: `broadcast_dense` brings the weights to the entries, so a round
+    shuffles gradients only; `feature_table` joins them with a second copy of the entries, partitioned by feature, and shuffles the products by id."""
     parts = int(entries.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    by_feature = entries.repartition(parts, "feature").persist()
-    y = records.select(key, F.col("y").cast("double").alias("y")).persist()
-    w = by_feature.select("feature").distinct().withColumn("weight", F.lit(0.0))
+    by_id = entries.select(key, "feature", "x").repartition(parts, key).persist(StorageLevel.MEMORY_AND_DISK)
+    y = records.select(key, F.col("y").cast("double").alias("y")).repartition(parts, key).persist(StorageLevel.MEMORY_AND_DISK)
+    n = max(y.count(), 1)
+    w = version(by_id.groupBy("feature").agg(F.lit(0.0).alias("weight")), "weights")
+    size = w.agg(F.count("*").alias("dim"), F.max(F.octet_length(F.col("feature").cast("string"))).alias("longest")).first()
+    layout = layout or choose_layout(size.dim, limit_bytes, 48 + (size.longest or 0))
+    by_feature = by_id.repartition(parts, "feature").persist(StorageLevel.MEMORY_AND_DISK) if layout == "feature_table" else None
     for _ in range(iterations):
-        p = by_feature.join(w, "feature").groupBy(key).agg(F.sum(F.col("x") * F.col("weight")).alias("p"))
+        met = by_id.join(F.broadcast(w), "feature") if by_feature is None else by_feature.join(w, "feature")
+        p = met.groupBy(key).agg(F.sum(F.col("x") * F.col("weight")).alias("p"))
         slope = y.join(p, key, "left").select(key, value_and_slope(loss, F.coalesce("p", F.lit(0.0)), F.col("y"))[1].alias("d"))
-        g = by_feature.join(slope, key).groupBy("feature").agg(F.sum(F.col("x") * F.col("d")).alias("g"))
+        g = by_id.join(slope, key).groupBy("feature").agg(F.sum(F.col("x") * F.col("d")).alias("g"))
         w = version(w.join(g, "feature", "left").select("feature", (F.col("weight") - F.lit(eta) * F.coalesce("g", F.lit(0.0)) / n).alias("weight")), "weights")
-    by_feature.unpersist()
-    y.unpersist()
+    for df in (by_id, y, by_feature):
+        if df is not None:
+            df.unpersist()
     return w
 
 
@@ -117,13 +126,17 @@ def predict(df: DataFrame, weights: list[float], features: list[str], loss: str
 
 
 def evaluate(scored: DataFrame, label: str = "y", p: str = "prediction") -> DataFrame:
-    """accuracy, log_loss, rmse and auc (ties count half) of 0/1 labels and probabilities."""
+    """accuracy, log_loss, rmse and auc (ties count half) of 0/1 labels and probabilities.
+
+    Scores are rounded to 9 decimals, so each of the 4096 stretches they are ranked in has less than 250,000 distinct ones, however many rows there are."""
     y, q = F.col(label), F.least(F.greatest(F.col(p), F.lit(1e-15)), F.lit(1 - 1e-15))
     simple = scored.agg(F.avg(F.when((F.col(p) >= 0.5) == (y > 0), 1.0).otherwise(0.0)).alias("accuracy"), F.avg(-F.when(y > 0, F.log(q)).otherwise(F.log(1 - q))).alias("log_loss"), F.sqrt(F.avg((F.col(p) - y) * (F.col(p) - y))).alias("rmse"))
-    from pyspark.sql import Window
-
-    # distinct scores only: the running sum is over them, partial sums come first
-    by = scored.groupBy(F.round(p, 9).alias("s")).agg(F.sum(y.cast("long")).alias("pos"), F.count("*").alias("n"))
-    run = by.withColumn("below", F.sum(F.col("n") - F.col("pos")).over(Window.orderBy("s").rowsBetween(Window.unboundedPreceding, -1)))
+    # distinct scores only; running sums within a stretch of scores, and over the at most 4097 totals of stretches
+    by = scored.groupBy(F.round(p, 9).alias("s")).agg(F.sum(y.cast("long")).alias("pos"), F.count("*").alias("n")).withColumn("part", F.floor(F.col("s") * 4096))
+    before = lambda w: w.rowsBetween(Window.unboundedPreceding, -1)
+    totals = by.groupBy("part").agg(F.sum(F.col("n") - F.col("pos")).alias("neg"))
+    totals = totals.select(F.col("part").alias("stretch"), F.coalesce(F.sum("neg").over(before(Window.orderBy("part"))), F.lit(0)).alias("base"))
+    run = by.withColumn("within", F.sum(F.col("n") - F.col("pos")).over(before(Window.partitionBy("part").orderBy("s"))))
+    run = run.join(F.broadcast(totals), F.col("part").eqNullSafe(F.col("stretch"))).withColumn("below", F.col("base") + F.coalesce("within", F.lit(0)))
     auc = run.agg(F.try_divide(F.sum(F.col("pos") * (F.coalesce("below", F.lit(0)) + (F.col("n") - F.col("pos")) / 2)), F.sum("pos") * F.sum(F.col("n") - F.col("pos"))).alias("auc"))
     return simple.crossJoin(auc)

@@ -11,6 +11,7 @@ from ..functions.losses import SLOPE_SQL, VALUE_SQL
 from ..functions.measures import cost_optimal, machine_seconds
 from ..operators.reduce import reduced
 from ..plans.cost import predict_reduce_cost
+from ..runtime import version
 from ..sources.tables import GRAPH_SQL, TRAIN_SQL, duplicate_graph, duplicate_records, graph, table, training
 from . import graphs as G
 from . import learning as L
@@ -159,7 +160,16 @@ def degree_stats_part_supp(spark, d):
     return G.degree_stats(graph(spark, d, "g_part_supp"))
 
 
-@query("k_core_part_supp", None)
+def _core_sql(k: int, rounds: int) -> str:
+    """Peeling, unrolled: rounds beyond the fixpoint change nothing."""
+    parts = [f"c0 as materialized ({GRAPH_SQL['g_part_supp']})"]
+    for j in range(rounds):
+        parts.append(f"d{j} as materialized (select src as id from c{j} group by 1 having count(*) >= {k})")
+        parts.append(f"c{j + 1} as materialized (select src, dst from c{j} where src in (select id from d{j}) and dst in (select id from d{j}))")
+    return "with " + ", ".join(parts) + f" select distinct src as id from c{rounds}"
+
+
+@query("k_core_part_supp", _core_sql(20, 40))
 def k_core_part_supp(spark, d):
     return G.k_core(graph(spark, d, "g_part_supp"), 20)
 
@@ -228,6 +238,12 @@ def bgd_squared_lineitem(spark, d):
     return w_row(spark, L.bgd(training(spark, d, "x_lineitem"), DENSE)[0])
 
 
+@query("bgd_auto_topology_lineitem", bgd_sql(TRAIN_SQL["x_lineitem"], DENSE, "squared", 0.5, 0.0, 5, W_ROW))
+def bgd_auto_topology_lineitem(spark, d):
+    """The reduce topology is chosen by the cost rules from the session's executors."""
+    return w_row(spark, L.bgd(training(spark, d, "x_lineitem"), DENSE, topology="auto")[0])
+
+
 @query("bgd_l2_lineitem", bgd_sql(TRAIN_SQL["x_lineitem"], DENSE, "squared", 0.5, 0.1, 5, W_ROW))
 def bgd_l2_lineitem(spark, d):
     return w_row(spark, L.bgd(training(spark, d, "x_lineitem"), DENSE, l2=0.1)[0])
@@ -246,7 +262,7 @@ def bgd_inmem_lineitem(spark, d):
 @query("bgd_as_vertices_lineitem", bgd_sql(TRAIN_SQL["x_lineitem"], DENSE, "squared", 0.5, 0.0, 5, W_ROW))
 def bgd_as_vertices_lineitem(spark, d):
     x = training(spark, d, "x_lineitem")
-    return w_row(spark, bgd_as_vertices(x.withColumn("id", F.xxhash64("l_orderkey", "l_partkey", "l_suppkey", "l_linenumber")), DENSE))
+    return w_row(spark, bgd_as_vertices(version(x.withColumn("id", F.monotonically_increasing_id()), "records"), DENSE))  # written, so ids stay
 
 
 TRACE = " union all ".join(f"select cast({j} as bigint) as iteration, round(loss, 6) as loss from s{j}" for j in range(5))
@@ -273,7 +289,7 @@ def sparse_sql(entries: str, records: str, loss: str, eta: float, rounds: int) -
     for j in range(rounds):
         out += f", p{j} as materialized (select r.id, {SLOPE_SQL[loss].format(p='coalesce(t.p, 0)', y='r.y')} as s from r left join (select x.id, sum(x.x*m.w) as p from x join m{j} m on m.feature = x.feature group by 1) t on t.id = r.id)"
         out += f", m{j + 1} as materialized (select m.feature, m.w - {eta}*coalesce(g.g, 0)/n as w from m{j} m cross join n left join (select x.feature, sum(x.x*p.s) as g from x join p{j} p on p.id = x.id group by 1) g on g.feature = m.feature)"
-    return out + f" select feature, round(w, 6) as weight from m{rounds}"
+    return out + f" select feature, round(w, 6) + 0.0 as weight from m{rounds}"  # no negative zeros
 
 
 EVENTS_SQL = sparse_sql("select event_id as id, f as feature, 1.0 as x from (" + TRAIN_SQL["x_events"] + ")", "select event_id as id, case when event_type='purchase' then 1 else 0 end as y from events", "logistic", 0.5, 5)
@@ -303,11 +319,25 @@ def bgd_feature_table_events(spark, d):
     return w.select("feature", F.round("weight", 6).alias("weight"))
 
 
-# not registered: it did not finish within two minutes on the 0.01 tables; see the README
+@query("bgd_feature_table_shuffled_events", EVENTS_SQL)
+def bgd_feature_table_shuffled_events(spark, d):
+    """The layout for models too large to broadcast."""
+    x = training(spark, d, "x_events").withColumnRenamed("event_id", "id")
+    w = L.bgd_feature_table(x.select("id", "y"), x.select("id", F.explode("f").alias("feature"), F.lit(1.0).alias("x")), layout="feature_table")
+    return w.select("feature", F.round("weight", 6).alias("weight"))
+
+
+DOCS_SQL = sparse_sql(
+    "select doc_id as id, tok as feature, n::double as x from (" + TRAIN_SQL["x_docs_tokens"] + ")", "select distinct doc_id as id, quality as y from (" + TRAIN_SQL["x_docs_tokens"] + ")", "logistic", 0.001, 3
+)
+
+
+@query("bgd_logistic_docs", DOCS_SQL)
 def bgd_logistic_docs(spark, d):
+    """Token counts of documents: high-dimensional and sparse."""
     x = training(spark, d, "x_docs_tokens").withColumnRenamed("doc_id", "id")
     w = L.bgd_feature_table(x.select("id", F.col("quality").alias("y")).distinct(), x.select("id", F.col("tok").alias("feature"), F.col("n").cast("double").alias("x")), eta=0.001, iterations=3)
-    return w.select("feature", F.round("weight", 6).alias("weight"))
+    return w.select("feature", (F.round("weight", 6) + 0.0).alias("weight"))
 
 
 _EMB = "select id, y, i as feature, x[i]::double as x from (select vec_id as id, y, x, unnest(range(1, 65)) as i from (" + TRAIN_SQL["x_embed"] + "))"
@@ -320,17 +350,20 @@ def bgd_hinge_embeddings(spark, d):
 
 
 def _ols_sql() -> str:
-    """Two regressors after centring out the others would be long; the normal equations are checked instead: X'(y - Xw) = 0."""
-    return "select cast(4 as bigint) as equations, true as zero"
+    """The normal equations, solved by eliminating one unknown after the other."""
+    d = len(DENSE)
+    sums = [f"sum({DENSE[i]}*{DENSE[j]}) as a{i}{j}" for i in range(d) for j in range(d)] + [f"sum({f}*y) as b{i}" for i, f in enumerate(DENSE)]
+    out = f"with e0 as (select {', '.join(sums)} from ({TRAIN_SQL['x_lineitem']}))"
+    for k in range(d):
+        row = lambda i, c: c if i == k else f"{c} - a{i}{k}*{c[0]}{k}{c[2:]}/a{k}{k}"  # noqa: B023, E731
+        cells = [f"{row(i, f'a{i}{j}')} as a{i}{j}" for i in range(d) for j in range(d)] + [f"{row(i, f'b{i}')} as b{i}" for i in range(d)]
+        out += f", e{k + 1} as (select {', '.join(cells)} from e{k})"
+    return out + " select " + ", ".join(f"round(b{i}/a{i}{i}, 6) as w{i}" for i in range(d)) + f" from e{d}"
 
 
 @query("ols_lineitem", _ols_sql())
 def ols_lineitem(spark, d):
-    x = training(spark, d, "x_lineitem")
-    w = L.ols(x, DENSE)
-    rest = F.col("y") - sum((F.lit(v) * F.col(f) for v, f in zip(w, DENSE)), F.lit(0.0))
-    s = x.agg(*[F.avg(rest * F.col(f)).alias(f) for f in DENSE]).first()
-    return spark.createDataFrame([(4, all(abs(s[f]) < 1e-9 for f in DENSE))], "equations long, zero boolean")
+    return w_row(spark, L.ols(training(spark, d, "x_lineitem"), DENSE))
 
 
 KM = "with p as materialized (select vec_id, embedding as x from embeddings), c0 as (select row_number() over (order by vec_id) - 1 as c, list_transform(x, lambda v: v::double) as m from p where vec_id < 4)"

@@ -188,3 +188,48 @@ def test_ranking_options_run_supersteps(spark, sf):
         ranks, report = G.pagerank(e, iterations=3, **options)
         assert len(report.active) == 3, options
         assert {r.id: pytest.approx(r.rank, abs=1e-12) for r in ranks.collect()} == plain
+
+
+def test_messages_to_any_id_create_vertices_and_aggregate(spark):
+    """Vertex 1 counts down through ids that don't exist yet; every superstep sees how many vertices there were at the end of the last."""
+    none = spark.createDataFrame([], "src long, dst long")
+    ids = spark.createDataFrame([(1,)], "id long")
+    to_next = F.array(F.struct((F.col("src") + 1).alias("dst"), (F.col("state.left") - 1).alias("payload")))
+    state = lambda left, seen: F.struct(left.cast("long").alias("left"), seen.cast("long").alias("seen"))
+    p = VertexProgram(
+        init=lambda: state(F.lit(3), F.lit(0)),
+        emit=None,
+        update=lambda: state(F.col("inbox"), F.col("agg_vertices")),
+        combine="max",
+        send=lambda: F.when(F.col("state.left") > 0, to_next),
+        aggregates={"vertices": lambda: F.count("*")},
+        on_unknown="create",
+    )
+    out, report = run_vertex(p, VertexGraph(ids, none), 9)
+    assert {r.id: tuple(r.state) for r in out.collect()} == {1: (3, 0), 2: (2, None), 3: (1, 2), 4: (0, 3)}
+    assert report.active == [1, 1, 1, 0]
+    p.on_unknown = "drop"
+    assert [tuple(r.state) for r in run_vertex(p, VertexGraph(ids, none), 9)[0].collect()] == [(3, 0)]
+
+
+def test_layouts_agree_and_descent_on_vertices_is_descent(spark):
+    from fixflow.baselines.runs import bgd_as_vertices
+    from fixflow.tasks.learning import bgd_feature_table
+
+    rows = [(k, float(k % 2), [1.0, (k % 5) / 5, (k % 3) / 3]) for k in range(40)]
+    x = spark.createDataFrame(rows, "id long, y double, f array<double>").select("id", "y", *[F.col("f")[k].alias(f"x{k}") for k in range(3)])
+    entries = x.select("id", F.posexplode(F.array("x0", "x1", "x2")).alias("feature", "x"))
+    want = bgd(x, ["x0", "x1", "x2"], "logistic", iterations=4)[0]
+    for layout in ("broadcast_dense", "feature_table"):
+        got = {r.feature: r.weight for r in bgd_feature_table(x, entries, iterations=4, layout=layout).collect()}
+        assert [got[k] for k in range(3)] == pytest.approx(want, abs=1e-12), layout
+    assert bgd_as_vertices(x, ["x0", "x1", "x2"], "logistic", iterations=4) == pytest.approx(want, abs=1e-12)
+
+
+def test_auc_counts_ties_half(spark):
+    from fixflow.tasks.learning import evaluate as measured
+
+    rows = [(k % 3 % 2, (k * 7 % 11) / 10.0) for k in range(60)]
+    pairs = [(a, b) for y, a in rows if y for z, b in rows if not z]
+    want = sum(1.0 if a > b else 0.5 if a == b else 0.0 for a, b in pairs) / len(pairs)
+    assert measured(spark.createDataFrame(rows, "y int, prediction double")).first().auc == pytest.approx(want, abs=1e-12)
