@@ -233,3 +233,13 @@ def test_auc_counts_ties_half(spark):
     pairs = [(a, b) for y, a in rows if y for z, b in rows if not z]
     want = sum(1.0 if a > b else 0.5 if a == b else 0.0 for a, b in pairs) / len(pairs)
     assert measured(spark.createDataFrame(rows, "y int, prediction double")).first().auc == pytest.approx(want, abs=1e-12)
+
+
+def test_experiment_summary():
+    from fixflow.experiments import summary
+
+    points = [{"method": "m", "cores": c, "copies": n, "seconds": s} for c, n, s in ((1, 1, 8.0), (2, 1, 4.0), (4, 1, 4.0), (2, 2, 10.0))]
+    out = summary(points)
+    assert out[0] == {"method": "m", "copies": 1, "speedup": [(1, 1.0, 1.0), (2, 2.0, 1.0), (4, 2.0, 0.5)], "core_seconds": {1: 8.0, 2: 8.0, 4: 16.0}, "cost_optimal_cores": 1}
+    assert {"method": "m", "scaleup_same_data_per_core": 1.0, "points": [(1, 1.0), (2, 1.25)]} in out
+    assert {"method": "m", "growth_same_cores": 2, "points": [(1, 1.0), (2, 2.5)]} in out
