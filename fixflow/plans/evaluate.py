@@ -7,12 +7,14 @@ from functools import reduce
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import NullType, NumericType, StructType
 
 from ..runtime import version
-from .analysis import check_safety, stage_stratify, stratify
+from .analysis import Violation, check_safety, recognise_latest, stage_stratify, stratify
 from .rules import AGGREGATES, Agg, Anything, Atom, Call, Compare, Const, Members, Program, Rule, Var
 
-OPS = {"=": operator.eq, "!=": operator.ne, "<": operator.lt, "<=": operator.le, ">": operator.gt, ">=": operator.ge}
+# a null differs from every value and not from a null
+OPS = {"=": operator.eq, "!=": lambda a, b: ~a.eqNullSafe(b), "<": operator.lt, "<=": operator.le, ">": operator.gt, ">=": operator.ge}
 
 
 def columns(n: int) -> list[str]:
@@ -76,6 +78,38 @@ def apply_rule(rule: Rule, relations: dict[str, DataFrame], functions: dict, spa
     return df.select(*[(F.explode(F.col(a.var.name)) if isinstance(a, Members) else _value(a)).alias(c) for c, a in zip(columns(len(args)), args)])
 
 
+def infer_schemas(program: Program, db: dict[str, DataFrame]) -> dict[str, StructType]:
+    """Column types of all predicates, as Catalyst finds them for rules over empty relations; no row of db is read.
+
+    Rules of one predicate may differ in numeric types, which widen; other differences, and rules that nothing can start, are violations."""
+    check_safety(program)
+    spark = next(iter(db.values())).sparkSession
+    latest = recognise_latest(program)
+    known = {p: df.toDF(*columns(len(df.columns))).schema for p, df in db.items()}
+    while True:
+        before = dict(known)
+        empty = {p: spark.createDataFrame([], s) for p, s in known.items()}
+        open_rules = []
+        for r in program.rules:
+            if any(a.name not in empty for a in r.atoms()):
+                open_rules.append(r)
+                continue
+            made, name = apply_rule(r, empty, program.functions, spark), r.head.name
+            if name in known:
+                for a, b in zip(known[name], made.schema):
+                    numeric = isinstance(a.dataType, NumericType) and isinstance(b.dataType, NumericType)
+                    if a.dataType != b.dataType and not numeric and not {type(a.dataType), type(b.dataType)} & {NullType}:
+                        raise Violation(r, f"{a.name} is {b.dataType.simpleString()} here and {a.dataType.simpleString()} elsewhere")
+                made = spark.createDataFrame([], known[name]).union(made)
+            known[name] = made.schema
+        known |= {n: known[p] for n, p in latest.items() if p in known}
+        types = lambda k: {p: [f.dataType for f in s] for p, s in k.items()}
+        if types(known) == types(before):
+            if open_rules:
+                raise Violation(open_rules[0], "has a body predicate of unknown types")
+            return known
+
+
 def _union(parts: list[DataFrame]) -> DataFrame:
     return reduce(DataFrame.union, parts)
 

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark import StorageLevel
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -113,6 +115,27 @@ def kmeans(points: DataFrame, centres: list[list[float]], iterations: int, x: st
     return centres, sizes
 
 
+def gaussian_bayes(train: DataFrame, dim: int, x: str = "x", label: str = "y", floor: float = 1e-9) -> list[tuple]:
+    """[(class, records, means, variances)] in one round: a map-reduce-update task without iteration. Classes, few as labels are, come to the driver; records don't.
+
+    Variances are those of the population plus `floor`, so a constant component has a density. Records without a label or vector take no part."""
+    v = [F.col(x)[k] for k in range(dim)]
+    rows = train.where(F.col(label).isNotNull() & F.col(x).isNotNull()).groupBy(label)
+    got = rows.agg(F.count("*").alias("n"), F.array(*[F.avg(c) for c in v]).alias("m"), F.array(*[F.var_pop(c) + floor for c in v]).alias("s")).collect()
+    return sorted((r[label], r.n, list(r.m), list(r.s)) for r in got)
+
+
+def gaussian_bayes_predict(df: DataFrame, model: list[tuple], x: str = "x") -> DataFrame:
+    """df with `prediction`: the class of the largest log density and prior; ties to the smaller class."""
+
+    def density(n, m, s):
+        terms = F.zip_with(F.zip_with(F.col(x), F.array(*[F.lit(float(v)) for v in m]), lambda a, b: (a - b) * (a - b)), F.array(*[F.lit(float(v)) for v in s]), lambda q, b: q / b)
+        return F.lit(math.log(n) - sum(math.log(v) for v in s) / 2) - F.aggregate(terms, F.lit(0.0), lambda a, b: a + b) / 2
+
+    scores = F.array(*[density(*c[1:]) for c in model])
+    return df.withColumn("prediction", F.element_at(F.array(*[F.lit(c[0]) for c in model]), F.array_position(scores, F.array_max(scores)).cast("int")))
+
+
 def grid_search(train: DataFrame, grid: DataFrame, features: list[str], label: str = "y") -> DataFrame:
     """(candidate, loss) of every weight vector of a bounded grid, in one pass over the records. grid: (candidate, w array<double>)."""
     p = sum((F.col("w")[k] * F.col(f) for k, f in enumerate(features)), F.lit(0.0))

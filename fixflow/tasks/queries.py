@@ -349,6 +349,27 @@ def bgd_hinge_embeddings(spark, d):
     return spark.createDataFrame([(k + 1, float(round(v, 6))) for k, v in enumerate(w)], "feature long, weight double")
 
 
+@query("bgd_perceptron_embeddings", sparse_sql("select id, feature, x from (" + _EMB + ")", "select vec_id as id, y from (" + TRAIN_SQL["x_embed"] + ")", "perceptron", 0.5, 5))
+def bgd_perceptron_embeddings(spark, d):
+    w, _, _ = L.bgd_dense_arrays(training(spark, d, "x_embed"), 64, "perceptron")
+    return spark.createDataFrame([(k + 1, float(round(v, 6))) for k, v in enumerate(w)], "feature long, weight double")
+
+
+@query(
+    "gaussian_bayes_embeddings",
+    f"with e as materialized ({_EMB}), s as materialized (select y, feature, count(*) as n, avg(x) as m, var_pop(x) + 1e-9 as v from e group by 1, 2), "
+    "p as (select e.id, e.y, s.y as c, ln(any_value(s.n)) - sum(ln(s.v) + (e.x-s.m)*(e.x-s.m)/s.v)/2 as score from e join s using (feature) group by 1, 2, 3), "
+    "b as (select y, c from (select y, c, row_number() over (partition by id order by score desc, c) as k from p) where k = 1) "
+    "select s.y::double as y, max(n)::bigint as n, round(max(m) filter (feature = 1), 6) as m1, round(max(v) filter (feature = 64), 6) as v64, (select count(*) from b where b.y = s.y and b.c = s.y) as correct from s group by s.y",
+)
+def gaussian_bayes_embeddings(spark, d):
+    x = training(spark, d, "x_embed")
+    model = L.gaussian_bayes(x, 64)
+    right = L.gaussian_bayes_predict(x, model).groupBy("y").agg(F.count(F.when(F.col("prediction") == F.col("y"), 1)).alias("correct"))
+    rows = spark.createDataFrame([(float(c), n, float(round(m[0], 6)), float(round(s[-1], 6))) for c, n, m, s in model], "y double, n long, m1 double, v64 double")
+    return right.join(F.broadcast(rows), "y").select("y", "n", "m1", "v64", "correct")
+
+
 def _ols_sql() -> str:
     """The normal equations, solved by eliminating one unknown after the other."""
     d = len(DENSE)

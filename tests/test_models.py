@@ -9,10 +9,10 @@ from fixflow.operators.reduce import TOPOLOGIES, reduce_columns
 from fixflow.operators.vertex import VertexGraph, VertexProgram, run_vertex
 from fixflow.plans import cost
 from fixflow.plans.analysis import Violation, check_safety, stage_stratify, stratify
-from fixflow.plans.evaluate import evaluate, run_stages
+from fixflow.plans.evaluate import evaluate, infer_schemas, run_stages
 from fixflow.plans.rules import ParseError, parse_program
 from fixflow.tasks import graphs as G
-from fixflow.tasks.learning import bgd, ols
+from fixflow.tasks.learning import bgd, gaussian_bayes, gaussian_bayes_predict, ols
 from fixflow.tasks.queries import PUBLISHED
 
 
@@ -243,3 +243,29 @@ def test_experiment_summary():
     assert out[0] == {"method": "m", "copies": 1, "speedup": [(1, 1.0, 1.0), (2, 2.0, 1.0), (4, 2.0, 0.5)], "core_seconds": {1: 8.0, 2: 8.0, 4: 16.0}, "cost_optimal_cores": 1}
     assert {"method": "m", "scaleup_same_data_per_core": 1.0, "points": [(1, 1.0), (2, 1.25)]} in out
     assert {"method": "m", "growth_same_cores": 2, "points": [(1, 1.0), (2, 2.5)]} in out
+
+
+def test_types_of_predicates_are_inferred(spark):
+    e = edges(spark, (1, 2))
+    closure = parse_program("derive path(x, y) from edge(x, y); derive path(x, z) from path(x, y), edge(y, z); derive degree(x, count(y)) from path(x, y);")
+    assert {p: [f.dataType.simpleString() for f in s] for p, s in infer_schemas(closure, {"edge": e}).items()} == {"edge": ["bigint"] * 2, "path": ["bigint"] * 2, "degree": ["bigint"] * 2}
+    staged = parse_program("derive s@0(x, r) from edge(x, y), r := one(); derive s@J+1(x, q) from latest_s(x, r), q := half(r);", {"one": lambda: F.lit(1), "half": lambda r: r / 2})
+    assert [f.dataType.simpleString() for f in infer_schemas(staged, {"edge": e})["s"]] == ["bigint", "double"]
+    with pytest.raises(Violation, match="elsewhere"):
+        infer_schemas(parse_program("derive p(x) from edge(x, y); derive p('a') from edge(x, y);"), {"edge": e})
+    with pytest.raises(Violation, match="unknown types"):
+        infer_schemas(parse_program("derive p(x) from p(x);"), {"edge": e})
+
+
+def test_a_null_differs_from_a_value_only(spark):
+    e = spark.createDataFrame([(1, None), (2, 2), (3, 4), (None, None)], "src long, dst long")
+    out = evaluate(parse_program("derive p(x, y) from edge(x, y) where x != y;"), {"edge": e})["p"]
+    assert {tuple(r) for r in out.collect()} == {(1, None), (3, 4)}
+
+
+def test_bayes_with_a_constant_component(spark):
+    x = spark.createDataFrame([([0.0, 1.0], 0.0), ([0.2, 1.0], 0.0), ([5.0, 1.0], 1.0), ([5.4, 1.0], 1.0), (None, 1.0), ([9.0, 1.0], None)], "x array<double>, y double")
+    model = gaussian_bayes(x, 2)
+    assert [(c, n) for c, n, _, _ in model] == [(0.0, 2), (1.0, 2)]
+    assert model[1][2] == pytest.approx([5.2, 1.0]) and model[1][3] == pytest.approx([0.04, 0.0], abs=1e-8)
+    assert [r.prediction for r in gaussian_bayes_predict(x.where("y is not null and x is not null"), model).orderBy("x").collect()] == [0.0, 0.0, 1.0, 1.0]
