@@ -25,18 +25,21 @@ class MRU:
     halt: Callable[[Any], bool] | None = None
 
 
-def run_mru(mru: MRU, records: DataFrame, max_iterations: int, topology: str = "early", cache: bool = False, store: str | None = None) -> tuple[Any, RunReport, list]:
+def run_mru(mru: MRU, records: DataFrame, max_iterations: int, topology: str = "early", cache: bool = False, store: str | None = None, resume: bool = False) -> tuple[Any, RunReport, list]:
     """(last model, report, all models). Stops if the model stays equal, its halt test holds or after max_iterations.
 
-    cache keeps the records (they are loop-invariant); it spills to disk where memory is short. store: a folder for a version of the model each round."""
+    cache keeps the records (they are loop-invariant); it spills to disk where memory is short. store: a folder for a version of the model each round; resume
+    goes on from the newest version there, its rounds counted in max_iterations."""
     from .reduce import reduce_columns
 
     records = records.persist() if cache else records
     if topology == "auto":
         topology = pick_topology(records.sparkSession, len(mru.map(mru.init())))
     models: list[Any] = []
+    done, begin = (resume and store and resume_model(records.sparkSession, store)) or (0, None)
 
     def step(j: int, model: Any):
+        j += done
         if not models:
             models.append(model)
         if mru.halt and mru.halt(model):
@@ -48,7 +51,8 @@ def run_mru(mru: MRU, records: DataFrame, max_iterations: int, topology: str = "
             save_model(records.sparkSession, store, j + 1, new)
         return new, {"loss": stats.get("loss"), "same": new == model}
 
-    model, report = FixpointDriver(mru.init, step, lambda j, m: j >= max_iterations or m["same"]).run() if max_iterations > 0 else (mru.init(), RunReport())
+    first = (lambda: begin) if done else mru.init
+    model, report = FixpointDriver(first, step, lambda j, m: j + done >= max_iterations or m["same"]).run() if max_iterations > done else (first(), RunReport())
     return model, report, models or [model]
 
 

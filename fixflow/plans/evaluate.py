@@ -72,7 +72,7 @@ def apply_rule(rule: Rule, relations: dict[str, DataFrame], functions: dict, spa
     args = rule.head.args
     if any(isinstance(a, Agg) for a in args):
         keys = [(c, a) for c, a in zip(columns(len(args)), args) if not isinstance(a, Agg)]
-        aggs = [AGGREGATES[a.function](F.col(a.var.name)).alias(c) for c, a in zip(columns(len(args)), args) if isinstance(a, Agg)]
+        aggs = [(functions.get(a.function) or AGGREGATES[a.function])(F.col(a.var.name)).alias(c) for c, a in zip(columns(len(args)), args) if isinstance(a, Agg)]
         keyed = df.select(*[_value(a).alias(c) for c, a in keys], *df.columns) if keys else df
         return keyed.groupBy(*[c for c, _ in keys]).agg(*aggs).select(*columns(len(args)))
     return df.select(*[(F.explode(F.col(a.var.name)) if isinstance(a, Members) else _value(a)).alias(c) for c, a in zip(columns(len(args)), args)])

@@ -1,5 +1,6 @@
 """Semantics of the two models, rule programs, measures and cost rules on small inputs."""
 
+import pandas as pd
 import pytest
 from pyspark.sql import functions as F
 
@@ -269,3 +270,27 @@ def test_bayes_with_a_constant_component(spark):
     assert [(c, n) for c, n, _, _ in model] == [(0.0, 2), (1.0, 2)]
     assert model[1][2] == pytest.approx([5.2, 1.0]) and model[1][3] == pytest.approx([0.04, 0.0], abs=1e-8)
     assert [r.prediction for r in gaussian_bayes_predict(x.where("y is not null and x is not null"), model).orderBy("x").collect()] == [0.0, 0.0, 1.0, 1.0]
+
+
+def test_an_aggregate_of_user_code_and_members(spark):
+    from pyspark.sql.functions import pandas_udf
+
+    @pandas_udf("double")
+    def middle(v: pd.Series) -> float:
+        return float(v.median())
+
+    e = edges(spark, (1, 2), (1, 4), (1, 100), (2, 7))
+    out = evaluate(parse_program("derive m(x, middle(y)) from edge(x, y); derive l(x, list(y)) from edge(x, y); derive back(x, each(s)) from l(x, s);", {"middle": middle}), {"edge": e})
+    assert {tuple(r) for r in out["m"].collect()} == {(1, 4.0), (2, 7.0)}
+    assert {tuple(r) for r in out["back"].collect()} == {(1, 2), (1, 4), (1, 100), (2, 7)}
+
+
+def test_a_run_halts_and_goes_on_from_its_store(spark, tmp_path):
+    x = spark.createDataFrame([(1.0,), (3.0,)], "v double")
+    loop = MRU(lambda: 0.0, lambda w: {"g": F.col("v") - w}, lambda j, w, s: w + (j + 1) * s["g"] / 16)
+    whole = run_mru(loop, x, 4)[2]
+    assert run_mru(loop, x, 2, store=str(tmp_path / "m"))[0] == whole[2]
+    again, report, models = run_mru(loop, x, 4, store=str(tmp_path / "m"), resume=True)
+    assert again == whole[4] and models == whole[2:] and len(report.iteration_seconds) == 2
+    assert run_mru(loop, x, 4, store=str(tmp_path / "m"), resume=True)[0] == whole[4]  # nothing is left to do
+    assert run_mru(MRU(loop.init, loop.map, loop.update, halt=lambda w: w >= whole[2]), x, 9)[0] == whole[2]
