@@ -39,9 +39,15 @@ def _events(spark, d) -> DataFrame:
     return e.withColumn("ts", F.col("ts").cast("timestamp"))
 
 
-def _run(spark: SparkSession, df: DataFrame, name: str, mode: str = "append", each=None) -> None:
-    writer = df.writeStream.outputMode(mode).trigger(availableNow=True).option("checkpointLocation", f"{shared_dir(spark)}/stream-{name}-{uuid.uuid4().hex}")
-    (writer.foreachBatch(each) if each else writer.format("memory").queryName(name)).start().awaitTermination()
+def _run(spark: SparkSession, df: DataFrame, name: str, mode: str = "append", each=None) -> DataFrame | None:
+    """Runs what there is of a stream; without `each`, its rows go to files of the shared folder (a memory sink would keep them all on the driver)."""
+    tag = f"{name}-{uuid.uuid4().hex}"
+    writer = df.writeStream.outputMode(mode).trigger(availableNow=True).option("checkpointLocation", f"{shared_dir(spark)}/stream-{tag}")
+    if each:
+        writer.foreachBatch(each).start().awaitTermination()
+        return None
+    writer.format("parquet").start(f"{shared_dir(spark)}/rows-{tag}").awaitTermination()
+    return spark.read.schema(df.schema).parquet(f"{shared_dir(spark)}/rows-{tag}")
 
 
 @query("stream_tumbling_batch_equiv", "select date_trunc('day', ts)::timestamp as start, event_type, count(*) as n, round(sum(value), 4) as total from events group by 1, 2")
@@ -70,9 +76,7 @@ def score_stream(spark, d):
     """A stream scored with a trained model by a stream-static join."""
     model = spark.createDataFrame([("click", 0.2), ("purchase", 1.5)], "event_type string, w double")
     scored = event_stream(spark, _files(spark, d)).join(F.broadcast(model), "event_type", "left").select("event_id", (F.coalesce("w", F.lit(0.0)) * F.col("value")).alias("score"))
-    name = "scored_" + uuid.uuid4().hex
-    _run(spark, scored, name)
-    return spark.table(name)
+    return _run(spark, scored, "scored")
 
 
 @query("online_bgd")
