@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 from ..functions.losses import value_and_slope
 from ..operators.vertex import VertexGraph, VertexProgram, run_vertex
-from ..runtime import RunReport, version
+from ..runtime import RunReport, forget, keyed_version, version
 from ..sources.tables import vertices
 from ..tasks.learning import bgd
 
@@ -41,14 +41,16 @@ def bgd_as_vertices(records: DataFrame, features: list[str], loss: str = "square
     """A global model forced into vertices: d feature vertices (ids -1 to -d) hold a weight each, every record is a vertex that holds its slope.
 
     An iteration is two supersteps over edges weighted by the record's feature values: weights times values add up to a record's prediction, then slopes times
-    values add up to a feature's gradient. All N d products travel in each, combined by destination before they are shuffled."""
-    n = max(records.count(), 1)
-    cells = records.select(F.col(key).alias("id"), F.posexplode(F.array(*[F.col(f).cast("double") for f in features])).alias("k", "weight"))
+    values add up to a feature's gradient. All N d products are made in each, combined by destination. Features are hubs: their weights are broadcast, and
+    records, their edges and states stay in the same buckets. Ids of records are unique and not negative; they are read once."""
+    spark = records.sparkSession
+    kept = keyed_version(records.select(F.col(key).cast("long").alias("id"), F.col("y").cast("double").alias("y"), *[F.col(f).cast("double").alias(f"f{k}") for k, f in enumerate(features)]), "records", "id", int(spark.conf.get("spark.sql.shuffle.partitions")))
+    n = max(kept.count(), 1)
+    cells = kept.select("id", F.posexplode(F.array(*[F.col(f"f{k}") for k in range(len(features))])).alias("k", "weight"))
     cells = cells.select("id", (-1 - F.col("k")).cast("long").alias("feature"), "weight")
-    ends = F.explode(F.array(F.struct(F.col("feature").alias("src"), F.col("id").alias("dst")), F.struct(F.col("id").alias("src"), F.col("feature").alias("dst"))))
-    edges = cells.select(ends.alias("e"), "weight").select("e.src", "e.dst", "weight")
-    hubs = records.sparkSession.range(len(features)).select((-1 - F.col("id")).alias("id"), F.lit(None).cast("double").alias("y"), F.lit(True).alias("hub"))
-    everyone = records.select(F.col(key).cast("long").alias("id"), F.col("y").cast("double").alias("y"), F.lit(False).alias("hub")).unionByName(hubs)
+    edges, hub_edges = (cells.select(F.col(a).alias("src"), F.col(b).alias("dst"), "weight") for a, b in (("id", "feature"), ("feature", "id")))
+    hubs = spark.range(len(features)).select((-1 - F.col("id")).alias("id"), F.lit(None).cast("double").alias("y"), F.lit(True).alias("hub"))
+    everyone = kept.select("id", "y", F.lit(False).alias("hub")).unionByName(hubs)
     at = F.col("state")
     moved = F.when(at.hub, at.v - F.lit(eta) * F.col("inbox") / n).otherwise(value_and_slope(loss, F.col("inbox"), at.y)[1])
     program = VertexProgram(
@@ -57,7 +59,8 @@ def bgd_as_vertices(records: DataFrame, features: list[str], loss: str = "square
         update=lambda: F.struct(at.y.alias("y"), moved.alias("v"), at.hub.alias("hub")),
         send_if=lambda: at.hub == (F.col("step") % 2 == 0),
     )
-    state, _ = run_vertex(program, VertexGraph(everyone, edges), 2 * iterations)
+    state, _ = run_vertex(program, VertexGraph(everyone, edges, [-1 - k for k in range(len(features))], hub_edges), 2 * iterations)
+    forget(kept)
     weights = {r.id: r.v for r in state.where("state.hub").select("id", "state.v").collect()}  # one row a feature
     return [weights[-1 - k] for k in range(len(features))]
 
