@@ -315,3 +315,15 @@ def test_empty_tables(docs):
     assert substring.remove_repeats(none).count() == parse_dedup.remove_repeated_bytes(none).count() == jaccard.near_duplicates(none).count() == 0
     assert sharding.assign_shards(none).count() == mixing.score_texts(none, none).count() == 0
     assert graph_ann.nearest(docs.sparkSession.createDataFrame([], "vec_id long, embedding array<float>")).count() == 0
+
+
+def test_template_words_are_hashed_where_they_stand(spark, monkeypatch):
+    from fixflow.llm import decontam
+
+    plans, durable = {}, decontam.durable
+    monkeypatch.setattr(decontam, "durable", lambda df, tag: plans.setdefault(tag, df._jdf.queryExecution().optimizedPlan().toString()) and durable(df, tag))
+    text = "a quick test of ten plain words in one row"
+    docs = spark.createDataFrame([(1, "so " + text), (2, "other"), (3, ""), (4, None)], "doc_id long, text string")
+    out = decontam.find_leaks(docs, spark.createDataFrame([(9, text), (8, "other")], "item_id long, text string"))
+    assert sorted((r.doc_id, r.item_id) for r in out.collect()) == [(1, 9), (2, 8)]
+    assert "arrays_zip" not in plans["anchored"]  # no copies of all words for each place of a shingle
