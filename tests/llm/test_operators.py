@@ -327,3 +327,53 @@ def test_template_words_are_hashed_where_they_stand(spark, monkeypatch):
     out = decontam.find_leaks(docs, spark.createDataFrame([(9, text), (8, "other")], "item_id long, text string"))
     assert sorted((r.doc_id, r.item_id) for r in out.collect()) == [(1, 9), (2, 8)]
     assert "arrays_zip" not in plans["anchored"]  # no copies of all words for each place of a shingle
+
+
+def test_written_tables_leave_no_shuffle_files(spark, tmp_path):
+    import time
+
+    from fixflow.llm import common
+
+    disk = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager()
+
+    def files():
+        found = disk.getAllFiles()
+        return {n for n in (found.apply(i).getName() for i in range(found.size())) if n.startswith("shuffle_")}
+
+    before, named = files(), spark.conf.get(common.DROP_SHUFFLES)
+    df = spark.range(1000).groupBy((mixing.F.col("id") % 7).alias("k")).count()
+    out = common.durable(df, "few")
+    for _ in range(20):
+        left = files() - before
+        if not left:
+            break
+        time.sleep(0.1)
+    assert not left and out.count() == 7 and spark.conf.get(common.DROP_SHUFFLES) == named
+
+
+def test_head_ranks_and_notes_are_found_without_searching():
+    words = [b"%d" % k for k in range(5000)]
+    head = mixing.Head([mixing.END, *words])
+    head.hash[10:14] = head.hash[10] + np.arange(4, dtype=np.uint64)  # words that share a cell
+    seen = np.concatenate([head.hash, head.hash + np.uint64(77), head.hash[:1]])
+    assert head.ranks(seen).tolist() == [*head.rank.tolist(), *[mixing.HEAD] * len(head.hash), head.rank[0]] and head.most >= 4
+    assert mixing.Head([mixing.END]).ranks(seen[:2]).tolist() == [mixing.HEAD] * 2
+    texts = [b"a b c a b", b"", b"c " * 3000, b"b"]
+    w = mixing.flat.Words(texts)
+    t = mixing.Stream(w, w.hashes(43))
+    note = (t.pairs() % np.uint64(251)).astype(np.uint8)
+    sent = [note[a:b][np.argsort(mixing.exchange.bucket_of(t.pairs()[a:b], 51), kind="stable")].tobytes() for a, b in zip(t.first, t.ends + 1)]
+    assert mixing._dealt(t, sent, 51).tolist() == note.tolist()
+    with pytest.raises(ValueError):
+        mixing._dealt(t, [sent[0][1:], sent[1] + b"0", *sent[2:]], 51)
+    low = np.random.default_rng(1).integers(0, 50, 5000).astype(np.uint32)
+    order, s = mixing.exchange.sorted_low(low)
+    assert order.tolist() == np.argsort(low, kind="stable").tolist() and s.tolist() == sorted(low.tolist())
+
+
+def test_learning_from_small_counts_equals_the_plain_odds():
+    r = np.random.default_rng(2)
+    n = r.integers(0, 65536, (500, 2)).astype(np.uint16)
+    y = r.random(500) < 0.5
+    n[np.arange(500), y.astype(int)] = np.maximum(1, n[np.arange(500), y.astype(int)])
+    assert mixing.small_odds(n[:, 0].astype(np.int64), n[:, 1].astype(np.int64), y) == pytest.approx(mixing.odds(n, y), abs=1e-4)
