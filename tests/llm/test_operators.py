@@ -377,3 +377,17 @@ def test_learning_from_small_counts_equals_the_plain_odds():
     y = r.random(500) < 0.5
     n[np.arange(500), y.astype(int)] = np.maximum(1, n[np.arange(500), y.astype(int)])
     assert mixing.small_odds(n[:, 0].astype(np.int64), n[:, 1].astype(np.int64), y) == pytest.approx(mixing.odds(n, y), abs=1e-4)
+
+
+def test_suffix_ranks_sort_open_groups_only(monkeypatch):
+    r = np.random.default_rng(4)
+    for symbols, lens in ((r.integers(0, 3, 400), [150, 1, 249]), (np.zeros(70, np.int64), [40, 30]), (r.permutation(500), [500]), (np.zeros(0, np.int64), [])):
+        left = parse_dedup.left_of(np.array(lens, np.int64))
+        tails = [tuple(symbols[i : i + n].tolist()) for i, n in enumerate(left.tolist())]
+        place = {t: k for k, t in enumerate(sorted(set(tails)))}
+        sizes, argsort = [], np.argsort
+        monkeypatch.setattr(parse_dedup.np, "argsort", lambda x, *a, **k: sizes.append(len(x)) or argsort(x, *a, **k))
+        rank = parse_dedup.doubled(symbols, left)
+        monkeypatch.undo()
+        assert np.unique(rank, return_inverse=True)[1].tolist() == [place[t] for t in tails] and (rank >= 1).all()
+        assert len(place) < 500 or sizes and set(sizes[1:]) <= {0, 500} and sum(x > 0 for x in sizes) <= 2  # suffixes that are alone are sorted once
